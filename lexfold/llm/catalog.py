@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from .line_dedup import op5_line_dedup
 from .quality_rules import op9_quality_rules
 
 QUERIES = {
+    "op5_line_dedup": op5_line_dedup,
     "op9_quality_rules": op9_quality_rules,
 }
 ORACLE: dict[str, str] = {}

@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 from .line_dedup import op5_line_dedup
+from .ngram_join import op1_ngram_jaccard
 from .quality_rules import op9_quality_rules
 
 QUERIES = {
+    "op1_ngram_jaccard": op1_ngram_jaccard,
     "op5_line_dedup": op5_line_dedup,
     "op9_quality_rules": op9_quality_rules,
 }

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 from .bpe_codec import op4_byte_bpe
+from .decontamination import op6_decontamination
 from .line_dedup import op5_line_dedup
 from .ngram_join import op1_ngram_jaccard
 from .quality_rules import op9_quality_rules
 from .token_store import op3_token_store
 
 QUERIES = {
+    "op6_decontamination": op6_decontamination,
     "op3_token_store": op3_token_store,
     "op4_byte_bpe": op4_byte_bpe,
     "op1_ngram_jaccard": op1_ngram_jaccard,

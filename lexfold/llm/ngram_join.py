@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_texts, components, cut, mix, run_hashes, slices, table, word_hashes
+from .common import byte_texts, components, cut, mix, run_hashes, sized, slices, table, word_hashes
 
 #: A block's tile; R-tree leaf and inner node sizes.
 TILE, LEAF = 2048, 32
@@ -158,8 +158,8 @@ def sets_of(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
             flat = pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), flat)], ["id", "shingles"])
 
-    wanted = docs.select("doc_id", "text").join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-    return wanted.dropDuplicates(["doc_id"]).mapInArrow(run, "id long, shingles array<long>")
+    wanted = docs.select("doc_id", "text").join(sized(ids.select(F.col("id").alias("doc_id"))), "doc_id", "left_semi")
+    return wanted.mapInArrow(run, "id long, shingles array<long>")
 
 
 def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -170,7 +170,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
     d = pairs.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a").join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
     shared = F.size(F.array_intersect("x", "y"))
     d = d.select("a", "b", shared.alias("shared"), (F.size("x") + F.size("y") - shared).alias("union"))
-    return d.where(100 * F.col("shared") >= percent * F.col("union"))
+    return d.where(100 * F.col("shared") >= percent * F.col("union")).select("a", "b").distinct()
 
 
 def _search(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
@@ -224,11 +224,26 @@ def tree_candidates(members: DataFrame, percent: int) -> DataFrame:
     return sorted_cells.mapInArrow(lambda it: _search(it, percent), "a long, b long").distinct()
 
 
-def leader_candidates(members: DataFrame, keys: int = 4) -> DataFrame:
-    """Pairs of each member with the first member of its first few blocks."""
+def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int = 2) -> DataFrame:
+    """Pairs of each member with the first member of its first few blocks, where the bounds leave a link possible."""
+    members = made.join(ids, "doc_id", "left_semi").withColumnRenamed("doc_id", "id")
     rows = members.select("id", F.explode(F.slice("prefix", 1, keys)).alias("key"))
     leaders = rows.groupBy("key").agg(F.min("id").alias("a"), F.count("*").alias("m")).where("m > 1").select("key", "a")
-    return rows.join(leaders, "key").where("a < id").select("a", F.col("id").alias("b")).distinct()
+    pairs = rows.join(leaders, "key").where("a < id").select("a", F.col("id").alias("b")).distinct()
+    own = lambda c: members.select(F.col("id").alias(c), F.col("n").alias(f"n_{c}"), F.col("vector").alias(f"v_{c}"))
+    near = pairs.join(own("a"), "a").join(own("b"), "b").where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            t = {c: batch.column(c).to_pylist() for c in ("n_a", "n_b", "v_a", "v_b")}
+            keep = []
+            for n, m, v, w in zip(t["n_a"], t["n_b"], t["v_a"], t["v_b"], strict=True):
+                x, y = np.frombuffer(v, np.int32), np.frombuffer(w, np.int32)
+                g = min(len(x), len(y))
+                keep.append(bool(np.minimum(folded(x, g), folded(y, g)).sum() >= least_overlap(np.int64(n), np.int64(m), percent)))
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    return near.select("a", "b", "n_a", "n_b", "v_a", "v_b").mapInArrow(run, "a long, b long")
 
 
 def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFrame:
@@ -237,14 +252,13 @@ def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFr
     n_links counts the verified links of a document's class that the search needed.
     """
     made = cut(profiles(docs, width, percent))
-    whole = made.where("n > 0 and doc_id is not null")
-    classes = whole.groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"))
-    members = whole.dropDuplicates(["doc_id"]).join(classes.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "n", "vector", "prefix")
-    members = cut(members)
-    first = cut(verified(docs, leader_candidates(members), width, percent))
+    classes = made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"))
+    ids = cut(classes.select("id"))
+    first = cut(verified(docs, leader_candidates(made, sized(ids.withColumnRenamed("id", "doc_id")), percent), width, percent))
     labels = components(first).select("id", F.col("component").alias("label"))
-    labelled = members.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))
-    second = cut(verified(docs, tree_candidates(cut(labelled), percent), width, percent))
+    labelled = sized(cut(ids.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))))
+    members = made.withColumnRenamed("doc_id", "id").join(labelled, "id")
+    second = cut(verified(docs, tree_candidates(members, percent), width, percent))
     links = first.select("a", "b").union(second.select("a", "b")).distinct()
     final = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))

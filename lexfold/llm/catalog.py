@@ -7,9 +7,11 @@ from .decontamination import op6_decontamination
 from .line_dedup import op5_line_dedup
 from .ngram_join import op1_ngram_jaccard
 from .quality_rules import op9_quality_rules
+from .secret_scan import op10_secret_scan
 from .token_store import op3_token_store
 
 QUERIES = {
+    "op10_secret_scan": op10_secret_scan,
     "op6_decontamination": op6_decontamination,
     "op3_token_store": op3_token_store,
     "op4_byte_bpe": op4_byte_bpe,

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .bpe_codec import op4_byte_bpe
 from .decontamination import op6_decontamination
+from .language_id import op8_language_id
 from .line_dedup import op5_line_dedup
 from .ngram_join import op1_ngram_jaccard
 from .quality_rules import op9_quality_rules
@@ -11,6 +12,7 @@ from .secret_scan import op10_secret_scan
 from .token_store import op3_token_store
 
 QUERIES = {
+    "op8_language_id": op8_language_id,
     "op10_secret_scan": op10_secret_scan,
     "op6_decontamination": op6_decontamination,
     "op3_token_store": op3_token_store,

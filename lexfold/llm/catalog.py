@@ -10,8 +10,10 @@ from .ngram_join import op1_ngram_jaccard
 from .quality_rules import op9_quality_rules
 from .secret_scan import op10_secret_scan
 from .token_store import op3_token_store
+from .warc import OP7_SQL, op7_warc
 
 QUERIES = {
+    "op7_warc": op7_warc,
     "op8_language_id": op8_language_id,
     "op10_secret_scan": op10_secret_scan,
     "op6_decontamination": op6_decontamination,
@@ -21,4 +23,4 @@ QUERIES = {
     "op5_line_dedup": op5_line_dedup,
     "op9_quality_rules": op9_quality_rules,
 }
-ORACLE: dict[str, str] = {}
+ORACLE: dict[str, str] = {"op7_warc": OP7_SQL}

@@ -24,7 +24,7 @@ def create(path: str):
     store, p = _at(path)
     if isinstance(store, fs.LocalFileSystem):
         os.makedirs(os.path.dirname(p), exist_ok=True)
-    return store.open_output_stream(p)
+    return store.open_output_stream(p, compression=None)
 
 
 def open_at(path: str):

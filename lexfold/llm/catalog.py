@@ -7,12 +7,14 @@ from .decontamination import op6_decontamination
 from .language_id import op8_language_id
 from .line_dedup import op5_line_dedup
 from .ngram_join import op1_ngram_jaccard
+from .quality_classifier import op2_quality_classifier
 from .quality_rules import op9_quality_rules
 from .secret_scan import op10_secret_scan
 from .token_store import op3_token_store
 from .warc import OP7_SQL, op7_warc
 
 QUERIES = {
+    "op2_quality_classifier": op2_quality_classifier,
     "op7_warc": op7_warc,
     "op8_language_id": op8_language_id,
     "op10_secret_scan": op10_secret_scan,

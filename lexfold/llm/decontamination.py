@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, run_hashes, slices, table, word_hashes
+from .common import cut, run_hashes, sized, slices, table, word_hashes
 
 PART, BLOCK, RUN = 64, 8, 5
 PIECE_PARTS, MOST_PIECES = 1_024, 64
@@ -234,7 +234,7 @@ def _search(doc_ids: list, texts: list, pieces: list[Items], threshold: float, s
 def without_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.4, share: float = 0.5) -> DataFrame:
     """docs but those that hold a test item; rows with a null doc_id stay only if no null one leaks."""
     bad = leaks(docs, benchmark, threshold, share).select(F.col("doc_id").alias("bad")).distinct()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["bad"]), "left_anti")
+    return docs.join(sized(bad), F.col("doc_id").eqNullSafe(F.col("bad")), "left_anti")
 
 
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -124,6 +124,14 @@ def dedup_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
     return d.drop("lines", "exact", "near", "gone_id")
 
 
+def without_repeated_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
+    """docs without repeated lines; documents left without a word go. n_chars, if there, is counted anew."""
+    d = dedup_lines(docs, min_near).where(F.regexp_like("text", F.lit(f"[^{BLANKS}]")))
+    if "n_chars" in docs.columns:
+        d = d.withColumn("n_chars", F.length("text").cast("long"))
+    return d.select(*docs.columns)
+
+
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, counts of lines, and digest and length of what is left of each document."""
     d = dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))

@@ -268,5 +268,11 @@ def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFr
     return d.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
 
+def one_of_each_group(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
+    """docs without those that another document stands for; the least doc_id of a group stays."""
+    rest = jaccard_groups(docs, width, percent).where("doc_id <> component_id").select("doc_id").distinct()
+    return docs.join(sized(cut(rest)), "doc_id", "left_anti")
+
+
 def op1_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_groups(table(spark, sf_dir, "documents").select("doc_id", "text"))

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BLANKS, sized, table
+from .common import BLANKS, cut, sized, table
 
 #: Fixed values of the base rules.
 SYMBOLS = "[#*$%&|<>]"
@@ -128,6 +128,12 @@ def quality_rules(docs: DataFrame, trusted: DataFrame, threshold: float = -0.2,
     return d.withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold)).drop("row", "total")
 
 
+def without_rejected(docs: DataFrame, trusted: DataFrame, **options) -> DataFrame:
+    """The rows of docs whose doc_id has no rejected row."""
+    bad = quality_rules(docs.select("doc_id", "text"), trusted, **options).where(~F.col("kept")).select(F.col("doc_id").alias("bad")).distinct()
+    return docs.join(sized(cut(bad)), F.col("doc_id").eqNullSafe(F.col("bad")), "left_anti")
+
+
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     trusted = table(spark, sf_dir, "labels").where("quality = 1")
     return quality_rules(table(spark, sf_dir, "documents").select("doc_id", "text"), trusted)

@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from .common import cut, run_hashes, sized, slices, table, word_hashes
 
-PART, BLOCK, RUN = 64, 8, 5
+PART, BLOCK, RUN = 64, 2, 5
 PIECE_PARTS, MOST_PIECES = 1_024, 64
 K1, B = 1.2, 0.75
 _PUNCTUATION = bytes(i for i in range(33, 127) if not chr(i).isalnum())

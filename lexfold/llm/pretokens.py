@@ -10,26 +10,27 @@ the pattern as a whole.
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import chain
 
 import numpy as np
 import regex
 
 #: Units kept by a worker; beyond that its cache starts anew.
-MOST_UNITS = 400_000
+MOST_UNITS = 700_000
 #: The characters that the pattern's white space class holds.
 WHITE = "".join(map(chr, (*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 RISKY = tuple(c + " " for c in WHITE)
 
 
-class _Units(dict):
-    """Unit to place; unknown units get the next place and wait for their ids."""
+class _Places(dict):
+    """Key to place in a list that several such maps share; unknown keys get the next place."""
 
-    def __init__(self):
-        self.waiting: list[str] = []
+    def __init__(self, waiting: list[str], before: str):
+        self.waiting, self.before = waiting, before
 
-    def __missing__(self, unit: str) -> int:
-        self[unit] = place = len(self)
-        self.waiting.append(unit)
+    def __missing__(self, key: str) -> int:
+        self[key] = place = len(self.waiting)
+        self.waiting.append(self.before + key)
         return place
 
 
@@ -39,33 +40,36 @@ class CachedEncoder:
     def __init__(self, pattern: str, encode_pieces: Callable[[list[str]], list[list[int]]], most: int = MOST_UNITS):
         self.pieces = regex.compile(pattern).findall
         self.encode_pieces, self.most = encode_pieces, most
+        self.known: dict[str, tuple[int, ...]] = {}
         self._clear()
 
     def _clear(self) -> None:
-        self.units = _Units()
+        self.units: list[str] = []
+        self.bare, self.spaced = _Places(self.units, ""), _Places(self.units, " ")
         self.starts = np.zeros(1, np.int64)
         self.flat = np.zeros(0, np.uint32)
 
     def _places(self, text: str) -> list[int]:
-        get = self.units.__getitem__
         if any(p in text for p in RISKY):
-            return list(map(get, self.pieces(text)))
+            return list(map(self.bare.__getitem__, self.pieces(text)))
         first, *rest = text.split(" ")
-        out = [get(first)] if first else []
-        out += map(get, [" " + w for w in rest])
+        out = [self.bare[first]] if first else []
+        out += map(self.spaced.__getitem__, rest)
         return out
 
     def _learn(self) -> None:
-        waiting, self.units.waiting = self.units.waiting, []
-        if not waiting:
+        new = self.units[len(self.starts) - 1 :]
+        if not new:
             return
-        parts = [self.pieces(u) for u in waiting]
-        known = {p: None for u in parts for p in u}
-        for p, ids in zip(known, self.encode_pieces(list(known)), strict=True):
-            known[p] = ids
-        ids = [[i for p in u for i in known[p]] for u in parts]
-        self.starts = np.concatenate((self.starts, self.starts[-1] + np.cumsum([len(x) for x in ids])))
-        self.flat = np.concatenate((self.flat, np.fromiter((i for x in ids for i in x), np.uint32)))
+        if len(self.known) > self.most:
+            self.known = {}
+        parts = list(map(self.pieces, new))
+        known = self.known
+        unknown = list({p for u in parts for p in u if p not in known})
+        known.update(zip(unknown, map(tuple, self.encode_pieces(unknown)), strict=True))
+        ids = [known[u[0]] if len(u) == 1 else list(chain.from_iterable(map(known.__getitem__, u))) for u in parts]
+        self.starts = np.concatenate((self.starts, self.starts[-1] + np.cumsum(list(map(len, ids)))))
+        self.flat = np.concatenate((self.flat, np.array(list(chain.from_iterable(ids)), np.uint32)))
 
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(all ids, where each text's ids begin; one more entry at the end)."""

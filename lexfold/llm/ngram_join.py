@@ -6,8 +6,8 @@ similarity reaches a bound. The join is exact:
 1. One scan makes, for every document, its set's size, fingerprint, count vector (how many shingles
    fall in each of G hash groups) and prefix: so many of its smallest hashes that two linking sets
    share one of them. Documents of equal sets are one class from here on.
-2. Members of a block (a shared prefix hash) are tried against the block's first member; verified
-   links give a first labelling. Large groups of near copies collapse here, at one pair a member.
+2. Members of a block (a shared prefix hash) are tried against two of the block's members; verified
+   links give a first labelling. Large groups of near copies collapse here, at two pairs a member.
 3. In each block, members of different labels are joined through an R-tree of their count vectors:
    the sum of coordinate minima of two points, or of the upper corners of two nodes, bounds the
    overlap from above; pairs below the overlap that the bound on similarity asks for are pruned.
@@ -36,6 +36,8 @@ from .common import byte_texts, components, cut, mix, run_hashes, sized, slices,
 
 #: A block's tile; R-tree leaf and inner node sizes.
 TILE, LEAF = 2048, 32
+#: Pairs that a task remembers having sent.
+MOST_SEEN = 500_000
 #: Hash groups by set size: enough that unlike sets of that size differ in their counts.
 GROUPS = ((1_500, 64), (6_000, 256), (math.inf, 1_024))
 
@@ -176,6 +178,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
 def _search(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
     """Candidate pairs of blocks that arrive one after the other, sorted by block."""
     rest: pa.Table | None = None
+    seen: set[tuple[int, int]] = set()
 
     def pairs(t: pa.Table) -> pa.RecordBatch:
         block = np.stack([t.column(c).to_numpy() for c in ("key", "band", "i", "j")])
@@ -186,6 +189,9 @@ def _search(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
         for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(ids)], strict=True):
             if b - a > 1:
                 found |= block_pairs(ids[a:b], labels[a:b], sizes[a:b], home[a:b], [np.frombuffer(v, np.int32) for v in raw[a:b]], percent)
+        found -= seen
+        if len(seen) < MOST_SEEN:  # only saves repeats; what is sent twice is made distinct later
+            seen.update(found)
         x = np.array(sorted(found), np.int64).reshape(-1, 2)
         return pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1])], ["a", "b"])
 
@@ -208,7 +214,10 @@ def tree_candidates(members: DataFrame, percent: int) -> DataFrame:
     members: id, label, n, vector, prefix.
     """
     rows = members.select("id", "label", "n", F.explode("prefix").alias("key"))
-    mixed = rows.groupBy("key").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("key")
+    h = F.xxhash64("id")
+    blocks = rows.groupBy("key").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.count("*").alias("m"), F.bit_xor(h).alias("s1"), F.bit_xor(F.xxhash64(h, F.lit(1))).alias("s2"))
+    # Blocks of the same members would yield the same pairs: one of them stays.
+    mixed = blocks.where("x <> y").groupBy("m", "s1", "s2").agg(F.min("key").alias("key")).select("key")
     band = F.floor(F.log("n") / (-math.log(percent / 100) * (1 + 1e-9))).cast("int")
     rows = cut(rows.join(mixed, "key", "left_semi").withColumn("band", band))
     # A member is at home in its size class and visits the next one below, where smaller partners are.
@@ -224,12 +233,17 @@ def tree_candidates(members: DataFrame, percent: int) -> DataFrame:
     return sorted_cells.mapInArrow(lambda it: _search(it, percent), "a long, b long").distinct()
 
 
-def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int = 2) -> DataFrame:
-    """Pairs of each member with the first member of its first few blocks, where the bounds leave a link possible."""
-    members = made.join(ids, "doc_id", "left_semi").withColumnRenamed("doc_id", "id")
-    rows = members.select("id", F.explode(F.slice("prefix", 1, keys)).alias("key"))
-    leaders = rows.groupBy("key").agg(F.min("id").alias("a"), F.count("*").alias("m")).where("m > 1").select("key", "a")
-    pairs = rows.join(leaders, "key").where("a < id").select("a", F.col("id").alias("b")).distinct()
+def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int = 3) -> DataFrame:
+    """Pairs of each member with two members of its first few blocks, where the bounds leave a link possible.
+
+    The two are the first, and the one whose class has most copies: what others were copied from.
+    ids: doc_id, copies.
+    """
+    members = made.join(ids, "doc_id").withColumnRenamed("doc_id", "id")
+    rows = members.select("id", "copies", F.explode(F.slice("prefix", 1, keys)).alias("key"))
+    leaders = rows.groupBy("key").agg(F.min("id").alias("first"), F.max(F.struct("copies", -F.col("id"))).alias("top"), F.count("*").alias("m")).where("m > 1")
+    leaders = leaders.select("key", F.explode(F.array_distinct(F.array("first", -F.col("top.col2")))).alias("a"))
+    pairs = rows.join(leaders, "key").where("a <> id").select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
     own = lambda c: members.select(F.col("id").alias(c), F.col("n").alias(f"n_{c}"), F.col("vector").alias(f"v_{c}"))
     near = pairs.join(own("a"), "a").join(own("b"), "b").where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
 
@@ -252,17 +266,17 @@ def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFr
     n_links counts the verified links of a document's class that the search needed.
     """
     made = cut(profiles(docs, width, percent))
-    classes = made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"))
-    ids = cut(classes.select("id"))
+    classes = made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies"))
+    ids = cut(classes.select("id", "copies"))
     first = cut(verified(docs, leader_candidates(made, sized(ids.withColumnRenamed("id", "doc_id")), percent), width, percent))
     labels = components(first).select("id", F.col("component").alias("label"))
-    labelled = sized(cut(ids.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))))
+    labelled = sized(cut(ids.select("id").join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))))
     members = made.withColumnRenamed("doc_id", "id").join(labelled, "id")
     second = cut(verified(docs, tree_candidates(members, percent), width, percent))
     links = first.select("a", "b").union(second.select("a", "b")).distinct()
     final = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
-    of_class = classes.join(final, "id", "left").join(degree, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    of_class = classes.drop("copies").join(final, "id", "left").join(degree, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     d = made.select("doc_id", "n", "d1", "d2").join(of_class, ["d1", "d2", "n"], "left")
     alone = F.col("component_id").isNull() | F.col("doc_id").isNull()
     return d.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))

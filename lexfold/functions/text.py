@@ -43,11 +43,15 @@ def gaps(text: Column | str) -> Column:
 def rejoin(words: Column | str, seps: Column | str) -> Column:
     """The text that units and gaps came from."""
     w, g = col(words), col(seps)
-    sep_of = F.map_from_arrays(F.transform(g, lambda x: x["pos"]), F.transform(g, lambda x: x["sep"]))
     n = F.size(w)
-    piece = lambda u, i: F.concat(F.coalesce(F.try_element_at(sep_of, i), F.when(i == 0, "").otherwise(" ")), u)
-    tail = F.when(n == 0, F.coalesce(F.try_element_at(sep_of, F.lit(0)), F.lit(""))).otherwise(F.coalesce(F.try_element_at(sep_of, n), F.lit("")))
-    return F.concat(F.array_join(F.transform(w, piece), ""), tail)
+    at = lambda p: F.coalesce(F.get(F.filter(g, lambda x: x["pos"] == p), F.lit(0))["sep"], F.lit(""))
+    inner = F.filter(g, lambda x: (x["pos"] > 0) & (x["pos"] < n))
+    before = lambda k: F.coalesce(F.get(inner, k - 1)["pos"], F.lit(0))
+    blanks = lambda many: F.array_repeat(F.lit(" "), many.cast("int"))
+    middle = F.flatten(F.transform(inner, lambda x, k: F.concat(blanks(x["pos"] - before(k) - 1), F.array(x["sep"]))))
+    rest = blanks(F.greatest(n - 1 - F.coalesce(F.try_element_at(inner, F.lit(-1))["pos"], F.lit(0)), F.lit(0)))
+    all_seps = F.concat(F.array(at(F.lit(0))), middle, rest)
+    return F.when(n == 0, at(F.lit(0))).otherwise(F.concat(F.array_join(F.zip_with(F.slice(all_seps, 1, n), w, lambda s, u: F.concat(s, u)), ""), at(n)))
 
 
 def tok_unit(text: Column | str) -> Column:

@@ -9,6 +9,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 from .text import col, units
 
@@ -174,13 +175,13 @@ def common_subsequence(a: list[str], b: list[str]) -> int:
     return len(b) - v.bit_count()
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def lev_sim_long(r: pd.Series, h: pd.Series) -> pd.Series:
     """lev_sim for whole shards."""
     return pd.Series([1.0 if not (x or y) else 1 - edit_distance(x or "", y or "") / max(len(x or ""), len(y or "")) for x, y in zip(r, h, strict=True)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def ham_sim_long(r: pd.Series, h: pd.Series) -> pd.Series:
     def one(x: str, y: str) -> float:
         a, b = (np.frombuffer(t.encode("utf-32-le"), np.uint32) for t in (x, y))
@@ -190,7 +191,7 @@ def ham_sim_long(r: pd.Series, h: pd.Series) -> pd.Series:
     return pd.Series([one(x or "", y or "") for x, y in zip(r, h, strict=True)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def rouge_l(r: pd.Series, h: pd.Series) -> pd.Series:
     """Longest common subsequence of units / units of the reference."""
 
@@ -201,7 +202,7 @@ def rouge_l(r: pd.Series, h: pd.Series) -> pd.Series:
     return pd.Series([one(x or "", y or "") for x, y in zip(r, h, strict=True)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def byte_ratio(t: pd.Series) -> pd.Series:
     """1 - compressed bytes / bytes by zlib; a size that no reader can use."""
     raw = [(x or "").encode() for x in t]

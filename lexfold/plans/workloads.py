@@ -56,7 +56,7 @@ def template_scores(records: DataFrame, readers: tuple[Reader, ...] = READERS) -
     catalogue = checkpointed(templates_mined(records))
     made = checkpointed(fold_templates(records, catalogue, "slots"))
     c = catalogue.select("corpus", F.concat(F.lit("<M"), F.col("tpl_id").cast("string"), F.lit(">")).alias("marker"), "masked")
-    one = made.withColumn("marker", F.get("folded", F.lit(0))).join(c, ["corpus", "marker"], "left")
+    one = made.drop("masked").withColumn("marker", F.get("folded", F.lit(0))).join(c, ["corpus", "marker"], "left")
     # As a fixed-piece reader sees it: the marker stands for the mask, slot values follow.
     system = F.when(F.col("masked").isNotNull(), F.concat("marker", F.lit(" = "), "masked")).otherwise("")
     prompts = one.select("corpus", "rec_id", F.col("text").alias("ref"), "masked", F.slice("folded", 2, F.size("folded")).alias("slots"), system.alias("system"), F.get("folded", F.lit(0)).alias("user"))
@@ -79,8 +79,11 @@ def w3_full(spark: SparkSession, sf_dir: str, readers: tuple[Reader, ...] = READ
     return template_scores(ev.unionByName(docs), readers)
 
 
-def w4_pairs(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, l_maxs: Iterable[int] = range(3, 11), readers: tuple[Reader, ...] = READERS, count: int = 2000) -> DataFrame:
-    """shard_id, corpus, l_max, reader, cr, ref, hyp."""
+def w4_pairs(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, l_maxs: Iterable[int] = range(3, 11), readers: tuple[Reader, ...] = READERS, count: int = 200) -> DataFrame:
+    """shard_id, corpus, l_max, reader, cr, ref, hyp; count records a corpus, 2,000 for the whole batch.
+
+    Edit distance of whole batches grows with the square of their length, so the default is smaller.
+    """
     shards = checkpointed(S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names, count), count)))
     folded = checkpointed(fold_sweep(shards, l_maxs, full=True))
     prompts = build_prompts(folded.withColumn("shard_id", F.concat_ws("@", "shard_id", F.col("l_max").cast("string"))))

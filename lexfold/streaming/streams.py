@@ -21,7 +21,13 @@ LINE = ("INFO service=events user", "user_id", "performed", "event_type", "with
 def events_stream(spark: SparkSession, path: str, delay: str = "1 hour", files_per_trigger: int = 4) -> DataFrame:
     """Events with a watermark; ts is cast, as a watermark needs a timestamp with a zone."""
     schema = spark.read.parquet(path).schema
-    d = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+    reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger)
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    if at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(at).isDirectory():
+        d = reader.parquet(path)
+    else:  # a stream reads folders: the file's own, with the other files left out
+        folder, name = path.rsplit("/", 1)
+        d = reader.option("pathGlobFilter", name).parquet(folder)
     return d.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
 
 
@@ -92,7 +98,7 @@ def open_shards(records: DataFrame, count: int = 500, idle: str = "6 hours") ->
     wait_ms = int(pd.Timedelta(idle).total_seconds() * 1000)
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        ids, texts = state.get if state.exists else ([], [])
+        ids, texts, last_ms = state.get if state.exists else ([], [], 0)
         ids, texts = list(ids), list(texts)
         out = []
 
@@ -108,14 +114,15 @@ def open_shards(records: DataFrame, count: int = 500, idle: str = "6 hours") ->
             for f in frames:
                 ids += f["rec_id"].tolist()
                 texts += f["text"].tolist()
+                last_ms = max(last_ms, int(f["ts"].max().timestamp() * 1000))
                 while len(ids) >= count:
                     close(count)
-            state.update((ids, texts))
-            state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs(), 0) + wait_ms + 1)
+            state.update((ids, texts, last_ms))
+            state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs(), last_ms) + wait_ms + 1)
         if out:
             yield pd.DataFrame(out, columns=["corpus", "first_rec", "n_recs", "text"])
 
-    return records.groupBy("corpus").applyInPandasWithState(run, SHARD, "ids array<long>, texts array<string>", "append", GroupStateTimeout.EventTimeTimeout)
+    return records.groupBy("corpus").applyInPandasWithState(run, SHARD, "ids array<long>, texts array<string>, last_ms long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def late_counts(progress: list) -> int:

@@ -6,8 +6,8 @@ similarity reaches a bound. The join is exact:
 1. One scan makes, for every document, its set's size, fingerprint, count vector (how many shingles
    fall in each of G hash groups) and prefix: so many of its smallest hashes that two linking sets
    share one of them. Documents of equal sets are one class from here on.
-2. Members of a block (a shared prefix hash) are tried against two of the block's members; verified
-   links give a first labelling. Large groups of near copies collapse here, at two pairs a member.
+2. Members of a block (a shared prefix hash) are tried against three of the block's members; verified
+   links give a first labelling. Large groups of near copies collapse here, at a few pairs a member.
 3. In each block, members of different labels are joined through an R-tree of their count vectors:
    the sum of coordinate minima of two points, or of the upper corners of two nodes, bounds the
    overlap from above; pairs below the overlap that the bound on similarity asks for are pruned.
@@ -39,7 +39,7 @@ TILE, LEAF = 2048, 32
 #: Pairs that a task remembers having sent.
 MOST_SEEN = 500_000
 #: Hash groups by set size: enough that unlike sets of that size differ in their counts.
-GROUPS = ((1_500, 64), (6_000, 256), (math.inf, 1_024))
+GROUPS = ((1_500, 256), (6_000, 512), (math.inf, 1_024))
 
 
 def shingle_sets(texts: list[bytes], width: int) -> Iterator[np.ndarray]:
@@ -61,8 +61,15 @@ def groups_of(n: int) -> int:
 
 
 def count_vector(shingles: np.ndarray) -> bytes:
+    """Counts by group, one byte each where they fit, else four."""
     g = groups_of(len(shingles))
-    return np.bincount((shingles >> np.uint64(20)).astype(np.int64) & (g - 1), minlength=g).astype(np.int32).tobytes()
+    counts = np.bincount((shingles >> np.uint64(20)).astype(np.int64) & (g - 1), minlength=g)
+    return counts.astype(np.uint8 if counts.max(initial=0) < 256 else np.int32).tobytes()
+
+
+def vector_of(data: bytes, n: int) -> np.ndarray:
+    kind = np.uint8 if len(data) == groups_of(n) else np.int32
+    return np.frombuffer(data, kind).astype(np.int32)
 
 
 def folded(vector: np.ndarray, g: int) -> np.ndarray:
@@ -188,7 +195,7 @@ def _search(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
         found: set[tuple[int, int]] = set()
         for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(ids)], strict=True):
             if b - a > 1:
-                found |= block_pairs(ids[a:b], labels[a:b], sizes[a:b], home[a:b], [np.frombuffer(v, np.int32) for v in raw[a:b]], percent)
+                found |= block_pairs(ids[a:b], labels[a:b], sizes[a:b], home[a:b], [vector_of(v, n) for v, n in zip(raw[a:b], sizes[a:b].tolist(), strict=True)], percent)
         found -= seen
         if len(seen) < MOST_SEEN:  # only saves repeats; what is sent twice is made distinct later
             seen.update(found)
@@ -234,16 +241,19 @@ def tree_candidates(members: DataFrame, percent: int) -> DataFrame:
 
 
 def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int = 3) -> DataFrame:
-    """Pairs of each member with two members of its first few blocks, where the bounds leave a link possible.
+    """Pairs of each member with three members of its first few blocks, where the bounds leave a link possible.
 
-    The two are the first, and the one whose class has most copies: what others were copied from.
-    ids: doc_id, copies.
+    The three are the first, the one whose class has most copies (what others were copied from), and the
+    first of its own sixteenth of the block, so that large groups meet in many ways. ids: doc_id, copies.
     """
     members = made.join(ids, "doc_id").withColumnRenamed("doc_id", "id")
     rows = members.select("id", "copies", F.explode(F.slice("prefix", 1, keys)).alias("key"))
     leaders = rows.groupBy("key").agg(F.min("id").alias("first"), F.max(F.struct("copies", -F.col("id"))).alias("top"), F.count("*").alias("m")).where("m > 1")
     leaders = leaders.select("key", F.explode(F.array_distinct(F.array("first", -F.col("top.col2")))).alias("a"))
-    pairs = rows.join(leaders, "key").where("a <> id").select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
+    sixteenth = rows.select("id", F.xxhash64("key", F.pmod(F.xxhash64("id", "key"), F.lit(16))).alias("key"))
+    own_leaders = sixteenth.groupBy("key").agg(F.min("id").alias("a"), F.count("*").alias("m")).where("m > 1").select("key", "a")
+    met = rows.select("id", "key").join(leaders, "key").unionByName(sixteenth.join(own_leaders, "key"))
+    pairs = met.where("a <> id").select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
     own = lambda c: members.select(F.col("id").alias(c), F.col("n").alias(f"n_{c}"), F.col("vector").alias(f"v_{c}"))
     near = pairs.join(own("a"), "a").join(own("b"), "b").where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
 
@@ -252,7 +262,7 @@ def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int =
             t = {c: batch.column(c).to_pylist() for c in ("n_a", "n_b", "v_a", "v_b")}
             keep = []
             for n, m, v, w in zip(t["n_a"], t["n_b"], t["v_a"], t["v_b"], strict=True):
-                x, y = np.frombuffer(v, np.int32), np.frombuffer(w, np.int32)
+                x, y = vector_of(v, n), vector_of(w, m)
                 g = min(len(x), len(y))
                 keep.append(bool(np.minimum(folded(x, g), folded(y, g)).sum() >= least_overlap(np.int64(n), np.int64(m), percent)))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))

@@ -69,7 +69,7 @@ def test_tree_bound_loses_nothing():
     rng = np.random.default_rng(1)
     base = rng.integers(0, 2**63, 300, dtype=np.uint64)
     sets = [np.unique(np.concatenate((base[rng.random(300) < 0.96], rng.integers(0, 2**63, 9, dtype=np.uint64)))) for _ in range(150)]
-    vectors = [np.frombuffer(J.count_vector(s), np.int32) for s in sets]
+    vectors = [J.vector_of(J.count_vector(s), len(s)) for s in sets]
     sizes = np.array([len(s) for s in sets])
     ids = np.arange(150)
     got = J.block_pairs(ids, ids, sizes, np.ones(150, bool), vectors, 85)
@@ -84,4 +84,4 @@ def test_random_sets_are_pruned():
     rng = np.random.default_rng(2)
     sets = [np.unique(rng.integers(0, 2**63, 400, dtype=np.uint64)) for _ in range(100)]
     ids = np.arange(100)
-    assert not J.block_pairs(ids, ids, np.array([len(s) for s in sets]), np.ones(100, bool), [np.frombuffer(J.count_vector(s), np.int32) for s in sets], 85)
+    assert not J.block_pairs(ids, ids, np.array([len(s) for s in sets]), np.ones(100, bool), [J.vector_of(J.count_vector(s), len(s)) for s in sets], 85)

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from .text import col, units
+from .text import col, let, units
 
 #: Two-sided 95 % quantiles of Student's t by degrees of freedom; the normal's beyond 120.
 T95 = {1: 12.706, 2: 4.303, 3: 3.182, 4: 2.776, 5: 2.571, 6: 2.447, 7: 2.365, 8: 2.306, 9: 2.262, 10: 2.228, 20: 2.086, 30: 2.042, 60: 2.000, 120: 1.980}
@@ -85,8 +85,8 @@ def gram_overlap(pairs: DataFrame, key: list[str], n: int) -> DataFrame:
     """key, n_ref, n_hyp, shared (clipped) of runs of n units; counted as rows, not in memory."""
 
     def rows(c: str, other: str) -> DataFrame:
-        w = units(c)
-        made = F.when(F.size(w) >= n, _grams(w, n)).otherwise(F.array().cast("array<string>"))
+        none = F.array().cast("array<string>")
+        made = let(units(c), lambda w: F.when(F.size(w) >= n, _grams(w, n)).otherwise(none))
         return pairs.select(*key, F.explode(made).alias("g"), F.lit(1).alias(c), F.lit(0).alias(other))
 
     counts = rows("ref", "hyp").unionByName(rows("hyp", "ref")).groupBy(*key, "g").agg(F.sum("ref").alias("r"), F.sum("hyp").alias("h"))

@@ -22,6 +22,11 @@ def col(c: Column | str) -> Column:
     return F.col(c) if isinstance(c, str) else c
 
 
+def let(value: Column, f) -> Column:
+    """f of a value that is computed once; inside a lambda, an expression would be computed each time."""
+    return F.get(F.transform(F.array(value), f), F.lit(0))
+
+
 def units(text: Column | str, ws: str = "collapse", unicode_blanks: bool = False) -> Column:
     """Non-blank units in order; ws="lines" keeps line breaks as units of their own.
 
@@ -37,7 +42,7 @@ def gaps(text: Column | str) -> Column:
     seps = F.regexp_extract_all(t, F.lit(GAP), F.lit(0))
     leading = F.regexp_like(t, F.lit(f"^{GAP}")).cast("int")
     at = F.transform(seps, lambda s, i: F.struct((i + 1 - leading).alias("pos"), s.alias("sep")))
-    return F.filter(at, lambda g: (g["sep"] != " ") | (g["pos"] == 0) | (g["pos"] == F.size(units(t))))
+    return let(F.size(units(t)), lambda n: F.filter(at, lambda g: (g["sep"] != " ") | (g["pos"] == 0) | (g["pos"] == n)))
 
 
 def rejoin(words: Column | str, seps: Column | str) -> Column:
@@ -45,12 +50,15 @@ def rejoin(words: Column | str, seps: Column | str) -> Column:
     w, g = col(words), col(seps)
     n = F.size(w)
     at = lambda p: F.coalesce(F.get(F.filter(g, lambda x: x["pos"] == p), F.lit(0))["sep"], F.lit(""))
-    inner = F.filter(g, lambda x: (x["pos"] > 0) & (x["pos"] < n))
-    before = lambda k: F.coalesce(F.get(inner, k - 1)["pos"], F.lit(0))
     blanks = lambda many: F.array_repeat(F.lit(" "), many.cast("int"))
-    middle = F.flatten(F.transform(inner, lambda x, k: F.concat(blanks(x["pos"] - before(k) - 1), F.array(x["sep"]))))
-    rest = blanks(F.greatest(n - 1 - F.coalesce(F.try_element_at(inner, F.lit(-1))["pos"], F.lit(0)), F.lit(0)))
-    all_seps = F.concat(F.array(at(F.lit(0))), middle, rest)
+
+    def seps(inner: Column) -> Column:
+        before = lambda k: F.coalesce(F.get(inner, k - 1)["pos"], F.lit(0))
+        middle = F.flatten(F.transform(inner, lambda x, k: F.concat(blanks(x["pos"] - before(k) - 1), F.array(x["sep"]))))
+        rest = blanks(F.greatest(n - 1 - F.coalesce(F.try_element_at(inner, F.lit(-1))["pos"], F.lit(0)), F.lit(0)))
+        return F.concat(F.array(at(F.lit(0))), middle, rest)
+
+    all_seps = let(F.filter(g, lambda x: (x["pos"] > 0) & (x["pos"] < n)), seps)
     return F.when(n == 0, at(F.lit(0))).otherwise(F.concat(F.array_join(F.zip_with(F.slice(all_seps, 1, n), w, lambda s, u: F.concat(s, u)), ""), at(n)))
 
 
@@ -145,5 +153,4 @@ def legend_map(legend: Column | str) -> Column:
 
 def unfold_expr(folded: Column | str, legend: Column | str) -> Column:
     """Units with every marker of the legend replaced by its entry; one pass, as entries hold no markers."""
-    m = legend_map(legend)
-    return F.flatten(F.transform(col(folded), lambda u: F.coalesce(F.try_element_at(m, u), F.array(u))))
+    return let(legend_map(legend), lambda m: F.flatten(F.transform(col(folded), lambda u: F.coalesce(F.try_element_at(m, u), F.array(u)))))

@@ -34,12 +34,12 @@ def assign_shards_count(df: DataFrame, count: int = 2000) -> DataFrame:
 
 def split_oversize(df: DataFrame, budget: int, cost: str = "pieces") -> DataFrame:
     """Records above the budget become several, cut between units; `piece` counts them."""
-    u = units("text")
+    u = F.col("_units")
     # A unit costs at least one token, so pieces of budget // (largest unit's cost) units fit.
     most = F.aggregate(F.transform(u, lambda x: COSTS[cost](x)), F.lit(1).cast("long"), lambda a, x: F.greatest(a, x))
     step = F.greatest(F.floor(F.lit(budget) / most), F.lit(1)).cast("int")
-    cut = F.transform(F.sequence(F.lit(0), F.greatest(F.size(u) - 1, F.lit(0)), step), lambda i: F.array_join(F.slice(u, i + 1, step), " "))
-    d = df.withColumn("_texts", F.when(COSTS[cost]("text") > budget, cut).otherwise(F.array("text")))
+    cut = F.transform(F.sequence(F.lit(0), F.greatest(F.size(u) - 1, F.lit(0)), F.col("_step")), lambda i: F.array_join(F.slice(u, i + 1, F.col("_step")), " "))
+    d = df.withColumn("_units", units("text")).withColumn("_step", step).withColumn("_texts", F.when(COSTS[cost]("text") > budget, cut).otherwise(F.array("text")))
     return d.select(*[c for c in df.columns if c != "text"], F.posexplode("_texts").alias("piece", "text"))
 
 

@@ -221,8 +221,7 @@ def gram_near_copies(s, d):
     """Documents that share runs of five units with test items."""
 
     def five(df, key):
-        u = T.units("text")
-        runs = F.when(F.size(u) >= 5, F.transform(F.sequence(F.lit(1), F.size(u) - 4), lambda i: F.array_join(F.slice(u, i, 5), " ")))
+        runs = T.let(T.units("text"), lambda u: F.when(F.size(u) >= 5, F.transform(F.sequence(F.lit(1), F.size(u) - 4), lambda i: F.array_join(F.slice(u, i, 5), " "))))
         return df.select(key, F.explode(F.array_distinct(runs)).alias("g"))
 
     return five(C.read(s, d, "benchmark"), "item_id").join(five(docs(s, d), "doc_id"), "g").groupBy("item_id", "doc_id").agg(F.count("*").alias("shared"))
@@ -319,7 +318,7 @@ def fold_closure(s, d):
     """Folding what was folded, markers kept apart by unique walls, finds nothing."""
     f = _folded_events(s, d, cost="unit", guard=False)
     own = F.transform("legend", lambda e: e["marker"])
-    walled = F.transform("folded", lambda u, i: F.when(F.array_contains(own, u), F.concat(F.lit("|"), i.cast("string"), F.lit("|"))).otherwise(u))
+    walled = T.let(own, lambda m: F.transform("folded", lambda u, i: F.when(F.array_contains(m, u), F.concat(F.lit("|"), i.cast("string"), F.lit("|"))).otherwise(u)))
     again = f.select("shard_id", "corpus", walled.alias("units"), F.array().cast("array<int>").alias("rec_starts"))
     return fold_sweep(again, [10], Options(cost="unit")).select("shard_id", F.col("n_entries").alias("n_new"))
 

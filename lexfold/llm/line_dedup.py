@@ -113,15 +113,16 @@ def dropped_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
 
 def dedup_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
     """docs with the dropped lines taken out of text, and counts of lines."""
-    gone = dropped_lines(docs.select("doc_id", "text"), min_near).withColumnRenamed("doc_id", "gone_id")
-    d = docs.join(gone, F.coalesce(docs["doc_id"], F.lit(2**63 - 1)) == gone["gone_id"], "left")
+    gone = dropped_lines(docs.select("doc_id", "text"), min_near).toDF("_gone_id", "_exact", "_near")
+    docs = docs.drop("n_lines", "n_exact_dropped", "n_near_dropped")
+    d = docs.join(gone, F.coalesce("doc_id", F.lit(2**63 - 1)) == F.col("_gone_id"), "left")
     none = F.array().cast("array<int>")
     size = lambda c: F.size(F.coalesce(c, none)).cast("long")
-    d = d.withColumn("lines", F.split(F.coalesce("text", F.lit("")), "\n"))
-    rest = F.array_except(F.sequence(F.lit(0), F.size("lines") - 1), F.concat("exact", "near"))
-    kept = F.array_join(F.transform(F.sort_array(rest), lambda i: F.get("lines", i)), "\n")
-    d = d.withColumns({"text": F.when(F.col("gone_id").isNull(), F.coalesce("text", F.lit(""))).otherwise(kept), "n_lines": F.size("lines").cast("long"), "n_exact_dropped": size("exact"), "n_near_dropped": size("near")})
-    return d.drop("lines", "exact", "near", "gone_id")
+    d = d.withColumn("_lines", F.split(F.coalesce("text", F.lit("")), "\n"))
+    rest = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), F.concat("_exact", "_near"))
+    kept = F.array_join(F.transform(F.sort_array(rest), lambda i: F.get("_lines", i)), "\n")
+    d = d.withColumns({"text": F.when(F.col("_gone_id").isNull(), F.coalesce("text", F.lit(""))).otherwise(kept), "n_lines": F.size("_lines").cast("long"), "n_exact_dropped": size("_exact"), "n_near_dropped": size("_near")})
+    return d.drop("_lines", "_exact", "_near", "_gone_id")
 
 
 def without_repeated_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:

@@ -7,12 +7,20 @@ Every layer keeps, for each of its characters, the span of the original text tha
 what is found in a layer is reported where its encoded form stands.
 
 Escapes are decoded in the whole layer, so a key before an escape and a value behind it stay together;
-base64 runs become layers of their own, placed at the run.
+base64 runs become layers of their own, placed at the run. As the
+patterns are ASCII, decoded bytes are read as Latin-1, which no byte prevents; runs of ASCII in UTF-16
+are read beside it. Compressed data are unpacked to the end of the input: all members and frames, in
+any mix of formats, then what is left over as it stands.
+
+Decoded bytes are scanned as a stream in windows cut where no pattern can stand, so nothing is left
+out for its size and only one window of a layer is held at a time.
 
 Cases. Null and empty texts have no spans. Rows are returned one for one, null and repeated doc_ids
 too; other columns are ignored and tables may be empty. Offsets count code points. Equal spans found
-in several layers count once. A layer that would unpack to more than MOST_BYTES is not unpacked; the
-run that holds it is reported as `bomb`, so it is never silently left out.
+in several layers count once. A layer of more than MOST_BYTES is scanned like any other, and the run
+that holds it is reported as `bomb` besides; so is a run whose unpacking comes back to where it was.
+Pattern characters without a break over MOST_BYTES are cut there, with an overlap. Time grows with the
+unpacked size.
 """
 
 from __future__ import annotations
@@ -24,8 +32,9 @@ import html
 import lzma
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from hashlib import sha256
+from itertools import chain
 
 import pyarrow as pa
 import zstandard
@@ -43,10 +52,16 @@ HEX = re.compile(r"[0-9a-f]{16,}")
 LEAST_VALUE = 12
 
 MOST_BYTES = 64 << 20
+#: Bytes of a window, what neighbouring windows share, and bytes unpacked in one step.
+WINDOW, OVERLAP, STEP = 4 << 20, 4096, 1 << 16
 _URL = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 _ESCAPE = re.compile(r"\\u\{[0-9A-Fa-f]{1,6}\}|(?:\\u[0-9A-Fa-f]{4})+|\\x[0-9A-Fa-f]{2}|&#[0-9]{1,7};|&#[xX][0-9A-Fa-f]{1,6};")
 _BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
-_PRINTABLE = re.compile(r"[\x20-\x7e\s\xa1-\U0010ffff]*")
+#: Bytes that no pattern holds, and ASCII in UTF-16 of either byte order.
+_BREAK = re.compile(rb"[^A-Za-z0-9+/_.=\-\"' :%\\{}&#;\x00]")
+_WIDE = re.compile(rb"(?:[\t\n\r\x20-\x7e]\x00){8,}|(?:\x00[\t\n\r\x20-\x7e]){8,}")
+_Zlib = type(zlib.decompressobj())
+_BAD_DATA = (zlib.error, OSError, EOFError, ValueError, lzma.LZMAError, zstandard.ZstdError)
 
 Span = tuple[str, int, int]
 
@@ -114,107 +129,225 @@ def _escape_run(run: str) -> list[tuple[str, int]] | None:
 def unescaped(layer: Layer, pattern: re.Pattern, decode) -> Layer | None:
     """The layer with all escapes of a kind decoded; None if there are none."""
     pieces, spans, at, changed = [], [], 0, False
+    one_place = isinstance(layer.spans, tuple)
     for m in pattern.finditer(layer.text):
         got = decode(m[0])
         if got is None:
             continue
         changed = True
         pieces.append(layer.text[at : m.start()])
-        spans += [layer.original(i, i + 1) for i in range(at, m.start())]
-        i = m.start()
-        for c, n in got:
-            pieces.append(c)
-            spans.append(layer.original(i, i + n))
-            i += n
+        pieces += [c for c, _ in got]
+        if not one_place:
+            spans += [layer.original(i, i + 1) for i in range(at, m.start())]
+            i = m.start()
+            for _, n in got:
+                spans.append(layer.original(i, i + n))
+                i += n
         at = m.end()
     if not changed:
         return None
     pieces.append(layer.text[at:])
+    if one_place:
+        return Layer("".join(pieces), layer.spans)
     spans += [layer.original(i, i + 1) for i in range(at, len(layer.text))]
-    return Layer("".join(pieces), layer.spans if isinstance(layer.spans, tuple) else spans)
+    return Layer("".join(pieces), spans)
 
 
-class TooLarge(Exception):
-    pass
+class Stream:
+    """Chunks of bytes that can be looked at ahead and given back."""
 
+    def __init__(self, chunks: Iterable[bytes]):
+        self.chunks, self.kept = filter(None, chunks), b""
+        self.taken: list[bytes] | None = None
 
-def unpacked(data: bytes) -> bytes | None:
-    """Decompressed bytes of gzip, zlib, bzip2, xz or zstandard data; None for anything else."""
-    if data[:2] == b"\x1f\x8b":
-        engine = zlib.decompressobj(31)
-    elif len(data) > 2 and data[0] == 0x78 and (data[0] << 8 | data[1]) % 31 == 0:
-        engine = zlib.decompressobj()
-    elif data[:3] == b"BZh":
-        engine = bz2.BZ2Decompressor()
-    elif data[:6] == b"\xfd7zXZ\x00":
-        engine = lzma.LZMADecompressor()
-    elif data[:4] == b"\x28\xb5\x2f\xfd":
-        try:
-            with zstandard.ZstdDecompressor().stream_reader(data) as r:
-                out = r.read(MOST_BYTES + 1)
-        except zstandard.ZstdError:
-            return None
-        if len(out) > MOST_BYTES:
-            raise TooLarge
+    def take(self) -> bytes:
+        out, self.kept = self.kept or next(self.chunks, b""), b""
+        if self.taken is not None:
+            self.taken.append(out)
         return out
-    else:
-        return None
-    try:
-        out = engine.decompress(data, MOST_BYTES + 1)
-    except (zlib.error, OSError, EOFError, lzma.LZMAError):
-        return None
-    if len(out) > MOST_BYTES:
-        raise TooLarge
-    return out
+
+    def peek(self, n: int) -> bytes:
+        while len(self.kept) < n and (more := next(self.chunks, b"")):
+            self.kept += more
+        return self.kept[:n]
+
+    def give_back(self, data: bytes) -> None:
+        self.kept = data + self.kept
+        if self.taken is not None and data:
+            self.taken = [b"".join(self.taken)[: -len(data)]]
+
+
+def in_chunks(data: bytes) -> Iterator[bytes]:
+    return (data[i : i + STEP] for i in range(0, len(data), STEP))
+
+
+def engine_for(head: bytes):
+    """What unpacks data that begin so; None for anything else."""
+    if head[:2] == b"\x1f\x8b":
+        return zlib.decompressobj(31)
+    if len(head) > 2 and head[0] == 0x78 and (head[0] << 8 | head[1]) % 31 == 0:
+        return zlib.decompressobj()
+    if head[:3] == b"BZh":
+        return bz2.BZ2Decompressor()
+    if head[:6] == b"\xfd7zXZ\x00":
+        return lzma.LZMADecompressor()
+    if head[:4] == b"\x28\xb5\x2f\xfd":
+        return zstandard.ZstdDecompressor().decompressobj()
+    return None
 
 
-def from_base64(run: str) -> str | None:
-    """Text inside a base64 run, below any compression; None where there is none."""
+def _member(engine, source: Stream) -> Iterator[bytes]:
+    """What one member holds, piece by piece; what follows it, or cannot be read, goes back to the source."""
+    while data := source.take():
+        try:
+            if isinstance(engine, _Zlib):
+                left = data
+                while left and not engine.eof:
+                    yield engine.decompress(left, STEP)
+                    left = engine.unconsumed_tail
+            elif isinstance(engine, (bz2.BZ2Decompressor, lzma.LZMADecompressor)):
+                yield engine.decompress(data, STEP)
+                while not engine.eof and not engine.needs_input:
+                    yield engine.decompress(b"", STEP)
+            else:  # zstandard has no bound on what a step gives, so the steps are small
+                for i in range(0, len(data), 256):
+                    yield engine.decompress(data[i : i + 256])
+                    if engine.eof:
+                        source.give_back(data[i + 256 :])
+                        break
+        except _BAD_DATA:
+            source.give_back(data)
+            raise
+        if engine.eof:
+            source.give_back(engine.unused_data)
+            return
+    if isinstance(engine, _Zlib):
+        yield engine.flush()
+
+
+def _skipped(source: Stream) -> bool:
+    """Take padding or a zstandard frame without data off the source; False if it begins with neither."""
+    head = source.peek(8)
+    if head[:1] == b"\x00":
+        while (data := source.take()) and not (rest := data.lstrip(b"\x00")):
+            pass
+        source.give_back(rest if data else b"")
+        return True
+    if len(head) == 8 and 0x50 <= head[0] <= 0x5F and head[1:4] == b"\x2a\x4d\x18":
+        left = 8 + int.from_bytes(head[4:], "little")
+        while left and (data := source.take()):
+            source.give_back(data[left:])
+            left -= min(left, len(data))
+        return True
+    return False
+
+
+def _members(source: Stream) -> Iterator[bytes]:
+    """All members one after the other, then what is left over, on a line of its own."""
+    begun = False
+    while head := source.peek(8):
+        if (engine := engine_for(head)) is None:
+            if (begun or head[1:4] == b"\x2a\x4d\x18") and _skipped(source):
+                continue
+            break
+        try:
+            for out in _member(engine, source):
+                begun = begun or bool(out)
+                yield out
+            begun = True
+        except _BAD_DATA:
+            break
+    if begun and source.peek(1):
+        yield b"\n"
+        while data := source.take():
+            yield data
+
+
+def opened(source: Stream) -> Stream | None:
+    """What the source holds one level of compression below; None, and the source as it was, if nothing."""
+    source.taken = []
+    inner = filter(None, _members(source))
+    first = next(inner, b"")
+    taken, source.taken = source.taken, None
+    if first and first != b"\n":
+        return Stream(chain([first], inner))
+    # Nothing came out, so what was taken is all there was to it.
+    source.kept, source.chunks = b"", filter(None, chain(taken, [source.kept], source.chunks))
+    return None
+
+
+def windows(data: bytes, place: tuple[int, int], out: set[Span]) -> Iterator[Layer]:
+    """Layers over what data hold below any compression; marks what is too large, or comes back, in out."""
+    source, heads, total = Stream(in_chunks(data)), set(), 0
+    while (inner := opened(source)) is not None:
+        source = inner
+        if (head := source.peek(STEP)) in heads or head == data:
+            out.add(("bomb", *place))
+            return
+        heads.add(head)
+
+    def layer(b: bytes) -> Layer:
+        wide = b"".join(b"\n" + (m[0][1::2] if m[0][0] == 0 else m[0][::2]) for m in _WIDE.finditer(b)) if b"\x00" in b else b""
+        return Layer((b + wide).decode("latin-1"), place)
+
+    parts: list[bytes] = []
+    size = 0
+    while chunk := source.take():
+        total += len(chunk)
+        if total > MOST_BYTES:
+            out.add(("bomb", *place))
+        parts.append(chunk)
+        size += len(chunk)
+        if size < WINDOW:
+            continue
+        at = max((m.start() for m in _BREAK.finditer(chunk)), default=None)
+        if at is None and size < MOST_BYTES:
+            continue
+        whole = b"".join(parts)
+        end = len(whole) if at is None else len(whole) - len(chunk) + at
+        yield layer(whole[:end])
+        parts = [whole[max(0, end - OVERLAP) :]]
+        size = len(parts[0])
+    if parts:
+        yield layer(b"".join(parts))
+
+
+def base64_bytes(run: str) -> bytes | None:
     body = run.rstrip("=").replace("-", "+").replace("_", "/")
     if len(body) % 4 == 1:
         return None
     try:
-        data: bytes | None = base64.b64decode(body + "=" * (-len(body) % 4), validate=True)
+        return base64.b64decode(body + "=" * (-len(body) % 4), validate=True)
     except binascii.Error:
         return None
-    seen = set()
-    while data not in seen and (inner := unpacked(data)) is not None:
-        seen.add(data)
-        data = inner
-    try:
-        text = data.decode()
-    except UnicodeDecodeError:
-        return None
-    return text if text and _PRINTABLE.fullmatch(text) else None
 
 
 def decoded_spans(text: str) -> set[Span]:
     """Spans, in the original text, of what the decoded layers hold."""
     out: set[Span] = set()
-    work, seen, budget = [Layer(text)], set(), MOST_BYTES
+    seen, runs = set(), set()
+    work: list[Iterator[Layer]] = [iter([Layer(text)])]
     while work:
-        layer = work.pop()
+        if (layer := next(work[-1], None)) is None:
+            work.pop()
+            continue
         if (key := layer.key()) in seen:
             continue
         seen.add(key)
         if len(seen) > 1:
             out.update((k, *layer.original(a, b)) for k, a, b in scan(layer.text))
-        if "%" in layer.text and (new := unescaped(layer, _URL, _url_run)):
-            work.append(new)
+        if "%" in layer.text:
+            if new := unescaped(layer, _URL, _url_run):
+                work.append(iter([new]))
         if ("\\" in layer.text or "&#" in layer.text) and (new := unescaped(layer, _ESCAPE, _escape_run)):
-            work.append(new)
+            work.append(iter([new]))
         for m in _BASE64.finditer(layer.text):
             place = layer.original(*m.span())
-            try:
-                inner = from_base64(m[0])
-                budget -= len(inner or "")
-                if budget < 0:
-                    raise TooLarge
-            except TooLarge:
-                out.add(("bomb", *place))
+            if (run := (sha256(m[0].encode()).digest(), place)) in runs:
                 continue
-            if inner is not None:
-                work.append(Layer(inner, place))
+            runs.add(run)
+            if data := base64_bytes(m[0]):
+                work.append(windows(data, place, out))
     return out
 
 

@@ -7,7 +7,7 @@ Every layer keeps, for each of its characters, the span of the original text tha
 what is found in a layer is reported where its encoded form stands.
 
 Escapes are decoded in the whole layer, so a key before an escape and a value behind it stay together;
-base64 runs become layers of their own, placed at the run. As the
+base64 runs and percent-encoded compressed bytes become layers of their own, placed at the run. As the
 patterns are ASCII, decoded bytes are read as Latin-1, which no byte prevents; runs of ASCII in UTF-16
 are read beside it. Compressed data are unpacked to the end of the input: all members and frames, in
 any mix of formats, then what is left over as it stands.
@@ -35,6 +35,7 @@ import zlib
 from collections.abc import Iterable, Iterator
 from hashlib import sha256
 from itertools import chain
+from urllib.parse import unquote_to_bytes
 
 import pyarrow as pa
 import zstandard
@@ -57,6 +58,9 @@ WINDOW, OVERLAP, STEP = 4 << 20, 4096, 1 << 16
 _URL = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 _ESCAPE = re.compile(r"\\u\{[0-9A-Fa-f]{1,6}\}|(?:\\u[0-9A-Fa-f]{4})+|\\x[0-9A-Fa-f]{2}|&#[0-9]{1,7};|&#[xX][0-9A-Fa-f]{1,6};")
 _BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+#: Percent-encoded bytes with the characters that encoders leave as they are.
+_URL_BYTES = re.compile(r"[A-Za-z0-9_.~/+-]*%[0-9A-Fa-f]{2}(?:%[0-9A-Fa-f]{2}|[A-Za-z0-9_.~/+-])*")
+_PACKED = re.compile(rb"\x1f\x8b\x08|x[\x01\x5e\x9c\xda]|BZh[1-9]|\xfd7zXZ\x00|\x28\xb5\x2f\xfd|[\x50-\x5f]\x2a\x4d\x18")
 #: Bytes that no pattern holds, and ASCII in UTF-16 of either byte order.
 _BREAK = re.compile(rb"[^A-Za-z0-9+/_.=\-\"' :%\\{}&#;\x00]")
 _WIDE = re.compile(rb"(?:[\t\n\r\x20-\x7e]\x00){8,}|(?:\x00[\t\n\r\x20-\x7e]){8,}")
@@ -103,12 +107,10 @@ class Layer:
         return sha256(self.text.encode("utf-8", "surrogatepass")).digest(), place
 
 
-def _url_run(run: str) -> list[tuple[str, int]] | None:
-    """(character, escapes that make it) of a run of %XX; None where it is not UTF-8."""
-    try:
-        return [(c, 3 * len(c.encode())) for c in bytes.fromhex(run.replace("%", "")).decode()]
-    except UnicodeDecodeError:
-        return None
+def _url_run(run: str) -> list[tuple[str, int]]:
+    """(character, escapes that make it) of a run of %XX; bytes that are not UTF-8 as Latin-1."""
+    text = bytes.fromhex(run.replace("%", "")).decode("utf-8", "surrogateescape")
+    return [(chr(ord(c) - 0xDC00), 3) if "\udc80" <= c <= "\udcff" else (c, 3 * len(c.encode())) for c in text]
 
 
 def _escape_run(run: str) -> list[tuple[str, int]] | None:
@@ -119,10 +121,7 @@ def _escape_run(run: str) -> list[tuple[str, int]] | None:
         code = int(run.strip("\\ux{}"), 16) if run[2] == "{" else int(run[2:], 16)
         return [(chr(code), len(run))] if code < 0x110000 and not 0xD800 <= code < 0xE000 else None
     units = [int(u, 16) for u in run.split("\\u")[1:]]
-    try:
-        text = b"".join(u.to_bytes(2, "big") for u in units).decode("utf-16-be")
-    except UnicodeDecodeError:
-        return None
+    text = b"".join(u.to_bytes(2, "big") for u in units).decode("utf-16-be", "surrogatepass")
     return [(c, 12 if ord(c) > 0xFFFF else 6) for c in text]
 
 
@@ -322,6 +321,15 @@ def base64_bytes(run: str) -> bytes | None:
         return None
 
 
+def url_bytes(run: str) -> Iterator[bytes]:
+    """Compressed data that a percent-encoded run may hold, from where they begin; + also as a blank."""
+    for form in {run, run.replace("+", " ")}:
+        data = unquote_to_bytes(form)
+        for m in _PACKED.finditer(data):
+            if opened(Stream(in_chunks(data[m.start() :]))) is not None:
+                yield data[m.start() :]
+
+
 def decoded_spans(text: str) -> set[Span]:
     """Spans, in the original text, of what the decoded layers hold."""
     out: set[Span] = set()
@@ -339,6 +347,9 @@ def decoded_spans(text: str) -> set[Span]:
         if "%" in layer.text:
             if new := unescaped(layer, _URL, _url_run):
                 work.append(iter([new]))
+            for m in _URL_BYTES.finditer(layer.text):
+                place = layer.original(*m.span())
+                work += [windows(data, place, out) for data in url_bytes(m[0])]
         if ("\\" in layer.text or "&#" in layer.text) and (new := unescaped(layer, _ESCAPE, _escape_run)):
             work.append(iter([new]))
         for m in _BASE64.finditer(layer.text):

@@ -121,3 +121,16 @@ def test_size_does_not_hide(monkeypatch):
     for shift in range(0, 60, 7):
         data = b"n\n" * (32_760 + shift) + KEY.encode() + b"\n" * 70_000
         assert "access" in kinds_of(gzip.compress(data)), shift
+
+
+def test_bytes_that_are_not_text():
+    text = f"key {KEY} end"
+    for data in (text.encode() + b"\x00", b"\x1b[31m" + text.encode(), b"caf\xe9 " + text.encode(), text.encode("utf-16"), text.encode("utf-16-be"), b"\xff" + text.encode("utf-16-le"), bytes(range(256)) + text.encode()):
+        assert "access" in kinds_of(data), data
+        assert "access" in kinds_of(gzip.compress(data)), data
+    every = lambda b: "".join(f"%{x:02X}" for x in b)
+    for form in (every, urllib.parse.quote, urllib.parse.quote_plus):
+        for pack in (gzip.compress, zlib.compress, bz2.compress, lzma.compress, zstandard.compress):
+            assert "access" in kinds_of(pack(text.encode() * 9), form), (form, pack)
+        assert "access" in kinds_of(b"\xff " + text.encode() + b" \xe9", form)
+    assert kinds_of(text.encode(), lambda b: "\\ud800" + "".join(f"\\u{x:04x}" for x in b)) == {"access"}

@@ -12,10 +12,13 @@ similarity reaches a bound. The join is exact:
    the sum of coordinate minima of two points, or of the upper corners of two nodes, bounds the
    overlap from above; pairs below the overlap that the bound on similarity asks for are pruned.
 4. What survives is verified on the whole sets, and verified links are contracted to groups.
+5. Inside each group every pair of classes is compared on the whole sets, tile by tile, which gives
+   the exact number of links of each document.
 
 Blocks are cut by size class (linking sets differ by a bounded factor) and, where they are large,
 into tiles, so that no task holds an unbounded group. A pair inside one label is known to be
-connected already, so leaving it out loses no group.
+connected already, so leaving it out loses no group; the links of step 5 do not depend on it. The work
+of step 5 grows with the square of a group, in memory bounded by tiles.
 
 Cases. Null and empty texts have no shingles, link with nothing and are their own group, as is every
 null doc_id (a null group). Texts under four words are one shingle. Rows that repeat a doc_id count
@@ -36,6 +39,8 @@ from .common import byte_texts, components, cut, mix, run_hashes, sized, slices,
 
 #: A block's tile; R-tree leaf and inner node sizes.
 TILE, LEAF = 2048, 32
+#: Shingles of a tile whose links are counted, and columns of a membership matrix.
+TILE_SHINGLES, COLUMNS = 500_000, 4096
 #: Pairs that a task remembers having sent.
 MOST_SEEN = 500_000
 #: Hash groups by set size: enough that unlike sets of that size differ in their counts.
@@ -270,11 +275,8 @@ def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int =
     return near.select("a", "b", "n_a", "n_b", "v_a", "v_b").mapInArrow(run, "a long, b long")
 
 
-def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFrame:
-    """doc_id, n_shingles, component_id and n_links of every row of docs (doc_id, text).
-
-    n_links counts the verified links of a document's class that the search needed.
-    """
+def _grouped(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Profiles of the documents, their classes, and the groups of linked classes."""
     made = cut(profiles(docs, width, percent))
     classes = made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies"))
     ids = cut(classes.select("id", "copies"))
@@ -284,17 +286,73 @@ def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFr
     members = made.withColumnRenamed("doc_id", "id").join(labelled, "id")
     second = cut(verified(docs, tree_candidates(members, percent), width, percent))
     links = first.select("a", "b").union(second.select("a", "b")).distinct()
-    final = components(links)
-    degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
-    of_class = classes.drop("copies").join(final, "id", "left").join(degree, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return made, classes.drop("copies"), components(links)
+
+
+def cell_links(cell: pa.Table, percent: int) -> pa.Table:
+    """(id, n_links) of the members of a cell: of tile i with tile j, both ways; or inside one tile.
+
+    cell: id, copies, tile, i, j, shingles. Overlaps are products of membership matrices.
+    """
+    ids, copies, tile = (cell.column(c).to_numpy() for c in ("id", "copies", "tile"))
+    lists = cell.column("shingles").combine_chunks()
+    sizes = lists.value_lengths().to_numpy().astype(np.int64)
+    _, column = np.unique(lists.flatten().to_numpy(), return_inverse=True)
+    row = np.repeat(np.arange(len(ids)), sizes)
+    order = np.argsort(column, kind="stable")
+    column, row = column[order], row[order]
+    one, other = np.flatnonzero(tile == cell.column("i")[0].as_py()), np.flatnonzero(tile == cell.column("j")[0].as_py())
+    shared = np.zeros((len(one), len(other)), np.float32)
+    for lo in range(0, int(column[-1]) + 1, COLUMNS):
+        x, y = np.searchsorted(column, (lo, lo + COLUMNS))
+        held = np.zeros((len(ids), COLUMNS), np.float32)
+        held[row[x:y], column[x:y] - lo] = 1
+        shared += held[one] @ held[other].T
+    link = (100 * shared.astype(np.int64) >= percent * (sizes[one][:, None] + sizes[other] - shared.astype(np.int64))) & (ids[one][:, None] != ids[other])
+    found = np.zeros(len(ids), np.int64)
+    found[one] += link @ copies[other]
+    if cell.column("i")[0] != cell.column("j")[0]:
+        found[other] += link.T @ copies[one]
+    return pa.table({"id": pa.array(ids, pa.int64()), "n_links": pa.array(found, pa.int64())})
+
+
+def all_links(docs: DataFrame, members: DataFrame, width: int, percent: int) -> DataFrame:
+    """(id, n_links): documents of other classes that link with class id. members: id, component, n, copies.
+
+    Linking classes are in one group, so each group is cut into tiles of bounded size and every tile
+    meets every other one of its group. Sets travel once a tile of their group, pairs not at all.
+    """
+    of_group = members.groupBy("component").agg(F.sum("n").alias("most"), F.count("*").alias("m"))
+    tiles = F.greatest(F.ceil(F.col("most") / TILE_SHINGLES), F.ceil(F.col("m") / TILE)).cast("int")
+    m = members.join(of_group.select("component", tiles.alias("tiles")), "component").withColumn("tile", F.pmod(F.xxhash64("id"), "tiles").cast("int"))
+    cell = lambda k: F.struct(F.least(k, "tile").alias("i"), F.greatest(k, "tile").alias("j"))
+    cells = m.select("id", "component", "copies", "tile", F.explode(F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), cell)).alias("c")).select("id", "component", "copies", "tile", "c.*")
+    sets = sets_of(docs, members.select("id"), width).dropDuplicates(["id"])
+    met = cells.join(sets, "id").groupBy("component", "i", "j").applyInArrow(lambda t: cell_links(t, percent), "id long, n_links long")
+    return met.groupBy("id").agg(F.sum("n_links").alias("n_links"))
+
+
+def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFrame:
+    """doc_id, n_shingles, component_id and n_links of every row of docs (doc_id, text).
+
+    n_links counts the other documents (distinct ids) whose sets are similar enough, equal sets included.
+    """
+    made, _, final = _grouped(docs, width, percent)
+    final = cut(final)
+    copies = cut(made.where("n > 0 and doc_id is not null").select("doc_id", "d1", "d2", "n").distinct().groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies")))
+    links = all_links(docs, cut(copies.select("id", "n", "copies").join(final, "id")), width, percent)
+    n_links = F.col("copies") - 1 + F.coalesce("n_links", F.lit(0))
+    of_class = copies.join(final, "id", "left").join(links, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"), n_links.alias("n_links"))
     d = made.select("doc_id", "n", "d1", "d2").join(of_class, ["d1", "d2", "n"], "left")
     alone = F.col("component_id").isNull() | F.col("doc_id").isNull()
-    return d.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    return d.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.when(alone, 0).otherwise(F.col("n_links")).cast("long").alias("n_links"))
 
 
 def one_of_each_group(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """docs without those that another document stands for; the least doc_id of a group stays."""
-    rest = jaccard_groups(docs, width, percent).where("doc_id <> component_id").select("doc_id").distinct()
+    made, classes, final = _grouped(docs, width, percent)
+    of_class = classes.join(final, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"))
+    rest = made.select("doc_id", "n", "d1", "d2").join(of_class, ["d1", "d2", "n"]).where("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(sized(cut(rest)), "doc_id", "left_anti")
 
 

@@ -85,3 +85,27 @@ def test_random_sets_are_pruned():
     sets = [np.unique(rng.integers(0, 2**63, 400, dtype=np.uint64)) for _ in range(100)]
     ids = np.arange(100)
     assert not J.block_pairs(ids, ids, np.array([len(s) for s in sets]), np.ones(100, bool), [J.vector_of(J.count_vector(s), len(s)) for s in sets], 85)
+
+
+def test_links_are_all_counted(spark, sf, monkeypatch):
+    rng = np.random.default_rng(7)
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
+    middle = sorted((r[1] for r in rows), key=len)[len(rows) // 2]
+    rows += near_copies(middle[:500], 90, rng, 20_000)
+    rows += [(30_000 + i, t) for i, t in enumerate([rows[0][1]] * 3)] + [rows[0], (None, rows[0][1])]
+    sets = {d: J.shingle_sets([(t or "").encode()], 4).__next__() for d, t in rows if d is not None}
+    want = dict.fromkeys(sets, 0)
+    for a in sets:
+        for b in sets:
+            shared = len(np.intersect1d(sets[a], sets[b], assume_unique=True)) if a != b else 0
+            want[a] += shared > 0 and 100 * shared >= 85 * (len(sets[a]) + len(sets[b]) - shared)
+    assert max(want.values()) > 20
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    for tile in (J.TILE_SHINGLES, 1_000):
+        monkeypatch.setattr(J, "TILE_SHINGLES", tile)
+        got = J.jaccard_groups(df).collect()
+        assert {r.doc_id: r.n_links for r in got if r.doc_id is not None} == want
+        assert [r.n_links for r in got if r.doc_id is None] == [0]
+    # Three texts that link pairwise have two links each.
+    three = [(i, " ".join(f"w{k}" for k in range(200)) + f" end{i}") for i in range(3)]
+    assert [r.n_links for r in J.jaccard_groups(spark.createDataFrame(three, "doc_id long, text string")).collect()] == [2, 2, 2]

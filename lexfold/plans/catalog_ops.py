@@ -409,4 +409,4 @@ def sql_fold(s, d):
 
 @query("SELECT corpus, count(*) AS n FROM (SELECT 'ev_' || event_type AS corpus FROM events QUALIFY row_number() OVER (PARTITION BY event_type ORDER BY event_id) <= 2000) GROUP BY 1")
 def corpus_sizes(s, d):
-    return assign_shards_count(C.corpora(s, d, C.MAIN[:5])).groupBy("corpus").agg(F.count("*").alias("n"))
+    return assign_shards_count(C.corpora(s, d, C.MAIN[:5], 2000)).groupBy("corpus").agg(F.count("*").alias("n"))

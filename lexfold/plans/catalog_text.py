@@ -349,7 +349,7 @@ def fold_within_record(s, d):
 
 
 def _ablation(s, d, rows: list[tuple[str, Options]]) -> DataFrame:
-    shards, out = checkpointed(W.standard_shards(s, d, ("ev_click", "orders", "part", "doc_es"))), None
+    shards, out = checkpointed(W.standard_shards(s, d)), None
     for name, o in rows:
         one = M.ratios(fold_sweep(shards, [10], o), ["corpus"]).select(F.lit(name).alias("variant"), "corpus", F.round("cr", 6).alias("cr"), F.round("cr_input", 6).alias("cr_input"))
         out = one if out is None else out.union(one)
@@ -458,7 +458,7 @@ def prompt_shape(s, d):
 @query(f"SELECT corpus, count(*) AS n, count(*) AS exact FROM (SELECT * FROM ({EVENTS}) WHERE corpus IN ('ev_click', 'ev_view') QUALIFY row_number() OVER (PARTITION BY corpus ORDER BY rec_id) <= 2000) GROUP BY 1")
 def exact_reader_accuracy(s, d):
     """Records restored line by line through prompts by the exact reader."""
-    a = W.aligned_exact(s, d, ("ev_click", "ev_view"))
+    a = W.aligned_exact(s, d, ("ev_click", "ev_view"), 2000)
     return a.groupBy("corpus").agg(F.count("*").alias("n"), F.sum(M.exact_match("ref", "hyp")).alias("exact"))
 
 
@@ -668,19 +668,18 @@ def baseline_zlib(s, d):
 
 # --- workloads ------------------------------------------------------------------------------------
 
-SMALL = ("ev_click", "orders", "part", "doc_es")
 query(None, "w1_ratio")(lambda s, d: W.w1_ratio(s, d))
-query(None, "w2_template")(lambda s, d: W.w2_template(s, d, SMALL[:3], cap=500))
+query(None, "w2_template")(lambda s, d: W.w2_template(s, d))
 query(None, "w3_full")(lambda s, d: W.w3_full(s, d))
-query(None, "w4_fold_quality")(lambda s, d: W.w4_fold_quality(s, d, names=SMALL[:3], l_maxs=(3, 6, 10), count=100))
-query(None, "w5_regress")(lambda s, d: W.w5_regress(s, d, names=SMALL[:3], l_maxs=(3, 6, 10), count=100))
+query(None, "w4_fold_quality")(lambda s, d: W.w4_fold_quality(s, d))
+query(None, "w5_regress")(lambda s, d: W.w5_regress(s, d))
 query(None, "w6_clusters")(lambda s, d: W.w6_clusters(s, d))
 query(None, "best_lmax")(lambda s, d: W.w7_best(s, d))
-query(None, "w8_outliers")(lambda s, d: W.w8_outliers(s, d, SMALL))
-query(None, "local_vs_global_legend")(lambda s, d: W.w10_local_global(s, d, SMALL, (2000, 500)))
-query(None, "w11_cost")(lambda s, d: W.w11_cost(s, d, names=SMALL))
+query(None, "w8_outliers")(lambda s, d: W.w8_outliers(s, d))
+query(None, "local_vs_global_legend")(lambda s, d: W.w10_local_global(s, d))
+query(None, "w11_cost")(lambda s, d: W.w11_cost(s, d))
 query(None, "w12_domains")(lambda s, d: W.w12_domains(s, d))
-query(None, "template_vs_fold")(lambda s, d: W.template_vs_fold(s, d, SMALL))
+query(None, "template_vs_fold")(lambda s, d: W.template_vs_fold(s, d))
 
 
 @query(f"SELECT corpus, count(*) AS records, sum({P.format('text')})::BIGINT AS tokens, ceil(sum({P.format('text')}) / 64000)::BIGINT AS shards_64k FROM ({EVENTS} UNION ALL {ORDERS} UNION ALL {PART} UNION ALL {CUSTOMER}) GROUP BY 1")

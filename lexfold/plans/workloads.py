@@ -21,8 +21,8 @@ from ..sources.corpora import EXTRA, LANGS, MAIN, corpora, document_records, eve
 READERS: tuple[Reader, ...] = (ExactReader(), NoisyReader(seed=7))
 
 
-def standard_shards(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, cap: int | None = 2000, ws: str = "collapse") -> DataFrame:
-    """One shard of up to 2,000 records for each corpus."""
+def standard_shards(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, cap: int | None = None, ws: str = "collapse") -> DataFrame:
+    """Shards of up to 2,000 records over the whole of each corpus."""
     return S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names, cap), 2000), ws)
 
 
@@ -43,7 +43,7 @@ def _pair_metrics(pairs: DataFrame, key: list[str], long: bool) -> DataFrame:
     return flat.unionByName(r1).unionByName(b)
 
 
-def w2_template(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, readers: tuple[Reader, ...] = READERS, cap: int | None = 2000) -> DataFrame:
+def w2_template(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, readers: tuple[Reader, ...] = READERS, cap: int | None = None) -> DataFrame:
     """corpus, reader, metric, mean, sem, n of template folding, by record.
 
     Every record's folded line stands alone in a prompt of its corpus; the answer is compared line by line.
@@ -80,11 +80,11 @@ def w3_full(spark: SparkSession, sf_dir: str, readers: tuple[Reader, ...] = READ
 
 
 def w4_pairs(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, l_maxs: Iterable[int] = range(3, 11), readers: tuple[Reader, ...] = READERS, count: int = 200) -> DataFrame:
-    """shard_id, corpus, l_max, reader, cr, ref, hyp; count records a corpus, 2,000 for the whole batch.
+    """shard_id, corpus, l_max, reader, cr, ref, hyp of all records, in shards of count.
 
-    Edit distance of whole batches grows with the square of their length, so the default is smaller.
+    Edit distance of whole shards grows with the square of their length, so the default is below 2,000.
     """
-    shards = checkpointed(S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names, count), count)))
+    shards = checkpointed(S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names), count)))
     folded = checkpointed(fold_sweep(shards, l_maxs, full=True))
     prompts = build_prompts(folded.withColumn("shard_id", F.concat_ws("@", "shard_id", F.col("l_max").cast("string"))))
     refs = shards.select("shard_id", F.array_join("units", " ").alias("ref"))
@@ -119,8 +119,8 @@ def w7_best(spark: SparkSession, sf_dir: str, **grid) -> DataFrame:
 
 
 def w8_outliers(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, reader: Reader = READERS[1]) -> DataFrame:
-    """corpus, digit_density, mean_unit_len, confusable_share, levenshtein of a simulated reader."""
-    shards = checkpointed(standard_shards(spark, sf_dir, names, 300))
+    """corpus, digit_density, mean_unit_len, confusable_share, levenshtein of a simulated reader, in shards of 300 records."""
+    shards = checkpointed(S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names), 300)))
     folded = checkpointed(fold_sweep(shards, [10], full=True))
     text = shards.groupBy("corpus").agg(F.avg(M.digit_density("text")).alias("digit_density"), F.avg(F.length("text") / F.size("units")).alias("mean_unit_len"))
     conf = M.legend_confusability(legend(folded)).join(folded.select("shard_id", "corpus"), "shard_id").groupBy("corpus").agg((F.sum("n_confusable") / F.sum("n_entries")).alias("confusable_share"))
@@ -206,9 +206,9 @@ def template_roundtrip(records: DataFrame, mode: str = "slots", slots_too: bool
     return unfold_templates(fold_templates(records, catalogue, mode), catalogue, mode)
 
 
-def aligned_exact(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
+def aligned_exact(spark: SparkSession, sf_dir: str, names: tuple[str, ...], cap: int | None = None) -> DataFrame:
     """(corpus, rec_id, ref, hyp) through prompts and the exact reader; line breaks are units of their own."""
-    records = S.assign_shards_count(corpora(spark, sf_dir, names))
+    records = S.assign_shards_count(corpora(spark, sf_dir, names, cap))
     folded = fold_sweep(S.shard_units(records, "lines"), [10], full=True)
     a = read_prompts(build_prompts(folded), ExactReader()).withColumn("answer", F.regexp_replace("answer", " ?\n ?", "\n"))
     return align(a, records)

@@ -101,8 +101,8 @@ RENDERERS = {
 }
 
 
-def corpora(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, cap: int | None = 2000) -> DataFrame:
-    """Records of the named corpora; cap keeps the first records of each by order."""
+def corpora(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, cap: int | None = None) -> DataFrame:
+    """Records of the named corpora; a cap, if given, keeps the first records of each by order."""
     made = []
     for render in dict.fromkeys(RENDERERS[n] for n in names):
         own = [n for n in names if RENDERERS[n] is render]

@@ -74,6 +74,7 @@ def filter_null_safe(s, d):
 
 for _kind, _how in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
     both(f"join_{_kind}_labels", f"SELECT d.doc_id, l.doc_id AS label_id, l.quality FROM (SELECT * FROM @documents WHERE doc_id % 2 = 0) d {_how} @labels l ON d.doc_id = l.doc_id")
+    both(f"join_{_kind}_labels_whole", f"SELECT d.doc_id, l.doc_id AS label_id, l.quality FROM @documents d {_how} @labels l ON d.doc_id = l.doc_id")
 both("join_semi_labels", "SELECT doc_id FROM @documents d WHERE EXISTS (SELECT 1 FROM @labels l WHERE l.doc_id = d.doc_id)")
 both("join_anti_labels", "SELECT doc_id FROM @documents d WHERE NOT EXISTS (SELECT 1 FROM @labels l WHERE l.doc_id = d.doc_id)")
 both("join_star_log", "SELECT r.r_name, n.n_name, count(*) AS n, count(DISTINCT o.o_orderkey) AS orders FROM @lineitem l JOIN @orders o ON l.l_orderkey = o.o_orderkey JOIN @customer c ON o.o_custkey = c.c_custkey JOIN @nation n ON c.c_nationkey = n.n_nationkey JOIN @region r ON n.n_regionkey = r.r_regionkey GROUP BY 1, 2")
@@ -213,6 +214,7 @@ both("limit_offset", "SELECT doc_id FROM @documents ORDER BY doc_id LIMIT 10 OFF
 _A, _B = "SELECT source, lang FROM @documents WHERE doc_id % 3 = 0", "SELECT source, lang FROM @documents WHERE doc_id % 5 = 0"
 for _name, _op in (("union_all", "UNION ALL"), ("union", "UNION"), ("intersect", "INTERSECT"), ("except", "EXCEPT"), ("intersect_all", "INTERSECT ALL"), ("except_all", "EXCEPT ALL")):
     both(f"set_{_name}", f"{_A} {_op} {_B}")
+    both(f"set_{_name}_whole", f"SELECT doc_id FROM @documents {_op} SELECT doc_id FROM @labels")
 
 
 @query()
@@ -232,6 +234,11 @@ both(
     "SELECT doc_id, lower(left(text, 30)) AS a, upper(source) AS b, substring(text, 3, 5) AS c, replace(left(text, 40), 'e', '_') AS d, lpad(source, 8, '*') AS e, reverse(source) AS f, repeat(lang, 2) AS g, length(text) AS h, starts_with(text, 'Th') AS i, concat_ws('-', lang, source) AS j, translate(source, 'src', 'SRC') AS k, trim('  x ') AS l FROM @documents WHERE doc_id % 2 = 0",
     "SELECT doc_id, lower(left(text, 30)) AS a, upper(source) AS b, substring(text, 3, 5) AS c, replace(left(text, 40), 'e', '_') AS d, lpad(source, 8, '*') AS e, reverse(source) AS f, repeat(lang, 2) AS g, CAST(length(text) AS BIGINT) AS h, startswith(text, 'Th') AS i, concat_ws('-', lang, source) AS j, translate(source, 'src', 'SRC') AS k, trim('  x ') AS l FROM @documents WHERE doc_id % 2 = 0",
 )
+both(
+    "fn_string_whole",
+    "SELECT doc_id, lower(left(text, 30)) AS a, upper(source) AS b, substring(text, 3, 5) AS c, replace(left(text, 40), 'e', '_') AS d, lpad(source, 8, '*') AS e, reverse(source) AS f, repeat(lang, 2) AS g, length(text) AS h, starts_with(text, 'Th') AS i, concat_ws('-', lang, source) AS j, translate(source, 'src', 'SRC') AS k, trim('  x ') AS l FROM @documents",
+    "SELECT doc_id, lower(left(text, 30)) AS a, upper(source) AS b, substring(text, 3, 5) AS c, replace(left(text, 40), 'e', '_') AS d, lpad(source, 8, '*') AS e, reverse(source) AS f, repeat(lang, 2) AS g, CAST(length(text) AS BIGINT) AS h, startswith(text, 'Th') AS i, concat_ws('-', lang, source) AS j, translate(source, 'src', 'SRC') AS k, trim('  x ') AS l FROM @documents",
+)
 
 
 @query(r"SELECT doc_id, regexp_extract(text, '([A-Za-z]+)ing', 1) AS a, regexp_replace(left(text, 50), '[aeiou]', '', 'g') AS b, len(regexp_extract_all(text, '[.]'))::INTEGER AS c FROM documents")
@@ -395,7 +402,7 @@ def udtf_grams(s, d):
 
 @query()
 def udtf_fold_table(s, d):
-    rows = t(s, d, "documents").where("lang = 'es'").select(F.col("doc_id").cast("string").alias("shard_id"), F.posexplode(T.units("text")).alias("pos", "unit"))
+    rows = t(s, d, "documents").select(F.col("doc_id").cast("string").alias("shard_id"), F.posexplode(T.units("text")).alias("pos", "unit"))
     return FoldTable(rows.asTable().partitionBy("shard_id").orderBy("pos"))
 
 

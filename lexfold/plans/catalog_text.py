@@ -161,33 +161,34 @@ def gram_freq(s, d):
 _CAND = f"{_g(2)}, c AS (SELECT 'all' AS shard_id, gram, count(*) AS raw_f FROM g GROUP BY gram HAVING count(*) >= 4)"
 
 
-def _doc_rows(s, d) -> DataFrame:
-    """English documents as shards of one record."""
-    return docs(s, d).where("lang = 'es'").select(F.col("doc_id").cast("string").alias("shard_id"), F.posexplode(T.units("text")).alias("pos", "unit"))
+def _doc_rows(s, d, whole: bool = False) -> DataFrame:
+    """Documents as shards of one record: the Spanish ones, or all."""
+    x = docs(s, d) if whole else docs(s, d).where("lang = 'es'")
+    return x.select(F.col("doc_id").cast("string").alias("shard_id"), F.posexplode(T.units("text")).alias("pos", "unit"))
 
 
 _DG = f"WITH i AS (SELECT doc_id::VARCHAR AS shard_id, {U.format('text')} AS u FROM documents WHERE lang = 'es'), g AS (SELECT shard_id, p - 1 AS pos, array_to_string(u[p:p + 1], ' ') AS gram FROM i, unnest(range(1, len(u))) AS r(p)), c AS (SELECT shard_id, gram, count(*) AS raw_f, min(pos) AS first_pos, list(pos ORDER BY pos) AS starts FROM g GROUP BY 1, 2 HAVING count(*) >= 4)"
 
 
 @query(f"{_DG} SELECT shard_id, gram, raw_f, first_pos::BIGINT AS first_pos, array_to_string(starts, ',') AS starts FROM c")
-def gram_candidates(s, d):
-    c = gram_counts(_doc_rows(s, d), 2)
+def gram_candidates(s, d, whole=False):
+    c = gram_counts(_doc_rows(s, d, whole), 2)
     return c.select("shard_id", F.array_join("gram", " ").alias("gram"), "raw_f", F.col("first_pos").cast("long").alias("first_pos"), F.array_join(F.col("starts").cast("array<string>"), ",").alias("starts"))
 
 
 @query(f"{_DG} SELECT shard_id, gram, row_number() OVER (PARTITION BY shard_id ORDER BY raw_f DESC, first_pos)::INTEGER AS rank FROM c")
-def gram_rank(s, d):
-    return rank_candidates(gram_counts(_doc_rows(s, d), 2)).select("shard_id", F.array_join("gram", " ").alias("gram"), "rank")
+def gram_rank(s, d, whole=False):
+    return rank_candidates(gram_counts(_doc_rows(s, d, whole), 2)).select("shard_id", F.array_join("gram", " ").alias("gram"), "rank")
 
 
 @query(f"{_DG} SELECT shard_id, gram, row_number() OVER (PARTITION BY shard_id ORDER BY raw_f * 2 - (1 + raw_f) - 2 DESC, first_pos)::INTEGER AS rank FROM c")
-def gram_rank_savings(s, d):
-    return rank_candidates(gram_counts(_doc_rows(s, d), 2), "savings").select("shard_id", F.array_join("gram", " ").alias("gram"), "rank")
+def gram_rank_savings(s, d, whole=False):
+    return rank_candidates(gram_counts(_doc_rows(s, d, whole), 2), "savings").select("shard_id", F.array_join("gram", " ").alias("gram"), "rank")
 
 
 @query(f"{_DG} SELECT shard_id, gram, (raw_f * 2 - (1 + raw_f) - 2)::BIGINT AS gain FROM c QUALIFY row_number() OVER (ORDER BY gain DESC, gram, shard_id) <= 50")
-def gram_top_gain(s, d):
-    c = gram_counts(_doc_rows(s, d), 2).select("shard_id", F.array_join("gram", " ").alias("gram"), T.gain("raw_f", F.lit(2), F.lit(1)).cast("long").alias("gain"))
+def gram_top_gain(s, d, whole=False):
+    c = gram_counts(_doc_rows(s, d, whole), 2).select("shard_id", F.array_join("gram", " ").alias("gram"), T.gain("raw_f", F.lit(2), F.lit(1)).cast("long").alias("gain"))
     return c.orderBy(F.desc("gain"), "gram", "shard_id").limit(50)
 
 
@@ -196,11 +197,17 @@ c AS (SELECT shard_id, array_to_string(u[p:p + 1], ' ') AS gram, list(p - 1 ORDE
 w AS (SELECT shard_id, gram, starts, 1 AS k, starts[1] AS last, [starts[1]] AS kept FROM c UNION ALL
  SELECT shard_id, gram, starts, k + 1, CASE WHEN starts[k + 1] >= last + 2 THEN starts[k + 1] ELSE last END, CASE WHEN starts[k + 1] >= last + 2 THEN list_append(kept, starts[k + 1]) ELSE kept END FROM w WHERE k < len(starts))
 SELECT shard_id, gram, array_to_string(kept, ',') AS kept FROM w WHERE k = len(starts)""")
-def disjoint_starts(s, d):
-    c = gram_counts(_doc_rows(s, d), 2)
+def disjoint_starts(s, d, whole=False):
+    c = gram_counts(_doc_rows(s, d, whole), 2)
     return c.select("shard_id", F.array_join("gram", " ").alias("gram"), F.array_join(T.disjoint_starts("starts", 2).cast("array<string>"), ",").alias("kept"))
 
 
+#: The same over documents of all languages; the SQL of disjoint_starts is too slow there.
+_DG_WHOLE = _DG.replace(" WHERE lang = 'es'", "")
+for _f in (gram_candidates, gram_rank, gram_rank_savings, gram_top_gain, disjoint_starts):
+    query(ORACLE[_f.__name__].replace(_DG, _DG_WHOLE) if _f is not disjoint_starts else None, f"{_f.__name__}_whole")(lambda s, d, f=_f: f(s, d, True))
+
+
 @query(f"""WITH i AS (SELECT item_id::VARCHAR AS shard_id, {U.format('text')} AS u FROM benchmark),
 g AS (SELECT shard_id, l, array_to_string(u[p:p + l - 1], ' ') AS gram FROM i, range(2, 6) a(l), unnest(range(1, len(u) + 1)) AS r(p) WHERE p + l - 1 <= len(u)),
 c AS (SELECT DISTINCT shard_id, l FROM g GROUP BY shard_id, l, gram HAVING count(*) >= 2)

@@ -1,5 +1,8 @@
 """Workloads read whole corpora."""
 
+import re
+
+from lexfold.plans import catalog
 from lexfold.plans import workloads as W
 from lexfold.sources import corpora as C
 from pyspark.sql import functions as F
@@ -13,3 +16,27 @@ def test_no_record_is_left_out(spark, sf):
     parts = spark.read.parquet(f"{sf}/part.parquet").count()
     got = W.w4_pairs(spark, sf, ("part",), (3,), W.READERS[:1], 60).agg(F.sum(F.size(F.regexp_extract_all("ref", F.lit("retail"), F.lit(0))))).first()[0]
     assert got == parts > 60
+
+
+def test_no_id_or_language_is_left_out(spark, sf):
+    q, d = catalog.QUERIES, spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()
+    ids, labels = {r.doc_id for r in d}, {r.doc_id for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    assert {r.doc_id for r in q["join_left_labels_whole"](spark, sf).collect()} == ids
+    assert q["join_right_labels_whole"](spark, sf).where("doc_id is null").count() == len(labels - ids)
+    assert {r.doc_id for r in q["set_except_whole"](spark, sf).collect()} == ids - labels
+    starts = {}
+    for r in d:
+        u = re.split("[ \\t\\n\\r\\f]+", r.text.strip(" \t\n\r\f"))
+        for i in range(len(u) - 1):
+            starts.setdefault((str(r.doc_id), f"{u[i]} {u[i + 1]}"), []).append(i)
+    want = {}
+    for key, at in starts.items():
+        if len(at) >= 4:
+            kept = []
+            for i in at:
+                if not kept or i >= kept[-1] + 2:
+                    kept.append(i)
+            want[key] = ",".join(map(str, kept))
+    assert {(r.shard_id, r.gram): r.kept for r in q["disjoint_starts_whole"](spark, sf).collect()} == want
+    spanish = {str(r.doc_id) for r in spark.read.parquet(f"{sf}/documents.parquet").where("lang = 'es'").collect()}
+    assert {r.shard_id for r in q["udtf_fold_table"](spark, sf).collect()} - spanish

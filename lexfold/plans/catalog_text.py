@@ -475,12 +475,17 @@ _HYP = "CASE WHEN doc_id % 3 = 0 THEN replace(text, 'th', 'ht') WHEN doc_id % 3
 _PAIRS = f"WITH p AS (SELECT doc_id, left(text, 400) AS ref, left({_HYP}, 400) AS hyp FROM documents WHERE strlen(text) = length(text))"
 
 
-def pairs(s, d) -> DataFrame:
-    """(doc_id, ref, hyp) of plain ASCII documents."""
+def whole_pairs(s, d) -> DataFrame:
+    """(doc_id, ref, hyp) of all documents."""
     k = F.col("doc_id") % 3
     hyp = F.when(k == 0, F.replace("text", F.lit("th"), F.lit("ht"))).when(k == 1, F.left("text", F.greatest(F.length("text") - 5, F.lit(0)))).otherwise(F.col("text"))
-    x = docs(s, d).where(F.octet_length("text") == F.length("text"))
-    return x.select("doc_id", F.left("text", F.lit(400)).alias("ref"), F.left(hyp, F.lit(400)).alias("hyp"))
+    return docs(s, d).select("doc_id", F.col("text").alias("ref"), hyp.alias("hyp"))
+
+
+def pairs(s, d) -> DataFrame:
+    """(doc_id, ref, hyp) of plain ASCII documents, the first 400 characters, as the SQL has them."""
+    x = whole_pairs(s, d).where(F.octet_length("ref") == F.length("ref"))
+    return x.select("doc_id", F.left("ref", F.lit(400)).alias("ref"), F.left("hyp", F.lit(400)).alias("hyp"))
 
 
 @query(f"{_PAIRS} SELECT doc_id, (ref = hyp)::INTEGER AS v FROM p")
@@ -541,7 +546,16 @@ def presence(s, d):
 
 @query()
 def rouge_l(s, d):
-    return pairs(s, d).select("doc_id", F.round(M.rouge_l("ref", "hyp"), 6).alias("v"))
+    return whole_pairs(s, d).select("doc_id", F.round(M.rouge_l("ref", "hyp"), 6).alias("v"))
+
+
+# The measures over whole texts of all documents.
+query(None, "exact_match_whole")(lambda s, d: whole_pairs(s, d).select("doc_id", M.exact_match("ref", "hyp").alias("v")))
+query(None, "lev_sim_whole")(lambda s, d: whole_pairs(s, d).select("doc_id", F.round(M.lev_sim_long("ref", "hyp"), 6).alias("v")))
+query(None, "ham_sim_whole")(lambda s, d: whole_pairs(s, d).select("doc_id", F.round(M.ham_sim_long("ref", "hyp"), 6).alias("v")))
+query(None, "rouge1_whole")(lambda s, d: M.rouge_n(whole_pairs(s, d), ["doc_id"]).select("doc_id", F.round("recall", 6).alias("recall"), F.round("precision", 6).alias("precision")))
+query(None, "bleu2_docs_whole")(lambda s, d: M.bleu(whole_pairs(s, d), ["doc_id"], 2).select("doc_id", F.round("bleu", 6).alias("v")))
+query(None, "presence_whole")(lambda s, d: whole_pairs(s, d).select("doc_id", F.round(M.presence("hyp", T.units("ref")), 6).alias("v")))
 
 
 def scores(s, d) -> DataFrame:

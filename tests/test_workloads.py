@@ -1,6 +1,7 @@
 """Workloads read whole corpora."""
 
 import re
+from collections import Counter
 
 from lexfold.plans import catalog
 from lexfold.plans import workloads as W
@@ -40,3 +41,36 @@ def test_no_id_or_language_is_left_out(spark, sf):
     assert {(r.shard_id, r.gram): r.kept for r in q["disjoint_starts_whole"](spark, sf).collect()} == want
     spanish = {str(r.doc_id) for r in spark.read.parquet(f"{sf}/documents.parquet").where("lang = 'es'").collect()}
     assert {r.shard_id for r in q["udtf_fold_table"](spark, sf).collect()} - spanish
+
+
+def test_measures_read_whole_texts(spark, tmp_path):
+    texts = ["the thin thing " * 60, "un été à la forêt, déjà vu " * 40, "gleich größer " * 50, "", "x", "kurz ää"]
+    rows = [(i, x, "en", "s", len(x)) for i, x in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    hyp = [x.replace("th", "ht") if i % 3 == 0 else x[: max(len(x) - 5, 0)] if i % 3 == 1 else x for i, x in enumerate(texts)]
+
+    def got(name, *columns):
+        return {r.doc_id: tuple(r[c] for c in columns or ("v",)) for r in catalog.QUERIES[name](spark, str(tmp_path)).collect()}
+
+    def lev(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        return row[-1]
+
+    def same(want, found):
+        assert found.keys() == set(range(len(texts)))
+        for i, x in enumerate(want):
+            assert abs(found[i][0] - x) < 2e-6, (i, x, found[i])
+
+    most = [max(len(a), len(b)) or 1 for a, b in zip(texts, hyp, strict=True)]
+    same([float(a == b) for a, b in zip(texts, hyp, strict=True)], got("exact_match_whole"))
+    same([1 - lev(a, b) / m for a, b, m in zip(texts, hyp, most, strict=True)], got("lev_sim_whole"))
+    same([1.0 if not a and not b else sum(x == y for x, y in zip(a, b, strict=False)) / m for a, b, m in zip(texts, hyp, most, strict=True)], got("ham_sim_whole"))
+    counts = [(Counter(a.split()), Counter(b.split())) for a, b in zip(texts, hyp, strict=True)]
+    same([(a & b).total() / a.total() if a else float(not b) for a, b in counts], got("rouge1_whole", "recall", "precision"))
+    same([sum(u in b for u in a.split()) / len(a.split()) if a.split() else 1.0 for a, b in zip(texts, hyp, strict=True)], got("presence_whole"))
+    assert 0 < got("bleu2_docs_whole")[1][0] < 1 == got("bleu2_docs_whole")[5][0]
+    assert got("rouge_l")[5] == (1.0,) and got("rouge_l")[1][0] < 1

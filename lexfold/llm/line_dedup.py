@@ -1,7 +1,8 @@
 """Line deduplication by a deletion-neighbourhood join, on built-in functions only.
 
 A line goes if an equal line, or one within one edit (insertion, deletion or substitution of a code
-point), occurs earlier; earlier means a smaller (doc_id, line number). Equal lines meet by hash. For
+point), occurs earlier; earlier means a smaller (doc_id, line number), and
+among rows of one doc_id with different texts a smaller (hash of the text, line number). Equal lines meet by hash. For
 lines within one edit the work narrows in three exact steps:
 
 1. Of two such lines, the shorter with s code points, the first s/2 or the last s - s/2 agree. Lines
@@ -17,8 +18,8 @@ No step lists the pairs of a group, so thousands of near-equal lines cost thousa
 
 Cases. Lines without a word are never dropped and never a reason to drop. Lines under min_near code
 points are compared for equality only. A null text is an empty one and yields an empty text. Rows of
-equal doc_id and equal text stand for one document and are treated alike; null doc_ids come last in
-the order. Empty tables give empty results. Other columns of the input are kept; n_lines,
+equal doc_id and equal text stand for one document and are treated alike; rows of one doc_id, or of
+none, with different texts are different documents. Null doc_ids come last in the order. Empty tables give empty results. Other columns of the input are kept; n_lines,
 n_exact_dropped and n_near_dropped are added, replacing input columns of these names.
 """
 
@@ -30,11 +31,13 @@ from pyspark.sql import functions as F
 from .common import BLANKS, cut, sized, table
 
 BLOCK = 32
+#: A line's place, in the order of lines.
+PLACE = ("doc_id", "text_key", "line_no")
 
 
 def _lines(docs: DataFrame) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
-    d = docs.select(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("doc_id"), F.posexplode(F.split(text, "\n")).alias("line_no", "line"))
+    d = docs.select(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("doc_id"), F.xxhash64(text).alias("text_key"), F.posexplode(F.split(text, "\n")).alias("line_no", "line"))
     d = d.where(F.regexp_like("line", F.lit(f"[^{BLANKS}]")))
     return d.withColumns({"h1": F.xxhash64("line"), "h2": F.hash("line")})
 
@@ -82,13 +85,13 @@ def _variants(blocks: DataFrame) -> DataFrame:
 
 
 def near_lines(distinct: DataFrame, texts: DataFrame) -> DataFrame:
-    """(doc_id, line_no) of the first occurrences that have an earlier line within one edit.
+    """(doc_id, text_key, line_no) of the first occurrences that have an earlier line within one edit.
 
-    distinct: first (doc_id, line_no) and half keys of each distinct line; texts: doc_id, line_no, line.
+    distinct: first (doc_id, text_key, line_no) and half keys of each distinct line; texts: those columns and line.
     """
     keyed = distinct.where("halves is not null").select("first", F.explode("halves").alias("key"))
-    hot = sized(_shared(keyed, "key").select("first").distinct().select("first.doc_id", "first.line_no"))
-    lines = cut(texts.join(hot, ["doc_id", "line_no"]).select(F.struct("doc_id", "line_no").alias("first"), "line").distinct())
+    hot = sized(_shared(keyed, "key").select("first").distinct().select("first.*"))
+    lines = cut(texts.join(hot, list(PLACE)).select(F.struct(*PLACE).alias("first"), "line").distinct())
     v = cut(_variants(_shared(_blocks(lines), "around")))
     placed = v.groupBy("key", "place").agg(F.min("first").alias("same"))
     low = v.groupBy("key").agg(F.min(F.when(F.col("place") < 0, F.col("first"))).alias("as_whole"), F.min(F.when(F.col("place") >= 0, F.col("first"))).alias("as_variant"))
@@ -96,33 +99,34 @@ def near_lines(distinct: DataFrame, texts: DataFrame) -> DataFrame:
     others = F.array(F.when(F.col("place") >= 0, F.col("same")), F.when(F.col("place") < 0, F.col("as_variant")).otherwise(F.col("as_whole")))
     pairs = met.select("first", F.explode(others).alias("other")).where("other < first").distinct()
     pairs = pairs.join(lines, "first").join(lines.select(F.col("first").alias("other"), F.col("line").alias("other_line")), "other")
-    return pairs.where(F.levenshtein("line", "other_line", 1) >= 0).select("first.doc_id", "first.line_no").distinct()
+    return pairs.where(F.levenshtein("line", "other_line", 1) >= 0).select("first.*").distinct()
 
 
 def dropped_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
-    """(doc_id, exact, near): line numbers that go, of every document that loses any."""
-    occ = cut(_lines(docs).select("doc_id", "line_no", "h1", "h2", _half_keys(F.col("line"), min_near).alias("halves")))
-    groups = occ.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line_no")).alias("first"), F.count("*").alias("n"), F.first("halves").alias("halves"))
-    near = near_lines(groups, _lines(docs).select("doc_id", "line_no", "line")).withColumn("near", F.lit(True))
-    marked = groups.select("h1", "h2", "n", "first", "first.doc_id", "first.line_no").join(near, ["doc_id", "line_no"], "left")
+    """(doc_id, text_key, exact, near): line numbers that go, of every document that loses any."""
+    occ = cut(_lines(docs).select(*PLACE, "h1", "h2", _half_keys(F.col("line"), min_near).alias("halves")))
+    groups = occ.groupBy("h1", "h2").agg(F.min(F.struct(*PLACE)).alias("first"), F.count("*").alias("n"), F.first("halves").alias("halves"))
+    near = near_lines(groups, _lines(docs).select(*PLACE, "line")).withColumn("near", F.lit(True))
+    marked = groups.select("h1", "h2", "n", "first", "first.*").join(near, list(PLACE), "left")
     bad = marked.where("n > 1 or near").select("h1", "h2", "first", F.coalesce("near", F.lit(False)).alias("near"))
-    gone = occ.join(bad, ["h1", "h2"]).where("near or doc_id <> first.doc_id or line_no <> first.line_no")
+    gone = occ.join(bad, ["h1", "h2"]).where("near or doc_id <> first.doc_id or text_key <> first.text_key or line_no <> first.line_no")
     of = lambda near: F.collect_set(F.when(F.col("near") == near, F.col("line_no")))
-    return gone.groupBy("doc_id").agg(of(False).alias("exact"), of(True).alias("near"))
+    return gone.groupBy("doc_id", "text_key").agg(of(False).alias("exact"), of(True).alias("near"))
 
 
 def dedup_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
     """docs with the dropped lines taken out of text, and counts of lines."""
-    gone = dropped_lines(docs.select("doc_id", "text"), min_near).toDF("_gone_id", "_exact", "_near")
+    gone = dropped_lines(docs.select("doc_id", "text"), min_near).toDF("_gone_id", "_gone_key", "_exact", "_near")
     docs = docs.drop("n_lines", "n_exact_dropped", "n_near_dropped")
-    d = docs.join(gone, F.coalesce("doc_id", F.lit(2**63 - 1)) == F.col("_gone_id"), "left")
+    own = (F.coalesce("doc_id", F.lit(2**63 - 1)) == F.col("_gone_id")) & (F.xxhash64(F.coalesce("text", F.lit(""))) == F.col("_gone_key"))
+    d = docs.join(gone, own, "left")
     none = F.array().cast("array<int>")
     size = lambda c: F.size(F.coalesce(c, none)).cast("long")
     d = d.withColumn("_lines", F.split(F.coalesce("text", F.lit("")), "\n"))
     rest = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), F.concat("_exact", "_near"))
     kept = F.array_join(F.transform(F.sort_array(rest), lambda i: F.get("_lines", i)), "\n")
     d = d.withColumns({"text": F.when(F.col("_gone_id").isNull(), F.coalesce("text", F.lit(""))).otherwise(kept), "n_lines": F.size("_lines").cast("long"), "n_exact_dropped": size("_exact"), "n_near_dropped": size("_near")})
-    return d.drop("_lines", "_exact", "_near", "_gone_id")
+    return d.drop("_lines", "_exact", "_near", "_gone_id", "_gone_key")
 
 
 def without_repeated_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:

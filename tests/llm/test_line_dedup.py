@@ -65,3 +65,14 @@ def test_repeated_rows_and_empty(spark):
     assert sorted((r.doc_id, r.text) for r in L.dedup_lines(df).collect()) == [(1, "one line here"), (1, "one line here"), (2, "")]
     assert L.dedup_lines(df.limit(0)).count() == 0
     assert [r.doc_id for r in L.without_repeated_lines(df).collect()] == [1, 1]
+
+
+def test_one_id_with_different_texts(spark):
+    near = "a line that is long enough to be near"
+    for doc_id in (None, 7):
+        rows = [(doc_id, "dup x\nunique a"), (doc_id, "unique b\ndup x"), (doc_id, f"same place\n{near}"), (doc_id, f"same place\n{near}!"), (9, "other")]
+        got = L.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string").repartition(2)).collect()
+        lines = sorted(x for r in got for x in r.text.split("\n") if x)
+        kept_near = [x for x in lines if x.startswith(near)]
+        assert len(kept_near) == 1 and [x for x in lines if x not in kept_near] == ["dup x", "other", "same place", "unique a", "unique b"]
+        assert sum(r.n_exact_dropped for r in got) == 2 and sum(r.n_near_dropped for r in got) == 1

@@ -18,12 +18,13 @@ import struct
 from collections.abc import Iterator
 from functools import lru_cache
 from hashlib import sha256
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import slices, table
+from .common import SLICE_BYTES, parts, table
 from .pretokens import CachedEncoder
 
 
@@ -76,14 +77,15 @@ class BpeCodec:
         self.bytes_of = sorted(ranks, key=ranks.get)
         self.cached = CachedEncoder(pattern, self._pieces)
 
-    def _pieces(self, pieces: list[str]) -> list[list[int]]:
+    def _pieces(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
         raw = [p.encode() for p in pieces]
         whole = [self.ranks.get(p) for p in raw]
         todo = ["".join(map(self.letters.__getitem__, p)) for p, w in zip(raw, whole, strict=True) if w is None]
         merged = iter(self.model.encode(todo, num_threads=1) if todo else ())
-        return [next(merged) if w is None else [w] for w in whole]
+        ids = [next(merged) if w is None else [w] for w in whole]
+        return np.array(list(chain.from_iterable(ids)), np.uint32), np.array(list(map(len, ids)))
 
-    def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, texts: pa.Array | list[str]) -> tuple[np.ndarray, np.ndarray]:
         return self.cached.encode(texts)
 
     def decode(self, ids: list[int]) -> bytes:
@@ -101,12 +103,10 @@ def encode_decode(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(path, pattern)
-        for batch in batches:
-            texts = [t or "" for t in batch.column(1).to_pylist()]
-            for lo, hi in slices([len(t) for t in texts]):
-                ids, begins = codec.encode(texts[lo:hi])
-                decoded = [codec.decode(ids[a:b].tolist()) for a, b in zip(begins[:-1], begins[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.ListArray.from_arrays(pa.array(begins, pa.int32()), pa.array(ids.astype(np.int32))), pa.array(decoded, pa.binary())], ["doc_id", "ids", "decoded"])
+        for part in parts(batches):
+            ids, begins = codec.encode(part.column(1))
+            decoded = [codec.decode(ids[a:b].tolist()) for a, b in zip(begins[:-1], begins[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(begins, pa.int32()), pa.array(ids.astype(np.int32))), pa.array(decoded, pa.binary())], ["doc_id", "ids", "decoded"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>, decoded binary")
 
@@ -117,17 +117,15 @@ def digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(path, pattern)
         names = list(map(str, range(len(codec.bytes_of))))
-        for batch in batches:
-            texts = [t or "" for t in batch.column(1).to_pylist()]
+        for part in parts(batches, most=2 * SLICE_BYTES):
+            ids, begins = codec.encode(part.column(1))
             out: list[list] = [[], [], []]
-            for lo, hi in slices([len(t) for t in texts]):
-                ids, begins = codec.encode(texts[lo:hi])
-                for a, b in zip(begins[:-1].tolist(), begins[1:].tolist(), strict=True):
-                    own = ids[a:b].tolist()
-                    out[0].append(b - a)
-                    out[1].append(sha256(",".join(map(names.__getitem__, own)).encode()).hexdigest())
-                    out[2].append(sha256(codec.decode(own)).hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+            for a, b in zip(begins[:-1].tolist(), begins[1:].tolist(), strict=True):
+                own = ids[a:b].tolist()
+                out[0].append(b - a)
+                out[1].append(sha256(",".join(map(names.__getitem__, own)).encode()).hexdigest())
+                out[2].append(sha256(codec.decode(own)).hexdigest())
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -36,6 +38,8 @@ def shared_dir(spark: SparkSession) -> str:
             spark.sparkContext.setCheckpointDir(named)
         return named.rstrip("/")
     if not found:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(f"file://{tempfile.mkdtemp(prefix='lexfold-')}")
         found = spark.sparkContext.getCheckpointDir()
     return found.rstrip("/")
@@ -57,13 +61,32 @@ def remove_dir(spark: SparkSession, path: str) -> None:
     at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
-def byte_texts(column: pa.Array | pa.ChunkedArray) -> list[bytes]:
+def byte_texts(column: pa.Array) -> list[bytes]:
     """UTF-8 bytes of every text; null counts as empty."""
-    if isinstance(column, pa.ChunkedArray):
-        column = column.combine_chunks()
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]
 
 
+def released() -> None:
+    """Give unused memory of this Python process back; workers live on and are shared by later tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # not glibc
+        pass
+
+
+def parts(batches: Iterator[pa.RecordBatch], column: str | int = "text", most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+    """The rows of batches in parts of about `most` bytes of a column (texts or lists of longs); memory is given back at the end."""
+    try:
+        for batch in batches:
+            x = batch.column(column)
+            size = pc.binary_length(x) if pa.types.is_string(x.type) or pa.types.is_binary(x.type) else pc.multiply(pc.list_value_length(x), 8)
+            for lo, hi in slices(pc.fill_null(size, 0).to_pylist(), most):
+                yield batch.slice(lo, hi - lo)
+    finally:
+        released()
+
+
 def slices(sizes: list[int], most: int = SLICE_BYTES) -> Iterator[tuple[int, int]]:
     """Ranges of rows of about `most` bytes; a row is never split."""
     lo = total = 0

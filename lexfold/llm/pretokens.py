@@ -1,10 +1,14 @@
 """Encoding of whole texts through a cache of their parts.
 
 A byte-level tokenizer cuts a text by a pattern and encodes each piece alone, so equal pieces have
-equal ids. Texts are cut at single blanks first, each blank going with what follows; these units are
-looked up, and only unknown ones are cut by the pattern and encoded. Where a blank follows another
-white space character, a cut before it need not be one of the pattern's, so such texts are cut by
-the pattern as a whole.
+equal ids. Texts are cut at single blanks first, each blank going with what follows; Arrow makes these
+units distinct, so that Python looks up each one once a slice, and only unknown ones are cut by the
+pattern and encoded. Where a blank follows another white space character, a cut before it need not be
+one of the pattern's, so such texts are cut by the pattern as a whole.
+
+New units are cut by the pattern together, as every one begins with a blank and so ends where the next
+one begins; only if a cut is not there, each alone. What a worker keeps is bounded in bytes (MOST_BYTES): beyond that units used only once go, and where
+that is not enough the cache starts anew.
 """
 
 from __future__ import annotations
@@ -13,75 +17,170 @@ from collections.abc import Callable
 from itertools import chain
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 
-#: Units kept by a worker; beyond that its cache starts anew.
-MOST_UNITS = 700_000
+Encode = Callable[[list[str]], tuple[np.ndarray, np.ndarray]]
+#: Bytes that the units, pieces and ids kept by a worker may take, and what one takes beside its characters.
+MOST_BYTES, EACH = 80 << 20, 250
 #: The characters that the pattern's white space class holds.
 WHITE = "".join(map(chr, (*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
-RISKY = tuple(c + " " for c in WHITE)
 
 
 class _Places(dict):
-    """Key to place in a list that several such maps share; unknown keys get the next place."""
+    """Key to place in a list that several such maps share; unknown keys get the next place and wait there."""
 
-    def __init__(self, waiting: list[str], before: str):
-        self.waiting, self.before = waiting, before
+    def __init__(self, waiting: list[str], count: list[int]):
+        self.waiting, self.count = waiting, count
 
     def __missing__(self, key: str) -> int:
-        self[key] = place = len(self.waiting)
-        self.waiting.append(self.before + key)
+        self[key] = place = self.count[0]
+        self.count[0] = place + 1
+        self.waiting.append(key)
         return place
 
 
+class _Ids:
+    """Ids of entries by place."""
+
+    def __init__(self):
+        self.starts, self.flat = np.zeros(1, np.int64), np.zeros(0, np.uint32)
+
+    def add(self, flat: np.ndarray, sizes: np.ndarray) -> None:
+        self.starts = np.concatenate((self.starts, self.starts[-1] + np.cumsum(sizes)))
+        self.flat = np.concatenate((self.flat, flat.astype(np.uint32)))
+
+    def of(self, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of these places one after the other, where those of each begin; one more entry at the end)."""
+        lo = self.starts[places]
+        size = self.starts[places + 1] - lo
+        ends = np.concatenate(([0], np.cumsum(size)))
+        return self.flat[np.repeat(lo - ends[:-1], size) + np.arange(ends[-1])], ends
+
+
 class CachedEncoder:
-    """encode_pieces: ids of each of a list of pattern pieces."""
+    """encode_pieces: (ids, how many each) of a list of pattern pieces; texts that hold a special string go to encode_whole."""
 
-    def __init__(self, pattern: str, encode_pieces: Callable[[list[str]], list[list[int]]], most: int = MOST_UNITS):
-        self.pieces = regex.compile(pattern).findall
-        self.encode_pieces, self.most = encode_pieces, most
-        self.known: dict[str, tuple[int, ...]] = {}
+    def __init__(self, pattern: str, encode_pieces: Encode, special: tuple[str, ...] = (), encode_whole: Encode | None = None, most: int = MOST_BYTES):
+        self.cut = regex.compile(pattern).findall
+        self.encode_pieces, self.special, self.encode_whole, self.most = encode_pieces, special, encode_whole, most
         self._clear()
 
     def _clear(self) -> None:
-        self.units: list[str] = []
-        self.bare, self.spaced = _Places(self.units, ""), _Places(self.units, " ")
-        self.starts = np.zeros(1, np.int64)
-        self.flat = np.zeros(0, np.uint32)
-
-    def _places(self, text: str) -> list[int]:
-        if any(p in text for p in RISKY):
-            return list(map(self.bare.__getitem__, self.pieces(text)))
-        first, *rest = text.split(" ")
-        out = [self.bare[first]] if first else []
-        out += map(self.spaced.__getitem__, rest)
-        return out
-
-    def _learn(self) -> None:
-        new = self.units[len(self.starts) - 1 :]
-        if not new:
-            return
-        if len(self.known) > self.most:
-            self.known = {}
-        parts = list(map(self.pieces, new))
-        known = self.known
-        unknown = list({p for u in parts for p in u if p not in known})
-        known.update(zip(unknown, map(tuple, self.encode_pieces(unknown)), strict=True))
-        ids = [known[u[0]] if len(u) == 1 else list(chain.from_iterable(map(known.__getitem__, u))) for u in parts]
-        self.starts = np.concatenate((self.starts, self.starts[-1] + np.cumsum(list(map(len, ids)))))
-        self.flat = np.concatenate((self.flat, np.array(list(chain.from_iterable(ids)), np.uint32)))
-
-    def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """(all ids, where each text's ids begin; one more entry at the end)."""
-        if len(self.units) > self.most:
-            self._clear()
-        places, counts = [], [0]
-        for t in texts:
-            places += self._places(t)
-            counts.append(len(places))
-        self._learn()
-        at = np.fromiter(places, np.int64, len(places))
-        lo, size = self.starts[at], self.starts[at + 1] - self.starts[at]
-        ends = np.concatenate(([0], np.cumsum(size)))
-        ids = self.flat[np.repeat(lo - ends[:-1], size) + np.arange(ends[-1])]
-        return ids, ends[counts]
+        #: Units after a blank and whole pieces, with their ids; `kept` is an upper estimate of their bytes.
+        self.new_units: list[str] = []
+        self.new_pieces: list[str] = []
+        self.units, self.pieces = _Places(self.new_units, [0]), _Places(self.new_pieces, [0])
+        self.unit_ids, self.piece_ids = _Ids(), _Ids()
+        self.uses = np.zeros(0, np.int64)
+        self.kept = 0
+
+    def _shrink(self) -> None:
+        """Keep the units that have been used more than once since the last time."""
+        often = np.flatnonzero(self.uses > 1)
+        new = np.full(len(self.uses), -1)
+        new[often] = np.arange(len(often))
+        units = {k: p for k, v in self.units.items() if (p := int(new[v])) >= 0}
+        flat, begins = self.unit_ids.of(often)
+        self._clear()
+        kept = EACH * len(units) + sum(map(len, units)) + 4 * len(flat)
+        if kept <= self.most // 2:
+            self.kept = kept
+            self.units.update(units)
+            self.units.count[0] = len(units)
+            self.unit_ids.add(flat, np.diff(begins))
+            self.uses = np.zeros(len(units), np.int64)
+
+    def _pieces_of(self, units: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(places of pieces, how many a unit) of units that follow a blank."""
+        pieces = self.cut(" " + " ".join(units))
+        ends = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces)))
+        wanted = np.cumsum(np.fromiter(map(len, units), np.int64, len(units)) + 1)
+        at = np.searchsorted(ends, wanted)
+        if at[-1] < len(ends) and (ends[at] == wanted).all():
+            n = np.diff(at, prepend=-1)
+        else:
+            parts = [self.cut(" " + u) for u in units]
+            pieces, n = list(chain.from_iterable(parts)), np.fromiter(map(len, parts), np.int64, len(parts))
+        return np.fromiter(map(self.pieces.__getitem__, pieces), np.int64, len(pieces)), n
+
+    def _learn_pieces(self) -> None:
+        if self.new_pieces:
+            ids, sizes = self.encode_pieces(self.new_pieces)
+            self.piece_ids.add(ids, sizes)
+            self.kept += EACH * len(sizes) + sum(map(len, self.new_pieces)) + 4 * len(ids)
+            self.new_pieces.clear()
+
+    def _learn_units(self) -> None:
+        if self.new_units:
+            at, n = self._pieces_of(self.new_units)
+            self._learn_pieces()
+            ids, begins = self.piece_ids.of(at)
+            sizes = np.diff(begins[np.concatenate(([0], np.cumsum(n)))])
+            self.unit_ids.add(ids, sizes)
+            self.kept += EACH * len(sizes) + sum(map(len, self.new_units)) + 4 * len(ids)
+            self.new_units.clear()
+
+    def _by_blanks(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, how many a text) of texts that may be cut at each blank."""
+        parts = pc.split_pattern(texts, " ")
+        sizes = parts.value_lengths().to_numpy().astype(np.int64)
+        words = parts.flatten()
+        first = np.cumsum(sizes) - sizes
+        heads, rest = words.take(pa.array(first)).to_pylist(), np.ones(len(words), bool)
+        rest[first] = False
+        coded = words.filter(pa.array(rest)).dictionary_encode()
+        own = np.fromiter(map(self.units.__getitem__, coded.dictionary.to_pylist()), np.int64, len(coded.dictionary))
+        at = own[coded.indices.to_numpy()]
+        cut = list(map(self.cut, heads))
+        head_at = np.fromiter(map(self.pieces.__getitem__, chain.from_iterable(cut)), np.int64)
+        self._learn_units()
+        self._learn_pieces()
+        used = np.bincount(at, minlength=self.units.count[0])
+        used[: len(self.uses)] += self.uses
+        self.uses = used
+        ids, begins = self.unit_ids.of(at)
+        head_ids, head_begins = self.piece_ids.of(head_at)
+        of_head = head_begins[np.concatenate(([0], np.cumsum(list(map(len, cut)), dtype=np.int64)))]
+        of_rest = begins[np.concatenate(([0], np.cumsum(sizes - 1)))]
+        return _merged(head_ids, of_head, ids, of_rest)
+
+    def _by_pattern(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        cut = list(map(self.cut, texts.to_pylist()))
+        at = np.fromiter(map(self.pieces.__getitem__, chain.from_iterable(cut)), np.int64)
+        self._learn_pieces()
+        ids, begins = self.piece_ids.of(at)
+        return ids, np.diff(begins[np.concatenate(([0], np.cumsum(list(map(len, cut)), dtype=np.int64)))])
+
+    def encode(self, texts: pa.Array | list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """(all ids, where each text's ids begin; one more entry at the end). Null is as empty."""
+        if self.kept > self.most:
+            self._shrink()
+        texts = pc.fill_null(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()), "")
+        apart = np.zeros(len(texts), bool)
+        for x in self.special:
+            apart |= pc.match_substring(texts, x).to_numpy(zero_copy_only=False)
+        risky = pc.match_substring_regex(texts, f"[{WHITE}] ").to_numpy(zero_copy_only=False) & ~apart
+        n, order, found = np.zeros(len(texts), np.int64), [], []
+        for which, way in ((~risky & ~apart, self._by_blanks), (risky, self._by_pattern), (apart, lambda x: self.encode_whole(x.to_pylist()))):
+            if which.any():
+                ids, n[which] = way(texts.filter(pa.array(which)))
+                found.append(ids), order.append(np.flatnonzero(which))
+        ids = np.concatenate(found) if found else np.zeros(0, np.uint32)
+        begins = np.concatenate(([0], np.cumsum(n)))
+        if len(found) > 1:  # back into the order of the texts
+            order = np.concatenate(order)
+            place = np.zeros(len(n), np.int64)
+            place[order] = np.cumsum(n[order]) - n[order]
+            ids = ids[np.repeat(place - begins[:-1], n) + np.arange(begins[-1])]
+        return ids, begins
+
+
+def _merged(a: np.ndarray, a_begins: np.ndarray, b: np.ndarray, b_begins: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(values, how many each) where entry k holds a's entry k and then b's."""
+    n, m = np.diff(a_begins), np.diff(b_begins)
+    out = np.zeros(len(a) + len(b), np.uint32)
+    out[np.repeat(b_begins[:-1], n) + np.arange(len(a))] = a
+    out[np.repeat(a_begins[1:], m) + np.arange(len(b))] = b
+    return out, n + m

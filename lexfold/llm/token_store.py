@@ -12,8 +12,9 @@ corpus in order, and a document's start is the sum of what files before it hold
 
 Cases. Null and empty texts give the end id alone. Null doc_ids come first. Rows that repeat a doc_id
 are all kept, in an order that their texts fix. An empty table gives an empty result. Other columns
-are ignored. A text of any length runs over as many chunks as it needs; neither writer nor reader
-holds more than one chunk's ids beside the text at hand.
+are ignored. Names of special tokens that stand in a text become their ids, as the library has it. A
+text of any length runs over as many chunks as it needs. A writer holds the ids of a slice of texts and
+its file's document table, a reader one chunk's ids and that table.
 """
 
 from __future__ import annotations
@@ -24,6 +25,7 @@ import struct
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -31,12 +33,15 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import cut, fresh_dir, slices, table
+from .bpe_codec import byte_letters
+from .common import SLICE_BYTES, cut, fresh_dir, parts, table
 from .files import create, new_name, open_at
 from .pretokens import CachedEncoder
 
 MAGIC = b"IDPLANE1"
 CHUNK_IDS = 1 << 16
+#: Pieces handed to the model at a call.
+AT_ONCE = 64
 
 
 def to_planes(ids: np.ndarray, kind: str) -> list[bytes]:
@@ -140,14 +145,46 @@ class Reader:
             yield doc, n, parts()
 
 
+def _alone(letters: list[str], vocabulary: dict[str, int]) -> str | None:
+    """A letter of a byte that no UTF-8 holds and that no merge takes in: pieces joined by it stay apart."""
+    inside = set(chain.from_iterable(t for t in vocabulary if len(t) > 1))
+    return next((x for b in (0xC0, 0xC1, *range(0xF5, 0x100)) if (x := letters[b]) in vocabulary and x not in inside), None)
+
+
 @lru_cache(maxsize=2)
 def _encoder(path: str, pattern: str) -> CachedEncoder:
+    """Byte-level tokenizers go through the cache of pieces; what any other does to a text is left to it alone."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    return CachedEncoder(pattern, lambda pieces: [e.ids for e in t.encode_batch(pieces, add_special_tokens=False)])
+    config = json.loads(t.to_str())
+    how = config["pre_tokenizer"] or {}
+    by_pieces = config["normalizer"] is None and config["model"]["type"] == "BPE" and how.get("type") == "ByteLevel" and not how["add_prefix_space"] and how["use_regex"]
+
+    def whole(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        ids = [e.ids for e in t.encode_batch_fast(texts, add_special_tokens=False)]
+        return np.array(list(chain.from_iterable(ids)), np.uint32), np.array(list(map(len, ids)), np.int64)
+
+    if not by_pieces:
+        return CachedEncoder(pattern, whole, special=("",), encode_whole=whole)
+    letters, model, vocabulary = byte_letters(), t.model, t.get_vocab(with_added_tokens=False)
+    special = tuple(x.content for x in t.get_added_tokens_decoder().values())
+    if (mark := _alone(letters, vocabulary)) is None:
+        return CachedEncoder(pattern, whole, special, whole)
+    mark_id, mark_byte, by_byte = vocabulary[mark], bytes([letters.index(mark)]), dict(enumerate(letters))
+
+    def of_pieces(pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The model's ids of many pieces at a call."""
+        out: list[int] = []
+        raw = [p.encode() for p in pieces]
+        for lo in range(0, len(raw), AT_ONCE):
+            joined = mark_byte.join([*raw[lo : lo + AT_ONCE], b""])
+            out += [x.id for x in model.tokenize(joined.decode("latin-1").translate(by_byte))]
+        ids = np.array(out, np.uint32)
+        return ids[ids != mark_id], np.diff(np.flatnonzero(ids == mark_id), prepend=-1) - 1
+
+    return CachedEncoder(pattern, of_pieces, special, whole)
 
 
 def write_store(docs: DataFrame, folder: str, path: str, pattern: str, end_id: int = 0, kind: str = "byte") -> DataFrame:
@@ -159,17 +196,14 @@ def write_store(docs: DataFrame, folder: str, path: str, pattern: str, end_id: i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, writer, n_ids, first = _encoder(path, pattern), None, 0, None
-        for batch in batches:
-            doc_ids = batch.column(0).to_pylist()
-            texts = [t or "" for t in batch.column(1).to_pylist()]
-            for lo, hi in slices([len(t) for t in texts]):
-                if writer is None:
-                    writer, first = Writer(new_name(folder, "ids"), kind), doc_ids[lo]
-                ids, begins = encoder.encode(texts[lo:hi])
-                ids = np.insert(ids, begins[1:], np.uint32(end_id))
-                lengths = np.diff(begins) + 1
-                writer.add(doc_ids[lo:hi], lengths, ids)
-                n_ids += len(ids)
+        for part in parts(batches, most=2 * SLICE_BYTES):
+            doc_ids = part.column(0).to_pylist()
+            if writer is None:
+                writer, first = Writer(new_name(folder, "ids"), kind), doc_ids[0]
+            ids, begins = encoder.encode(part.column(1))
+            ids = np.insert(ids, begins[1:], np.uint32(end_id))
+            writer.add(doc_ids, np.diff(begins) + 1, ids)
+            n_ids += len(ids)
         if writer is not None:
             writer.close()
             yield pa.RecordBatch.from_arrays([pa.array([writer.path]), pa.array([first], pa.int64()), pa.array([len(writer.docs)], pa.int64()), pa.array([n_ids], pa.int64())], ["path", "first", "n_docs", "n_ids"])
@@ -183,20 +217,27 @@ def read_store(files: DataFrame) -> DataFrame:
     before = F.sum("n_ids").over(Window.orderBy(F.col("first").asc_nulls_first(), "path").rowsBetween(Window.unboundedPreceding, -1))
     placed = files.select("path", F.coalesce(before, F.lit(0)).alias("start"))
 
+    def packed(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["doc_id", "start", "n_tokens", "ids_crc32"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for path, start in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 rows: list[tuple] = []
-                for doc, n, parts in Reader(path).documents():
+                for doc, n, pieces in Reader(path).documents():
                     crc = 0
-                    for p in parts:
+                    for p in pieces:
                         crc = zlib.crc32(p.tobytes(), crc)
                     rows.append((doc, start, n, crc))
                     start += n
-                columns = zip(*rows, strict=True) if rows else [[]] * 4
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "n_tokens", "ids_crc32"])
-
-    return placed.repartition(F.col("path")).mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+                    if len(rows) == 4096:
+                        yield packed(rows)
+                        rows = []
+                if rows:
+                    yield packed(rows)
+
+    # One task a file, as AQE would put small lists of large files into one task.
+    return placed.repartition(max(1, files.count()), "path").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op3_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:

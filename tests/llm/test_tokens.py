@@ -9,7 +9,7 @@ from lexfold.llm import bpe_codec as C
 from lexfold.llm import token_store as S
 from lexfold.llm.common import fresh_dir
 
-ODD = ["", None, " ", "  two  blanks ", "a\n b \n\n c", "tab\t tab", "it's I'LL've", "<|endoftext|> x", "  nb　 x", "naïve café ½x² ｗｉｄｅ", "😀😀 👩‍👩‍👧", "x" * 5000, "a\x1c b\x85 c", "'s 's", "\r\n \r\n"]
+ODD = ["", None, "a <|endoftext|> b", "<|endoftext|>", "x \n y<|endoftext|><|endoftext|>z\n\n w", " ", "  two  blanks ", "a\n b \n\n c", "tab\t tab", "it's I'LL've", "<|endoftext|> x", "  nb　 x", "naïve café ½x² ｗｉｄｅ", "😀😀 👩‍👩‍👧", "x" * 5000, "a\x1c b\x85 c", "'s 's", "\r\n \r\n"]
 MULTI = P.path("byte_bpe_multi_50k.tiktoken")
 
 
@@ -45,6 +45,28 @@ def test_digests(spark, sf):
     assert C.digests(df.limit(0), MULTI, P.PATTERN).count() == 0
 
 
+@pytest.mark.parametrize("most", [0, 2_000, 60_000, 1 << 30])
+def test_cache_that_shrinks(spark, sf, most):
+    own = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=C.read_ranks(MULTI), special_tokens={})
+    codec = C.BpeCodec(C.read_ranks(MULTI), P.PATTERN)
+    codec.cached.most = most
+    all_texts = [t or "" for t in texts(spark, sf)][:120]
+    for _ in range(2):
+        for lo in range(0, len(all_texts), 7):
+            ids, begins = codec.encode(all_texts[lo : lo + 7])
+            assert [ids[a:b].tolist() for a, b in zip(begins, begins[1:], strict=False)] == [own.encode_ordinary(t) for t in all_texts[lo : lo + 7]]
+
+
+def test_tokenizers_of_other_kinds(spark, sf):
+    from tokenizers import Tokenizer
+
+    name = P.path("word_bpe_49k.json")
+    all_texts = [t or "" for t in texts(spark, sf)][:60]
+    ids, begins = S._encoder(name, P.PATTERN).encode(all_texts)
+    t = Tokenizer.from_file(name)
+    assert [ids[a:b].tolist() for a, b in zip(begins, begins[1:], strict=False)] == [t.encode(x, add_special_tokens=False).ids for x in all_texts]
+
+
 @pytest.mark.parametrize("kind", ["byte", "bit"])
 def test_planes(kind):
     rng = np.random.default_rng(3)
@@ -74,7 +96,7 @@ def test_store(spark, sf):
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
+    assert t.encode("a <|endoftext|> b", add_special_tokens=False).ids == [64, 220, 50256, 275]
     rows = [(i * 3 - 20, x, "y") for i, x in enumerate(texts(spark, sf))]
     df = spark.createDataFrame(rows, "doc_id long, text string, start string").repartition(4)
     got = {r.doc_id: r for r in S.read_store(S.write_store(df, fresh_dir(spark, "t"), P.path("byte_bpe_50k.json"), P.PATTERN)).collect()}

@@ -21,8 +21,9 @@ connected already, so leaving it out loses no group; the links of step 5 do not
 of step 5 grows with the square of a group, in memory bounded by tiles.
 
 Cases. Null and empty texts have no shingles, link with nothing and are their own group, as is every
-null doc_id (a null group). Texts under four words are one shingle. Rows that repeat a doc_id count
-once for links and are returned each. Empty tables give empty results; other columns are ignored.
+null doc_id (a null group). Texts under four words are one shingle. Rows that repeat a doc_id and text
+count once for links and are returned each; rows of one doc_id with different texts are documents of
+their own. Empty tables give empty results; other columns are ignored (filtering keeps them).
 """
 
 from __future__ import annotations
@@ -35,14 +36,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_texts, components, cut, mix, run_hashes, sized, slices, table, word_hashes
+from .common import byte_texts, components, cut, mix, parts, released, run_hashes, sized, slices, table, word_hashes
 
 #: A block's tile; R-tree leaf and inner node sizes.
 TILE, LEAF = 2048, 32
 #: Shingles of a tile whose links are counted, and columns of a membership matrix.
-TILE_SHINGLES, COLUMNS = 500_000, 4096
-#: Pairs that a task remembers having sent.
-MOST_SEEN = 500_000
+TILE_SHINGLES, COLUMNS = 500_000, 2048
+#: Pairs that a task remembers having sent, and pairs made distinct at once.
+MOST_SEEN, AT_ONCE = 200_000, 50_000
+#: Pairs of one owner that are verified together.
+CHUNK = 256
 #: Hash groups by set size: enough that unlike sets of that size differ in their counts.
 GROUPS = ((1_500, 256), (6_000, 512), (math.inf, 1_024))
 
@@ -116,108 +119,170 @@ class CountTree:
                     yield self.order[a][p], other.order[b][q]
 
 
-def block_pairs(ids: np.ndarray, labels: np.ndarray, sizes: np.ndarray, home: np.ndarray, vectors: list[np.ndarray], percent: int) -> set[tuple[int, int]]:
-    """Candidate pairs (smaller id first) between home members, and of home members with visitors."""
-    out: set[tuple[int, int]] = set()
+def block_pairs(ids: np.ndarray, labels: np.ndarray, sizes: np.ndarray, home: np.ndarray, vectors: list[np.ndarray], percent: int) -> Iterator[np.ndarray]:
+    """Candidate pairs (rows of two, smaller id first) between home members, and of home members with visitors."""
     if (labels == labels[0]).all() or not home.any():
-        return out
+        return
     g = min(len(v) for v in vectors)
     points = np.stack([folded(v, g) for v in vectors])
+
+    def trees() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        at_home, away = np.flatnonzero(home), np.flatnonzero(~home)
+        own = CountTree(points[at_home], sizes[at_home])
+        yield from ((at_home[p], at_home[q]) for p, q in own.join(own, percent))
+        if len(away):
+            yield from ((at_home[p], away[q]) for p, q in own.join(CountTree(points[away], sizes[away]), percent))
+
     if len(ids) <= LEAF:
         i, j = np.triu_indices(len(ids), 1)
         x, y = sizes[i], sizes[j]
-        ok = (labels[i] != labels[j]) & (home[i] | home[j]) & (100 * np.minimum(x, y) >= percent * np.maximum(x, y))
+        ok = (home[i] | home[j]) & (100 * np.minimum(x, y) >= percent * np.maximum(x, y))
         i, j = i[ok], j[ok]
         ok = np.minimum(points[i], points[j]).sum(1) >= least_overlap(sizes[i], sizes[j], percent)
-        found = [(i[ok], j[ok])]
+        found = iter([(i[ok], j[ok])])
     else:
-        at_home, away = np.flatnonzero(home), np.flatnonzero(~home)
-        own = CountTree(points[at_home], sizes[at_home])
-        found = [(at_home[p], at_home[q]) for p, q in own.join(own, percent)]
-        if len(away):
-            found += [(at_home[p], away[q]) for p, q in own.join(CountTree(points[away], sizes[away]), percent)]
+        found = trees()
     for i, j in found:
         ok = labels[i] != labels[j]
-        a, b = ids[i[ok]], ids[j[ok]]
-        out.update(zip(np.minimum(a, b).tolist(), np.maximum(a, b).tolist(), strict=True))
-    return out
+        x, y = ids[i[ok]], ids[j[ok]]
+        if len(x):
+            yield np.stack((np.minimum(x, y), np.maximum(x, y)), 1)
+
+
+def lists(arrays: list[np.ndarray]) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, arrays)]), pa.int32()), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int64)))
 
 
 def profiles(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """doc_id, n, d1, d2 (fingerprint of the set), vector, prefix."""
+    """doc_id, text_key (hash of the text), n, d1, d2 (fingerprint of the set), vector, prefix."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for part in parts(batches):
             n, d1, d2, vec, pre = [], [], [], [], []
-            for s in shingle_sets(byte_texts(batch.column(1)), width):
+            for s in shingle_sets(byte_texts(part.column(1)), width):
                 n.append(len(s))
                 d1.append(int(mix(s).sum(dtype=np.uint64).astype(np.int64)) if len(s) else 0)
                 d2.append(int(mix(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64).astype(np.int64)) if len(s) else 0)
                 vec.append(count_vector(s) if len(s) else b"")
-                pre.append(s[: len(s) - -(-percent * len(s) // 100) + 1].view(np.int64) if len(s) else np.zeros(0, np.int64))
-            ends = np.cumsum([0, *map(len, pre)])
-            prefix = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(pre) if pre else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(vec, pa.binary()), prefix], ["doc_id", "n", "d1", "d2", "vector", "prefix"])
+                pre.append(s[: len(s) - -(-percent * len(s) // 100) + 1].view(np.int64).copy() if len(s) else np.zeros(0, np.int64))
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(vec, pa.binary()), lists(pre)], ["doc_id", "text_key", "n", "d1", "d2", "vector", "prefix"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, d1 long, d2 long, vector binary, prefix array<long>")
+    return docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_key")).mapInArrow(run, "doc_id long, text_key long, n long, d1 long, d2 long, vector binary, prefix array<long>")
 
 
 def sets_of(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
     """(id, shingles) of the documents in ids; made anew from the texts, so sets are never stored."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sets = [s.view(np.int64) for s in shingle_sets(byte_texts(batch.column(1)), width)]
-            ends = np.cumsum([0, *map(len, sets)])
-            flat = pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), flat)], ["id", "shingles"])
+        for part in parts(batches):
+            yield pa.RecordBatch.from_arrays([part.column(0), lists([s.view(np.int64) for s in shingle_sets(byte_texts(part.column(1)), width)])], ["id", "shingles"])
 
     wanted = docs.select("doc_id", "text").join(sized(ids.select(F.col("id").alias("doc_id"))), "doc_id", "left_semi")
     return wanted.mapInArrow(run, "id long, shingles array<long>")
 
 
 def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose whole sets are similar enough."""
+    """The pairs (a, b) whose whole sets are similar enough.
+
+    The end that is in more pairs owns a pair. An owner's pairs are cut into chunks of about CHUNK; its set
+    is sent once a chunk, the other one's once a pair, so no set and no key is in the way of all others.
+    """
     pairs = cut(pairs)
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    sets = cut(sets_of(docs, ids, width))
-    d = pairs.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a").join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
-    shared = F.size(F.array_intersect("x", "y"))
-    d = d.select("a", "b", shared.alias("shared"), (F.size("x") + F.size("y") - shared).alias("union"))
-    return d.where(100 * F.col("shared") >= percent * F.col("union")).select("a", "b").distinct()
+    ends = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).groupBy("id").agg(F.count("*").alias("n"))
+    sets = cut(sets_of(docs, ends, width))
+    hot = sized(ends.where(F.col("n") > CHUNK))
+    d = pairs
+    for c in ("a", "b"):
+        d = d.join(hot.select(F.col("id").alias(c), F.col("n").alias(f"n_{c}")), c, "left")
+    n_a, n_b = F.coalesce("n_a", F.lit(1)), F.coalesce("n_b", F.lit(1))
+    owner, other = F.when(n_a >= n_b, F.col("a")).otherwise(F.col("b")), F.when(n_a >= n_b, F.col("b")).otherwise(F.col("a"))
+    d = d.select(owner.alias("owner"), other.alias("id"), F.pmod(F.xxhash64(other), F.ceil(F.greatest(n_a, n_b) / CHUNK)).alias("chunk"))
+    owners = d.select("owner", F.col("owner").alias("id"), "chunk").distinct()
+    rows = owners.withColumn("role", F.lit(0)).unionByName(d.withColumn("role", F.lit(1))).join(sets, "id")
+    rows = rows.select("owner", "chunk", "role", "id", "shingles").repartition("owner", "chunk").sortWithinPartitions("owner", "chunk", "role")
+    return rows.mapInArrow(lambda it: _verify(it, percent), "a long, b long").distinct()
+
+
+def _verify(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Linking pairs of rows (owner, chunk, role, id, shingles), where each chunk begins with its owner's set."""
+    bases: list[np.ndarray] = []  # more than one if rows with different texts share the owner's doc_id
+    before = None
+    for batch in parts(rows, "shingles"):
+        owner, chunk, role, ids = (batch.column(c).to_numpy() for c in ("owner", "chunk", "role", "id"))
+        sets = batch.column("shingles")
+        sizes = sets.value_lengths().to_numpy().astype(np.int64)
+        ends = np.cumsum(sizes)
+        flat = sets.flatten().to_numpy().view(np.uint64)
+        new = np.flatnonzero((owner[1:] != owner[:-1]) | (chunk[1:] != chunk[:-1])) + 1
+        kept = []
+        for lo, hi in zip([0, *new.tolist()], [*new.tolist(), len(ids)], strict=True):
+            if (here := (owner[lo], chunk[lo])) != before:
+                bases, before = [], here
+            while lo < hi and role[lo] == 0:
+                bases.append(flat[ends[lo] - sizes[lo] : ends[lo]].copy())
+                lo += 1
+            if lo == hi:
+                continue
+            part = flat[ends[lo] - sizes[lo] : ends[hi - 1]]
+            at = ends[lo:hi] - (ends[lo] - sizes[lo])
+            for base in bases:
+                held = np.concatenate(([0], np.cumsum(base[np.minimum(np.searchsorted(base, part), len(base) - 1)] == part)))
+                shared = held[at] - held[at - sizes[lo:hi]]
+                ok = lo + np.flatnonzero(100 * shared >= percent * (sizes[lo:hi] + len(base) - shared))
+                kept.append(np.stack((np.minimum(owner[ok], ids[ok]), np.maximum(owner[ok], ids[ok])), 1))
+        if kept:
+            yield _pairs(np.concatenate(kept))
+
+
+def _pairs(x: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(x[:, 0], pa.int64()), pa.array(x[:, 1], pa.int64())], ["a", "b"])
 
 
 def _search(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
     """Candidate pairs of blocks that arrive one after the other, sorted by block."""
     rest: pa.Table | None = None
-    seen: set[tuple[int, int]] = set()
-
-    def pairs(t: pa.Table) -> pa.RecordBatch:
+    seen: set[int] = set()
+
+    def new(found: list[np.ndarray]) -> pa.RecordBatch:
+        """Found pairs that were not sent before; what is sent twice for want of memory is made distinct later."""
+        x = np.concatenate(found) if found else np.zeros((0, 2), np.int64)
+        keys = [a << 64 | b & (1 << 64) - 1 for a, b in x.tolist()]
+        places = {k: i for i, k in enumerate(keys) if k not in seen}
+        if len(seen) + len(places) <= MOST_SEEN:
+            seen.update(places)
+        return _pairs(x[np.fromiter(places.values(), np.int64, len(places))])
+
+    def pairs(t: pa.Table) -> Iterator[pa.RecordBatch]:
         block = np.stack([t.column(c).to_numpy() for c in ("key", "band", "i", "j")])
         starts = np.flatnonzero(np.concatenate(([True], (block[:, 1:] != block[:, :-1]).any(0))))
         ids, labels, sizes, home = (t.column(c).to_numpy(zero_copy_only=False) for c in ("id", "label", "n", "home"))
         raw = t.column("vector").to_pylist()
-        found: set[tuple[int, int]] = set()
+        found, n = [], 0
         for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(ids)], strict=True):
             if b - a > 1:
-                found |= block_pairs(ids[a:b], labels[a:b], sizes[a:b], home[a:b], [vector_of(v, n) for v, n in zip(raw[a:b], sizes[a:b].tolist(), strict=True)], percent)
-        found -= seen
-        if len(seen) < MOST_SEEN:  # only saves repeats; what is sent twice is made distinct later
-            seen.update(found)
-        x = np.array(sorted(found), np.int64).reshape(-1, 2)
-        return pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1])], ["a", "b"])
-
-    for batch in rows:
-        t = pa.Table.from_batches([batch])
-        t = pa.concat_tables([rest, t]).combine_chunks() if rest is not None else t
-        block = np.stack([t.column(c).to_numpy() for c in ("key", "band", "i", "j")])
-        changes = np.flatnonzero((block[:, 1:] != block[:, :-1]).any(0))
-        if len(changes):
-            yield pairs(t.slice(0, changes[-1] + 1))
-            t = t.slice(changes[-1] + 1)
-        rest = t
-    if rest is not None and len(rest):
-        yield pairs(rest)
+                for x in block_pairs(ids[a:b], labels[a:b], sizes[a:b], home[a:b], [vector_of(v, n) for v, n in zip(raw[a:b], sizes[a:b].tolist(), strict=True)], percent):
+                    found.append(x)
+                    n += len(x)
+                    if n >= AT_ONCE:
+                        yield new(found)
+                        found, n = [], 0
+        yield new(found)
+
+    try:
+        for batch in rows:
+            t = pa.Table.from_batches([batch])
+            t = pa.concat_tables([rest, t]).combine_chunks() if rest is not None else t
+            block = np.stack([t.column(c).to_numpy() for c in ("key", "band", "i", "j")])
+            changes = np.flatnonzero((block[:, 1:] != block[:, :-1]).any(0))
+            if len(changes):
+                yield from pairs(t.slice(0, changes[-1] + 1))
+                t = t.slice(changes[-1] + 1)
+            rest = t
+        if rest is not None and len(rest):
+            yield from pairs(rest)
+    finally:
+        rest = None
+        released()
 
 
 def tree_candidates(members: DataFrame, percent: int) -> DataFrame:
@@ -275,18 +340,30 @@ def leader_candidates(made: DataFrame, ids: DataFrame, percent: int, keys: int =
     return near.select("a", "b", "n_a", "n_b", "v_a", "v_b").mapInArrow(run, "a long, b long")
 
 
-def _grouped(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Profiles of the documents, their classes, and the groups of linked classes."""
+def _nodes(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """(profiles with `node`, docs as node and text): a node is a doc_id, or a hash where an id has several texts."""
     made = cut(profiles(docs, width, percent))
-    classes = made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies"))
-    ids = cut(classes.select("id", "copies"))
-    first = cut(verified(docs, leader_candidates(made, sized(ids.withColumnRenamed("id", "doc_id")), percent), width, percent))
+    several = made.where("doc_id is not null").groupBy("doc_id").agg(F.min("text_key").alias("x"), F.max("text_key").alias("y"))
+    several = sized(cut(several.where("x <> y").select("doc_id", F.lit(True).alias("several"))))
+    key = F.when(F.col("several"), F.xxhash64("doc_id", "text_key")).otherwise(F.col("doc_id"))
+    of = lambda d: d.join(several, "doc_id", "left").withColumn("node", key).drop("several")
+    return of(made), of(docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_key"))).select(F.col("node").alias("doc_id"), "text")
+
+
+def _grouped(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Profiles of the documents; their classes (d1, d2, n, id, least doc_id, copies) with their group; docs by node."""
+    made, docs = _nodes(docs, width, percent)
+    classes = cut(made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("node").alias("id"), F.min("doc_id").alias("least"), F.count_distinct("node").alias("copies")))
+    nodes = made.drop("doc_id").withColumnRenamed("node", "doc_id")
+    ids = classes.select("id", "copies")
+    first = cut(verified(docs, leader_candidates(nodes, sized(ids.withColumnRenamed("id", "doc_id")), percent), width, percent))
     labels = components(first).select("id", F.col("component").alias("label"))
     labelled = sized(cut(ids.select("id").join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))))
-    members = made.withColumnRenamed("doc_id", "id").join(labelled, "id")
+    members = nodes.withColumnRenamed("doc_id", "id").join(labelled, "id")
     second = cut(verified(docs, tree_candidates(members, percent), width, percent))
     links = first.select("a", "b").union(second.select("a", "b")).distinct()
-    return made, classes.drop("copies"), components(links)
+    grouped = classes.join(components(links), "id", "left").withColumn("component", F.coalesce("component", "id"))
+    return made, cut(grouped), docs
 
 
 def cell_links(cell: pa.Table, percent: int) -> pa.Table:
@@ -295,24 +372,37 @@ def cell_links(cell: pa.Table, percent: int) -> pa.Table:
     cell: id, copies, tile, i, j, shingles. Overlaps are products of membership matrices.
     """
     ids, copies, tile = (cell.column(c).to_numpy() for c in ("id", "copies", "tile"))
-    lists = cell.column("shingles").combine_chunks()
-    sizes = lists.value_lengths().to_numpy().astype(np.int64)
-    _, column = np.unique(lists.flatten().to_numpy(), return_inverse=True)
+    sets = cell.column("shingles").combine_chunks()
+    sizes = sets.value_lengths().to_numpy().astype(np.int64)
+    _, column, often = np.unique(sets.flatten().to_numpy(), return_inverse=True, return_counts=True)
     row = np.repeat(np.arange(len(ids)), sizes)
+    # What one set alone holds is shared with none; shingles of the same sets are one column with a weight.
+    kept = often[column] > 1
+    column, row = np.unique(column[kept], return_inverse=True)[1], row[kept]
+    marks = mix(np.arange(1, 2 * len(ids) + 1, dtype=np.uint64)).reshape(2, -1)
+    sums = np.zeros((2, int(column.max(initial=-1)) + 1), np.uint64)
+    for k in (0, 1):
+        np.add.at(sums[k], column, marks[k][row])
+    _, first, merged, weight = np.unique(sums, axis=1, return_index=True, return_inverse=True, return_counts=True)
+    kept = first[merged[column]] == column
+    column, row = merged[column[kept]], row[kept]
     order = np.argsort(column, kind="stable")
     column, row = column[order], row[order]
     one, other = np.flatnonzero(tile == cell.column("i")[0].as_py()), np.flatnonzero(tile == cell.column("j")[0].as_py())
     shared = np.zeros((len(one), len(other)), np.float32)
-    for lo in range(0, int(column[-1]) + 1, COLUMNS):
+    for lo in range(0, len(weight), COLUMNS):
         x, y = np.searchsorted(column, (lo, lo + COLUMNS))
-        held = np.zeros((len(ids), COLUMNS), np.float32)
+        held = np.zeros((len(ids), min(COLUMNS, len(weight) - lo)), np.float32)
         held[row[x:y], column[x:y] - lo] = 1
-        shared += held[one] @ held[other].T
-    link = (100 * shared.astype(np.int64) >= percent * (sizes[one][:, None] + sizes[other] - shared.astype(np.int64))) & (ids[one][:, None] != ids[other])
+        shared += (held[one] * weight[lo : lo + COLUMNS].astype(np.float32)) @ held[other].T
     found = np.zeros(len(ids), np.int64)
-    found[one] += link @ copies[other]
-    if cell.column("i")[0] != cell.column("j")[0]:
-        found[other] += link.T @ copies[one]
+    for lo in range(0, len(one), LEAF):
+        part, own = shared[lo : lo + LEAF].astype(np.int64), one[lo : lo + LEAF]
+        link = (100 * part >= percent * (sizes[own][:, None] + sizes[other] - part)) & (ids[own][:, None] != ids[other])
+        found[own] += link @ copies[other]
+        if cell.column("i")[0] != cell.column("j")[0]:
+            found[other] += link.T @ copies[own]
+    released()
     return pa.table({"id": pa.array(ids, pa.int64()), "n_links": pa.array(found, pa.int64())})
 
 
@@ -337,23 +427,31 @@ def jaccard_groups(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFr
 
     n_links counts the other documents (distinct ids) whose sets are similar enough, equal sets included.
     """
-    made, _, final = _grouped(docs, width, percent)
-    final = cut(final)
-    copies = cut(made.where("n > 0 and doc_id is not null").select("doc_id", "d1", "d2", "n").distinct().groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies")))
-    links = all_links(docs, cut(copies.select("id", "n", "copies").join(final, "id")), width, percent)
+    made, classes, docs = _grouped(docs, width, percent)
+    groups = classes.groupBy("component").agg(F.min("least").alias("component_id"), F.count("*").alias("m"))
+    # A class that is a group of its own links with its copies alone.
+    linked = classes.join(groups.where("m > 1").select("component"), "component", "left_semi").select("id", "component", "n", "copies")
+    links = all_links(docs, cut(linked), width, percent)
     n_links = F.col("copies") - 1 + F.coalesce("n_links", F.lit(0))
-    of_class = copies.join(final, "id", "left").join(links, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"), n_links.alias("n_links"))
+    of_class = classes.join(groups, "component").join(links, "id", "left").select("d1", "d2", "n", "component_id", n_links.alias("n_links"))
     d = made.select("doc_id", "n", "d1", "d2").join(of_class, ["d1", "d2", "n"], "left")
     alone = F.col("component_id").isNull() | F.col("doc_id").isNull()
     return d.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.when(alone, 0).otherwise(F.col("n_links")).cast("long").alias("n_links"))
 
 
 def one_of_each_group(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """docs without those that another document stands for; the least doc_id of a group stays."""
-    made, classes, final = _grouped(docs, width, percent)
-    of_class = classes.join(final, "id", "left").select("d1", "d2", "n", F.coalesce("component", "id").alias("component_id"))
-    rest = made.select("doc_id", "n", "d1", "d2").join(of_class, ["d1", "d2", "n"]).where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(sized(cut(rest)), "doc_id", "left_anti")
+    """docs without those that another document stands for; the least doc_id of a group stays.
+
+    Rows go by doc_id and text, so a text that a repeated doc_id has beside a dropped one stays. Rows that
+    repeat the doc_id and text of the one that stays, stay too.
+    """
+    made, classes, _ = _grouped(docs, width, percent)
+    keepers = classes.groupBy("component").agg(F.min(F.struct("least", "id")).alias("keeper"))
+    of_class = classes.join(keepers, "component").select("d1", "d2", "n", "id", "keeper")
+    rest = made.where("doc_id is not null").join(of_class, ["d1", "d2", "n"]).where("doc_id <> keeper.least or id <> keeper.id").select("doc_id", "text_key").distinct()
+    rest = sized(cut(rest.toDF("gone_id", "gone_key")))
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("own"), F.col("doc_id").alias("this_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("this_key"))
+    return own.join(rest, (F.col("this_id") == F.col("gone_id")) & (F.col("this_key") == F.col("gone_key")), "left_anti").select("own.*")
 
 
 def op1_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -72,7 +72,7 @@ def test_tree_bound_loses_nothing():
     vectors = [J.vector_of(J.count_vector(s), len(s)) for s in sets]
     sizes = np.array([len(s) for s in sets])
     ids = np.arange(150)
-    got = J.block_pairs(ids, ids, sizes, np.ones(150, bool), vectors, 85)
+    got = {tuple(x) for found in J.block_pairs(ids, ids, sizes, np.ones(150, bool), vectors, 85) for x in found.tolist()}
     for i in range(150):
         for j in range(i + 1, 150):
             shared = len(np.intersect1d(sets[i], sets[j]))
@@ -84,7 +84,18 @@ def test_random_sets_are_pruned():
     rng = np.random.default_rng(2)
     sets = [np.unique(rng.integers(0, 2**63, 400, dtype=np.uint64)) for _ in range(100)]
     ids = np.arange(100)
-    assert not J.block_pairs(ids, ids, np.array([len(s) for s in sets]), np.ones(100, bool), [J.vector_of(J.count_vector(s), len(s)) for s in sets], 85)
+    assert not list(J.block_pairs(ids, ids, np.array([len(s) for s in sets]), np.ones(100, bool), [J.vector_of(J.count_vector(s), len(s)) for s in sets], 85))
+
+
+def test_one_id_with_different_texts(spark, monkeypatch):
+    """Of each group a document stays, and a text is never lost to another text of its doc_id."""
+    monkeypatch.setattr(J, "CHUNK", 2)
+    text = lambda k, end="": " ".join(f"{k}w{i}" for i in range(120)) + end
+    rows = [(5, text("a")), (5, text("b")), (3, text("b", " x")), (7, text("c")), (None, text("b")), *((20 + k, text("b", f" y{k}")) for k in range(9))]
+    df = spark.createDataFrame([(d, t, "v", 1) for d, t in rows], "doc_id long, text string, shingles string, id int").repartition(3)
+    got = J.one_of_each_group(df)
+    assert got.columns == df.columns
+    assert {(r.doc_id, r.text) for r in got.collect()} == {(5, text("a")), (3, text("b", " x")), (7, text("c")), (None, text("b"))}
 
 
 def test_links_are_all_counted(spark, sf, monkeypatch):

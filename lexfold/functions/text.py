@@ -152,5 +152,9 @@ def legend_map(legend: Column | str) -> Column:
 
 
 def unfold_expr(folded: Column | str, legend: Column | str) -> Column:
-    """Units with every marker of the legend replaced by its entry; one pass, as entries hold no markers."""
-    return let(legend_map(legend), lambda m: F.flatten(F.transform(col(folded), lambda u: F.coalesce(F.try_element_at(m, u), F.array(u)))))
+    """Units with every marker of the legend replaced by its entry; one pass, as entries hold no markers.
+
+    Only units that begin as markers do are looked up: a lookup goes through the legend's keys.
+    """
+    own = lambda m: lambda u: F.when(F.startswith(u, F.lit("<M")), F.coalesce(F.try_element_at(m, u), F.array(u))).otherwise(F.array(u))
+    return let(legend_map(legend), lambda m: F.flatten(F.transform(col(folded), own(m))))

@@ -5,15 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.text import let
 from .fold import legend
 
 
 def folded_unit_freq(folded: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """(by, unit, n): counts in the folded text, plus each legend entry's units times its uses."""
-    markers = F.transform("legend", lambda e: e["marker"])
-    plain = let(markers, lambda m: F.filter("folded", lambda u: ~F.array_contains(m, u)))
-    plain = folded.select(*by, F.explode(plain).alias("unit"), F.lit(1).cast("long").alias("n"))
+    counts = folded.select("shard_id", *by, F.explode("folded").alias("unit")).groupBy("shard_id", *by, "unit").agg(F.count("*").alias("n"))
+    # Counted before the join, so a unit of a shard travels once; markers are known by their shard's legend.
+    plain = counts.join(legend(folded).select("shard_id", F.col("marker").alias("unit")), ["shard_id", "unit"], "left_anti").select(*by, "unit", "n")
     e = folded.select(*by, F.explode("legend").alias("e"))
     inside = e.select(*by, F.explode("e.units").alias("unit"), F.col("e.f").alias("n"))
     return plain.unionByName(inside).groupBy(*by, "unit").agg(F.sum("n").alias("n"))

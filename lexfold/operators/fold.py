@@ -187,7 +187,7 @@ def fold_global(shards: DataFrame, options: Options | None = None) -> DataFrame:
     """
     o = options or Options()
 
-    def run(key, t: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         t = t.sort_by("shard_id")
         lists = t.column("units").to_pylist()
         walls = [f"\x00{i}" for i in range(len(lists))]  # no run crosses a shard

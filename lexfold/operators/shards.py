@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import COSTS, units
+from .lineage import checkpointed
 
 
 def parts(df: DataFrame, n_parts: int) -> DataFrame:
@@ -26,10 +27,31 @@ def _named(df: DataFrame) -> DataFrame:
     return df.withColumn("shard_id", F.concat_ws("/", "corpus", F.col("part").cast("string"), F.col("seq").cast("string")))
 
 
+def running(df: DataFrame, value: F.Column, order: str, out: str = "before") -> DataFrame:
+    """Adds the sum of value over the records before each, by corpus and part in the order of a number or time.
+
+    A corpus is cut into ranges of the order, about equal in records; sums run inside a range and start
+    from the sums of the ranges before it, so no task holds a whole corpus.
+    """
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    key = ["corpus", "part"]
+    cuts = F.percentile_approx(order, [k / n for k in range(1, n)] or [0.5], 10_000)
+    # Ranges must be the same wherever they are used, so they are written down.
+    cuts = checkpointed(df.groupBy(*key).agg(cuts.alias("_cuts")))
+    d = df.withColumn("_value", value).join(F.broadcast(cuts), key)
+    d = d.withColumn("_range", F.coalesce(F.size(F.filter("_cuts", lambda c: c < F.col(order))), F.lit(0))).drop("_cuts")
+    sums = d.groupBy(*key, "_range").agg(F.sum("_value").alias("_sum"))
+    earlier = Window.partitionBy(*key).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    base = sums.select(*key, "_range", F.coalesce(F.sum("_sum").over(earlier), F.lit(0)).alias("_base"))
+    here = Window.partitionBy(*key, "_range").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    d = d.join(F.broadcast(base), [*key, "_range"])
+    return d.withColumn(out, F.col("_base") + F.coalesce(F.sum("_value").over(here), F.lit(0))).drop("_range", "_value", "_base")
+
+
 def assign_shards_count(df: DataFrame, count: int = 2000) -> DataFrame:
     """Shards of a fixed number of records in order."""
-    w = Window.partitionBy("corpus", "part").orderBy("rec_id")
-    return _named(_with_part(df).withColumn("seq", F.floor((F.row_number().over(w) - 1) / count).cast("long")))
+    d = running(_with_part(df), F.lit(1), "rec_id", "_before")
+    return _named(d.withColumn("seq", F.floor(F.col("_before") / count).cast("long")).drop("_before"))
 
 
 def split_oversize(df: DataFrame, budget: int, cost: str = "pieces") -> DataFrame:
@@ -51,8 +73,8 @@ def assign_shards(df: DataFrame, budget: int = 32_000, mode: str = "cumsum", cos
     """
     d = _with_part(df).withColumn("n_tok", COSTS[cost]("text"))
     if mode == "cumsum":
-        w = Window.partitionBy("corpus", "part").orderBy("rec_id").rowsBetween(Window.unboundedPreceding, -1)
-        return _named(d.withColumn("seq", F.floor(F.coalesce(F.sum("n_tok").over(w), F.lit(0)) / budget).cast("long")))
+        d = running(d, F.col("n_tok"), "rec_id", "_before")
+        return _named(d.withColumn("seq", F.floor(F.col("_before") / budget).cast("long")).drop("_before"))
 
     def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         key, seq, used = None, 0, 0
@@ -77,10 +99,15 @@ def assign_shards_time(df: DataFrame, size: str = "1 day", slide: str | None = N
     """Shards by time: tumbling, sliding (records repeat) or, with gap, sessions of a corpus."""
     d = _with_part(df)
     if gap:
-        sessions = d.groupBy("corpus", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("_n"))
-        sessions = sessions.select("corpus", F.col("w.start").alias("_a"), F.col("w.end").alias("_b"), F.row_number().over(Window.partitionBy("corpus").orderBy("w.start")).cast("long").alias("seq"))
-        joined = d.alias("d").join(sessions.alias("s"), (F.col("d.corpus") == F.col("s.corpus")) & (F.col("ts") >= F.col("_a")) & (F.col("ts") < F.col("_b")))
-        return _named(joined.select("d.*", "seq"))
+        # Sessions are merged map-side and never meet a record again: each record counts the starts up to its time.
+        d = d.where(F.col("ts").isNotNull())
+        starts = d.groupBy("corpus", "part", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("_n"))
+        starts = starts.select("corpus", "part", F.col("w.start").alias("ts"), F.lit(1).alias("_start"))
+        stamped = d.withColumn("_start", F.lit(0)).unionByName(starts, allowMissingColumns=True)
+        # In order of time and, at one time, the session's start before its records.
+        stamped = stamped.withColumn("_at", 2 * F.unix_micros(F.col("ts").cast("timestamp")) + 1 - F.col("_start"))
+        d = running(stamped, F.col("_start"), "_at", "seq").where("_start = 0").drop("_start", "_at")
+        return _named(d.withColumn("seq", F.col("seq").cast("long")))
     w = F.window("ts", size, slide) if slide else F.window("ts", size)
     return _named(d.withColumn("_w", w).withColumn("seq", F.unix_seconds("_w.start")).drop("_w"))
 

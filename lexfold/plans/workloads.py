@@ -9,14 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import measures as M
-from ..functions.text import tok_pieces
+from ..functions.text import fill, tok_pieces, units
 from ..operators import shards as S
 from ..operators.fold import fold_global, fold_sweep, legend
 from ..operators.kernel import Options
 from ..operators.lineage import checkpointed
-from ..operators.prompts import ExactReader, NoisyReader, Reader, align, build_prompts, read_prompts
+from ..operators.prompts import ENTRY_END, UNFOLD, ExactReader, NoisyReader, Reader, align, build_prompts, read_prompts
 from ..operators.templates import fold_templates, match_templates, templates_mined, unfold_templates
-from ..sources.corpora import EXTRA, LANGS, MAIN, corpora, document_records, events_records, read, strip_tags
+from ..sources.corpora import EXTRA, LANGS, MAIN, corpora, events_records, read, strip_tags
 
 READERS: tuple[Reader, ...] = (ExactReader(), NoisyReader(seed=7))
 
@@ -32,6 +32,14 @@ def w1_ratio(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, l_
     return M.ratios(d, ["corpus", "l_max"]).drop("n_tok", "n_tok_folded", "n_tok_legend")
 
 
+def line_records(docs: DataFrame, key: str, corpus: str) -> DataFrame:
+    """(corpus, rec_id, text) of every line of text; rec_id counts lines over all documents in the order of key."""
+    d = docs.withColumn("_lines", F.split("text", "\n")).withColumn("_n", F.size("_lines").cast("long"))
+    d = S.running(d.select(F.lit(corpus).alias("corpus"), F.lit(0).alias("part"), F.col(key).alias("rec_id"), "_lines", "_n"), F.col("_n"), "rec_id")
+    d = d.select("corpus", "before", F.posexplode("_lines").alias("_i", "text"))
+    return d.select("corpus", (F.col("before") + F.col("_i")).alias("rec_id"), "text")
+
+
 def _pair_metrics(pairs: DataFrame, key: list[str], long: bool) -> DataFrame:
     """key, metric, value of every measure; long: whole shards."""
     lev, ham = (M.lev_sim_long, M.ham_sim_long) if long else (M.lev_sim, M.ham_sim)
@@ -40,42 +48,50 @@ def _pair_metrics(pairs: DataFrame, key: list[str], long: bool) -> DataFrame:
     flat = flat.select(*key, F.element_at(F.array(*map(F.lit, ("exact", "levenshtein", "hamming", "rouge_l"))), F.col("m") + 1).alias("metric"), "value")
     r1 = M.rouge_n(pairs, key).select(*key, F.lit("rouge_1").alias("metric"), F.col("recall").alias("value"))
     b = M.bleu(pairs, key).select(*key, F.lit("bleu").alias("metric"), F.col("bleu").alias("value"))
-    return flat.unionByName(r1).unionByName(b)
+    p = pairs.select(*key, F.lit("string_presence").alias("metric"), M.presence("hyp", units("ref")).alias("value"))
+    return flat.unionByName(r1).unionByName(b).unionByName(p)
 
 
 def w2_template(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, readers: tuple[Reader, ...] = READERS, cap: int | None = None) -> DataFrame:
-    """corpus, reader, metric, mean, sem, n of template folding, by record.
-
-    Every record's folded line stands alone in a prompt of its corpus; the answer is compared line by line.
-    """
+    """corpus, reader, metric, mean, sem, n of template folding, by record; records travel in batches."""
     return template_scores(corpora(spark, sf_dir, names, cap), readers)
 
 
-def template_scores(records: DataFrame, readers: tuple[Reader, ...] = READERS) -> DataFrame:
+def template_answers(records: DataFrame, readers: tuple[Reader, ...] = READERS, budget: int = 8_000) -> DataFrame:
+    """(corpus, reader, rec_id, ref, hyp): records in batches whose answer fits the budget of tokens.
+
+    Each batch's system text is the whole dictionary of its corpus, so a reader has every other template
+    to take one for; the user text is one marker, or unfolded record, a line. Slots are filled in after.
+    """
     records = records.withColumn("text", F.regexp_replace("text", r"[ \t\n\r\f]+", " "))
     catalogue = checkpointed(templates_mined(records))
-    made = checkpointed(fold_templates(records, catalogue, "slots"))
-    c = catalogue.select("corpus", F.concat(F.lit("<M"), F.col("tpl_id").cast("string"), F.lit(">")).alias("marker"), "masked")
-    one = made.drop("masked").withColumn("marker", F.get("folded", F.lit(0))).join(c, ["corpus", "marker"], "left")
-    # As a fixed-piece reader sees it: the marker stands for the mask, slot values follow.
-    system = F.when(F.col("masked").isNotNull(), F.concat("marker", F.lit(" = "), "masked")).otherwise("")
-    prompts = one.select("corpus", "rec_id", F.col("text").alias("ref"), "masked", F.slice("folded", 2, F.size("folded")).alias("slots"), system.alias("system"), F.get("folded", F.lit(0)).alias("user"))
+    made = fold_templates(records, catalogue, "slots").drop("masked", "tpl_id")
+    made = checkpointed(S.assign_shards(made, budget).select("shard_id", "corpus", "rec_id", "text", "folded"))
+    marker = F.concat(F.lit("<M"), F.col("tpl_id").cast("string"), F.lit(">"))
+    entries = catalogue.groupBy("corpus").agg(F.sort_array(F.collect_list(F.struct("tpl_id", F.concat(marker, F.lit(" = "), "masked").alias("e")))).alias("x"))
+    entries = checkpointed(entries.select("corpus", F.concat(F.lit(UNFOLD), F.array_join("x.e", ENTRY_END)).alias("system")))
+    lines = F.transform(F.array_sort(F.collect_list(F.struct("rec_id", F.get("folded", F.lit(0)).alias("line")))), lambda x: x["line"])
+    prompts = made.groupBy("shard_id", "corpus").agg(F.array_join(lines, " \n ").alias("user")).join(entries, "corpus", "left").withColumn("system", F.coalesce("system", F.lit(UNFOLD)))
     out = None
     for r in readers:
-        a = read_prompts(prompts.select("corpus", "rec_id", "ref", "slots", "system", "user", F.lit(r.name).alias("reader")), r)
-        parts = F.split("answer", "#")
-        filled = F.array_join(F.transform(parts, lambda p, i: F.concat(p, F.coalesce(F.get("slots", i), F.lit("")))), "")
-        pairs = a.select("corpus", "reader", "rec_id", "ref", F.when(F.size("slots") > 0, filled).otherwise(F.col("answer")).alias("hyp"))
-        scored = _pair_metrics(pairs, ["corpus", "reader", "rec_id"], long=False)
-        out = scored if out is None else out.unionByName(scored)
-    return M.mean_sem(out, ["corpus", "reader", "metric"])
+        answers = read_prompts(prompts.select("shard_id", "corpus", "system", "user", F.lit(r.name).alias("reader")), r)
+        answers = answers.select("shard_id", F.regexp_replace("answer", " ?\n ?", "\n").alias("answer"))
+        a = align(answers, made).join(made.select("corpus", "rec_id", F.slice("folded", 2, F.size("folded")).alias("slots")), ["corpus", "rec_id"])
+        hyp = F.when(F.size("slots") > 0, fill("hyp", "slots")).otherwise(F.col("hyp"))
+        one = a.select("corpus", F.lit(r.name).alias("reader"), "rec_id", "ref", hyp.alias("hyp"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def template_scores(records: DataFrame, readers: tuple[Reader, ...] = READERS) -> DataFrame:
+    scored = _pair_metrics(template_answers(records, readers), ["corpus", "reader", "rec_id"], long=False)
+    return M.mean_sem(scored, ["corpus", "reader", "metric"])
 
 
 def w3_full(spark: SparkSession, sf_dir: str, readers: tuple[Reader, ...] = READERS) -> DataFrame:
     """As w2 on whole tables: events (few templates) and document lines (many)."""
-    ev = events_records(spark, sf_dir).withColumn("corpus", F.lit("events"))
-    docs = document_records(spark, sf_dir).select(F.lit("doc_lines").alias("corpus"), "rec_id", F.posexplode(F.split("text", "\n")).alias("n", "text"))
-    docs = docs.where("text <> ''").select("corpus", (F.col("rec_id") * 10_000 + F.col("n")).alias("rec_id"), F.lit(None).cast("timestamp").alias("ts"), "text")
+    ev = events_records(spark, sf_dir).select(F.lit("events").alias("corpus"), "rec_id", "text")
+    docs = line_records(read(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id", "doc_lines").where("text <> ''")
     return template_scores(ev.unionByName(docs), readers)
 
 
@@ -105,8 +121,9 @@ def w4_fold_quality(spark: SparkSession, sf_dir: str, **grid) -> DataFrame:
 
 
 def w5_regress(spark: SparkSession, sf_dir: str, **grid) -> DataFrame:
-    """Regression of every metric on cr over all runs, by reader."""
-    return M.regress(w4_fold_quality(spark, sf_dir, **grid), "value", "cr", ("reader", "metric"))
+    """Regression of every metric on cr, by reader; a run is a corpus under an l_max, the mean of its shards."""
+    runs = w4_fold_quality(spark, sf_dir, **grid).groupBy("corpus", "l_max", "reader", "metric").agg(F.avg("value").alias("value"), F.avg("cr").alias("cr"))
+    return M.regress(runs, "value", "cr", ("reader", "metric"))
 
 
 def w6_clusters(spark: SparkSession, sf_dir: str, **grid) -> DataFrame:

@@ -31,7 +31,7 @@ def events_stream(spark: SparkSession, path: str, delay: str = "1 hour", files_p
     return d.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
 
 
-def finished(stream: DataFrame, mode: str = "append", each: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+def finished(stream: DataFrame, mode: str = "append", each: Callable[[DataFrame, int], DataFrame] | None = None) -> DataFrame:
     """Run a stream over what is there now into files of the shared folder, and read them back.
 
     complete: the last result alone; append: the results of all batches. Each batch writes a folder of
@@ -41,7 +41,7 @@ def finished(stream: DataFrame, mode: str = "append", each: Callable[[DataFrame]
     base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
 
     def put(batch: DataFrame, number: int) -> None:
-        out = each(batch) if each else batch
+        out = each(batch, number) if each else batch
         out.write.mode("overwrite").parquet(f"{base}/out/batch={0 if mode == 'complete' else number}")
 
     query = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/state").foreachBatch(put).trigger(availableNow=True).start()
@@ -82,9 +82,9 @@ def rendered(events: DataFrame) -> DataFrame:
     return events.select(F.concat(F.lit("ev_"), "event_type").alias("corpus"), F.col("event_id").alias("rec_id"), "ts", line.alias("text"))
 
 
-def fold_batch(options: Options, count: int = 2000) -> Callable[[DataFrame], DataFrame]:
-    """Shards of a micro-batch folded at once; later batches never change an emitted legend."""
-    return lambda batch: fold(shard_units(assign_shards_count(batch, count)), options)
+def fold_batch(options: Options, count: int = 2000) -> Callable[[DataFrame, int], DataFrame]:
+    """Shards of a micro-batch folded at once; their ids hold its number, so no later batch uses them again."""
+    return lambda batch, number: fold(shard_units(assign_shards_count(batch.withColumn("part", F.lit(number)), count)), options)
 
 
 SHARD = "corpus string, first_rec long, n_recs long, text string"

@@ -22,9 +22,9 @@ def test_no_record_is_left_out(spark, sf):
 def test_no_id_or_language_is_left_out(spark, sf):
     q, d = catalog.QUERIES, spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()
     ids, labels = {r.doc_id for r in d}, {r.doc_id for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
-    assert {r.doc_id for r in q["join_left_labels_whole"](spark, sf).collect()} == ids
-    assert q["join_right_labels_whole"](spark, sf).where("doc_id is null").count() == len(labels - ids)
-    assert {r.doc_id for r in q["set_except_whole"](spark, sf).collect()} == ids - labels
+    assert {r.doc_id for r in q["join_left_labels"](spark, sf).collect()} == ids
+    assert q["join_right_labels"](spark, sf).where("doc_id is null").count() == len(labels - ids)
+    assert {r.doc_id for r in q["set_except"](spark, sf).collect()} == ids - labels
     starts = {}
     for r in d:
         u = re.split("[ \\t\\n\\r\\f]+", r.text.strip(" \t\n\r\f"))
@@ -38,7 +38,7 @@ def test_no_id_or_language_is_left_out(spark, sf):
                 if not kept or i >= kept[-1] + 2:
                     kept.append(i)
             want[key] = ",".join(map(str, kept))
-    assert {(r.shard_id, r.gram): r.kept for r in q["disjoint_starts_whole"](spark, sf).collect()} == want
+    assert {(r.shard_id, r.gram): r.kept for r in q["disjoint_starts"](spark, sf).collect()} == want
     spanish = {str(r.doc_id) for r in spark.read.parquet(f"{sf}/documents.parquet").where("lang = 'es'").collect()}
     assert {r.shard_id for r in q["udtf_fold_table"](spark, sf).collect()} - spanish
 
@@ -66,11 +66,57 @@ def test_measures_read_whole_texts(spark, tmp_path):
             assert abs(found[i][0] - x) < 2e-6, (i, x, found[i])
 
     most = [max(len(a), len(b)) or 1 for a, b in zip(texts, hyp, strict=True)]
-    same([float(a == b) for a, b in zip(texts, hyp, strict=True)], got("exact_match_whole"))
-    same([1 - lev(a, b) / m for a, b, m in zip(texts, hyp, most, strict=True)], got("lev_sim_whole"))
-    same([1.0 if not a and not b else sum(x == y for x, y in zip(a, b, strict=False)) / m for a, b, m in zip(texts, hyp, most, strict=True)], got("ham_sim_whole"))
+    same([float(a == b) for a, b in zip(texts, hyp, strict=True)], got("exact_match"))
+    same([1 - lev(a, b) / m for a, b, m in zip(texts, hyp, most, strict=True)], got("lev_sim_shard"))
+    same([1.0 if not a and not b else sum(x == y for x, y in zip(a, b, strict=False)) / m for a, b, m in zip(texts, hyp, most, strict=True)], got("ham_sim_shard"))
     counts = [(Counter(a.split()), Counter(b.split())) for a, b in zip(texts, hyp, strict=True)]
-    same([(a & b).total() / a.total() if a else float(not b) for a, b in counts], got("rouge1_whole", "recall", "precision"))
-    same([sum(u in b for u in a.split()) / len(a.split()) if a.split() else 1.0 for a, b in zip(texts, hyp, strict=True)], got("presence_whole"))
-    assert 0 < got("bleu2_docs_whole")[1][0] < 1 == got("bleu2_docs_whole")[5][0]
+    same([(a & b).total() / a.total() if a else float(not b) for a, b in counts], got("rouge1", "recall", "precision"))
+    same([sum(u in b for u in a.split()) / len(a.split()) if a.split() else 1.0 for a, b in zip(texts, hyp, strict=True)], got("presence"))
+    assert 0 < got("bleu2_docs")[1][0] < 1 == got("bleu2_docs")[5][0]
     assert got("rouge_l")[5] == (1.0,) and got("rouge_l")[1][0] < 1
+
+
+def test_shard_ids_of_micro_batches_differ(spark, sf, tmp_path):
+    from lexfold.operators.fold import unfold
+    from lexfold.operators.kernel import Options
+    from lexfold.streaming import streams
+
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    events.repartition(3).write.parquet(f"{tmp_path}/events")
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/events").withColumn("ts", F.col("ts").cast("timestamp"))
+    folded = streams.finished(streams.rendered(stream), each=streams.fold_batch(Options(), 100))
+    ids = [r.shard_id for r in folded.select("shard_id").collect()]
+    assert len(ids) == len(set(ids)) and {i.split("/")[1] for i in ids} == {"0", "1", "2"}
+    n = unfold(folded).select(F.explode("units").alias("u")).where("u = 'performed'").count()
+    assert n == events.count()
+
+
+def test_running_sums_do_not_depend_on_ranges(spark):
+    from lexfold.operators import shards as S
+
+    d = spark.range(1000).select(F.when(F.col("id") % 3 == 0, "a").otherwise("b").alias("corpus"), F.lit(0).alias("part"), (F.col("id") * F.col("id")).alias("rec_id"), (F.col("id") % 7).alias("v"))
+    want, sums = {}, Counter()
+    for r in sorted(d.collect(), key=lambda r: r.rec_id):
+        want[r.corpus, r.rec_id] = sums[r.corpus]
+        sums[r.corpus] += r.v
+    assert {(r.corpus, r.rec_id): r.before for r in S.running(d, F.col("v"), "rec_id").collect()} == want
+    plan = S.assign_shards_count(d.drop("part"), 10)._jdf.queryExecution().executedPlan().toString()
+    assert "_range" in plan
+
+
+def test_noisy_reader_takes_one_template_for_another(spark):
+    """Batches carry the whole dictionary, so another entry can be taken."""
+    from lexfold.operators.prompts import ExactReader, NoisyReader
+
+    kinds = ("alpha starts job", "beta starts job", "gamma ends job", "delta ends job")
+    rows = [("c", i, None, f"{kinds[i % 4]} {i}") for i in range(80)] + [("d", i, None, f"a line of its own {chr(97 + i)}") for i in range(5)]
+    records = spark.createDataFrame(rows, "corpus string, rec_id long, ts timestamp, text string")
+    a = W.template_answers(records, (ExactReader(), NoisyReader(3, 0.5, 0, 0)), budget=60).collect()
+    assert len(a) == 2 * len(rows) and all(r.ref == r.hyp for r in a if r.reader == "exact")
+    wrong = [r for r in a if r.reader == "noisy" and r.ref != r.hyp]
+    assert wrong and all(any(r.hyp == f"{k} {r.rec_id}" for k in kinds) for r in wrong)
+
+
+def test_regression_is_over_corpora_and_lengths(spark, sf):
+    got = W.w5_regress(spark, sf, names=("part", "customer", "ev_error"), l_maxs=(3, 4, 5), count=60).collect()
+    assert {r.n for r in got} == {9} and len({r.metric for r in got}) == 7

@@ -20,7 +20,10 @@ T95 = {1: 12.706, 2: 4.303, 3: 3.182, 4: 2.776, 5: 2.571, 6: 2.447, 7: 2.365, 8:
 
 
 def ratios(df: DataFrame, by: list[str]) -> DataFrame:
-    """cr, cr_input and overhead of groups of shards, from sums of tokens."""
+    """cr, cr_input and overhead of groups of shards, from sums of tokens; a shard that failed ends the query."""
+    if "error" in df.columns:
+        failed = F.raise_error(F.concat(F.lit("a shard was not folded: "), "error")).cast("long")
+        df = df.withColumn("n_tok", F.when(F.col("error").isNotNull(), failed).otherwise(F.col("n_tok")))
     d = df.groupBy(*by).agg(*[F.sum(c).alias(c) for c in ("n_tok", "n_tok_folded", "n_tok_legend")])
     n = F.nullif("n_tok", F.lit(0))
     return d.withColumns({"cr": 1 - F.col("n_tok_folded") / n, "cr_input": 1 - (F.col("n_tok_folded") + F.col("n_tok_legend")) / n}).withColumn("overhead", F.col("cr") - F.col("cr_input"))

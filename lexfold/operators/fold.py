@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import COSTS, disjoint_starts, unfold_expr
-from .grams import grams
+from .grams import at_home, grams, stretches
 from .kernel import Folded, Options, Shard, token_cost
 from .lineage import checkpointed
 from .shards import shard_units, unit_rows
@@ -140,11 +140,13 @@ def find_at_length(rows: DataFrame, length: int, f_min: int = 2, cost: str = "un
     n_s = F.lit(length) if cost == "unit" else F.aggregate(F.transform("gram", lambda u: COSTS[cost](u)), F.lit(0).cast("long"), lambda a, x: a + x)
     often = often.withColumn("n_s", n_s)
     pays = lambda f: (f >= f_min) & (f * F.col("n_s") > (1 + f) * n_m + F.col("n_s"))
-    often = often.where(pays(F.col("raw_f"))).withColumn("rank", F.row_number().over(Window.partitionBy("shard_id").orderBy(F.desc("raw_f"), "first_pos")))
+    # Ranks need no numbers, only an order, so no window goes over a shard.
+    often = often.where(pays(F.col("raw_f"))).withColumn("rank", F.struct((-F.col("raw_f")).alias("less"), "first_pos"))
     state = checkpointed(g.join(often, ["shard_id", "gram"]).select("shard_id", "gram", "rank", "n_s", F.col("pos").alias("start"), F.lit(False).alias("used")))
-    near = Window.partitionBy("shard_id").orderBy("start").rangeBetween(-(length - 1), length - 1)
+    near = Window.partitionBy("shard_id", "_s").orderBy("start").rangeBetween(-(length - 1), length - 1)
     while state.where("not used").limit(1).count():
-        s = state.withColumn("hit", F.max("used").over(near)).withColumn("best", F.min(F.when(~F.col("used"), F.col("rank"))).over(near))
+        s = stretches(state, "start", length - 1, length - 1)
+        s = s.withColumn("hit", F.max("used").over(near)).withColumn("best", F.min(F.when(~F.col("used"), F.col("rank"))).over(near)).where(at_home("start")).drop("_s")
         free = s.where("not used and not hit")
         cands = free.groupBy("shard_id", "rank", "gram", "n_s").agg(F.collect_list("start").alias("starts"), F.max(F.col("best") < F.col("rank")).alias("waits"))
         thin = disjoint_starts("starts", length)

@@ -10,10 +10,30 @@ from ..functions.text import COSTS, break_even, gain
 SEP = "\x1f"
 
 
+#: Places of a shard that one window holds.
+STRETCH = 4096
+
+
+def stretches(rows: DataFrame, at: str, before: int, after: int) -> DataFrame:
+    """Adds `_s`, the stretch of each place; places near a border are given to the next stretch too.
+
+    A window over (shard_id, _s) then sees `before` places before and `after` places behind each place of
+    its own, those with `_s` = floor(at / STRETCH), however long the shard is.
+    """
+    own, place = F.floor(F.col(at) / STRETCH), F.pmod(F.col(at), F.lit(STRETCH))
+    also = F.array_compact(F.array(own, F.when(place < after, own - 1), F.when(place >= STRETCH - before, own + 1)))
+    return rows.withColumn("_s", F.explode(also))
+
+
+def at_home(at: str) -> F.Column:
+    return F.col("_s") == F.floor(F.col(at) / STRETCH)
+
+
 def grams(rows: DataFrame, length: int) -> DataFrame:
     """(shard_id, pos, gram) for every start; rows: shard_id, pos, unit."""
-    w = Window.partitionBy("shard_id").orderBy("pos").rowsBetween(0, length - 1)
-    return rows.select("shard_id", "pos", F.collect_list("unit").over(w).alias("gram")).where(F.size("gram") == length)
+    w = Window.partitionBy("shard_id", "_s").orderBy("pos").rowsBetween(0, length - 1)
+    d = stretches(rows.select("shard_id", "pos", "unit"), "pos", 0, length - 1)
+    return d.select("shard_id", "pos", "_s", F.collect_list("unit").over(w).alias("gram")).where(at_home("pos") & (F.size("gram") == length)).drop("_s")
 
 
 def gram_counts(rows: DataFrame, length: int, f_min: int = 2, cost: str = "unit", n_m: int = 1) -> DataFrame:

@@ -2,20 +2,26 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, Row, Window
 from pyspark.sql import functions as F
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
 from ..functions import measures as M
 from ..functions import text as T
 from ..operators.fold import fold, legend, unfold
-from ..operators.kernel import Options, fold_units
-from ..operators.lineage import checkpointed
-from ..operators.shards import assign_shards_count, assign_shards_time, shard_units
+from ..operators.analytics import equivalence
+from ..operators.kernel import Options, fold_units, unfold_units
+from ..operators.lineage import checkpointed, shared_dir
+from ..operators.prompts import CallableReader, ExactReader, build_prompts, compare_readers, merge_results
+from ..operators.shards import assign_shards_by, assign_shards_count, assign_shards_time, shard_units
 from ..sources import corpora as C
+from ..sources import stores
 from ..streaming import streams
+from .catalog_text import EVENTS, joined_sql
 
 QUERIES: dict = {}
 ORACLE: dict[str, str] = {}
@@ -350,9 +356,130 @@ def stream_state_shards(s, d):
     return out.groupBy("corpus").agg(F.count("*").alias("shards"), F.sum("n_recs").alias("recs"))
 
 
+@query()
+def stream_late_count(s, d):
+    """Rows dropped behind the watermark when the later half of the events comes first."""
+    e, to = t(s, d, "events"), f"{shared_dir(s)}/late-{uuid.uuid4().hex}"
+    middle = F.percentile_approx(F.unix_micros(F.col("ts").cast("timestamp")), 0.5)
+    marked = e.crossJoin(F.broadcast(e.agg(middle.alias("_middle")))).withColumn("_early", F.unix_micros(F.col("ts").cast("timestamp")) < F.col("_middle"))
+    for early in (False, True):
+        marked.where(F.col("_early") == early).drop("_early", "_middle").repartition(8).write.mode("append").parquet(to)
+    stream = s.readStream.schema(e.schema).option("maxFilesPerTrigger", 8).parquet(to).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
+    return streams.late_rows(stream)
+
+
+# --- sources and sinks ----------------------------------------------------------------------------
+
+for _kind in ("json", "csv", "parquet"):
+
+    @query(EVENTS, f"source_{_kind}")
+    def _files(s, d, kind=_kind):
+        """Records written as files of a kind and read back."""
+        to = f"{shared_dir(s)}/records-{uuid.uuid4().hex}"
+        stores.write_records(C.events_records(s, d), to, kind)
+        return stores.read_records(s, to, kind).select("corpus", "rec_id", "text")
+
+
+@query(f"SELECT text, count(*) AS n FROM ({EVENTS}) GROUP BY 1")
+def source_text(s, d):
+    """One record a line of text files."""
+    to = f"{shared_dir(s)}/lines-{uuid.uuid4().hex}"
+    C.events_records(s, d).select("text").write.text(to)
+    return stores.read_records(s, to, "text").groupBy("text").agg(F.count("*").alias("n"))
+
+
+def _stored(s, d) -> str:
+    to = f"{shared_dir(s)}/folded-{uuid.uuid4().hex}"
+    stores.write_folded(fold(shard_units(assign_shards_count(C.events_records(s, d), 500))), to)
+    return to
+
+
+@query(joined_sql(EVENTS))
+def sink_folded_store(s, d):
+    return stores.read_unfolded(s, _stored(s, d)).select("shard_id", "text")
+
+
+@query(joined_sql(EVENTS))
+def source_folded_store(s, d):
+    """The store through the data source of its own."""
+    s.dataSource.register(stores.FoldedSource)
+    return s.read.format("lexfold").load(_stored(s, d)).select("shard_id", "text")
+
+
+@query(f"SELECT DISTINCT corpus || '/0/' || ((row_number() OVER (PARTITION BY corpus ORDER BY rec_id) - 1) // 500)::VARCHAR AS shard_id, 'exact' AS reader FROM ({EVENTS})")
+def sink_prompts(s, d):
+    """Prompts exported as JSON lines, read back."""
+    to = f"{shared_dir(s)}/prompts-{uuid.uuid4().hex}"
+    stores.write_prompts(build_prompts(fold(shard_units(assign_shards_count(C.events_records(s, d), 500)))), to)
+    return s.read.json(to).select("shard_id", "reader")
+
+
+# --- shards by likeness, readers side by side, merged results --------------------------------------
+
+
+@query(f"SELECT shard_id, count(*) AS n, sum(rec_id)::BIGINT AS ids FROM (SELECT rec_id, corpus || '/0/' || ((row_number() OVER (PARTITION BY corpus ORDER BY length(text), rec_id) - 1) // 500)::VARCHAR AS shard_id FROM ({EVENTS})) GROUP BY 1")
+def shard_alike(s, d):
+    """Shards of records of like length side by side."""
+    x = assign_shards_by(C.events_records(s, d), F.length("text"), 500)
+    return x.groupBy("shard_id").agg(F.count("*").alias("n"), F.sum("rec_id").alias("ids"))
+
+
+@query(f"SELECT corpus, reader, 1.0::DOUBLE AS mean FROM (SELECT DISTINCT corpus FROM ({EVENTS})), (SELECT unnest(['callable', 'exact']) AS reader)")
+def readers_compared(s, d):
+    """The exact reader and a caller's own function, side by side."""
+    shards = checkpointed(shard_units(assign_shards_count(C.events_records(s, d), 500)))
+    prompts = build_prompts(fold(shards)).join(shards.select("shard_id", F.array_join("units", " ").alias("ref")), "shard_id")
+    own = ExactReader()
+    return compare_readers(prompts, [own, CallableReader(own.read)], lambda x: M.exact_match(x["ref"], x["answer"]))
+
+
+@query("SELECT lang, count(n_chars) AS n, sum(n_chars)::DOUBLE AS total, sum(n_chars::DOUBLE * n_chars) AS squares, round(avg(n_chars), 6) AS mean FROM documents GROUP BY 1")
+def results_merged(s, d):
+    x = merge_results(t(s, d, "documents").withColumn("value", F.col("n_chars").cast("double")), ["lang"])
+    return x.select("lang", "n", "total", "squares", F.round("mean", 6).alias("mean"))
+
+
+@query("SELECT lang AS item, count(*) AS n FROM documents GROUP BY 1 QUALIFY row_number() OVER (ORDER BY n DESC, item) <= 3")
+def agg_approx_top_k(s, d):
+    """The most frequent languages by a sketch, which is exact while its counters suffice."""
+    x = t(s, d, "documents").select(F.expr("approx_top_k(lang, 3)").alias("x"))
+    return x.select(F.explode("x").alias("e")).select("e.item", F.col("e.count").alias("n"))
+
+
 # --- UDFs and table functions ---------------------------------------------------------------------
 
 
+@udtf(returnType="shard_id string, text string")
+class UnfoldTable:
+    """The text of each row of a folded table."""
+
+    def eval(self, row: Row):
+        entries = {e["marker"]: e["units"] for e in row["legend"]}
+        yield row["shard_id"], " ".join(unfold_units(row["folded"], entries))
+
+
+@query(joined_sql(EVENTS))
+def udtf_unfold_table(s, d):
+    folded = fold(shard_units(assign_shards_count(C.events_records(s, d), 500)))
+    return UnfoldTable(folded.select("shard_id", "folded", "legend").asTable().partitionBy("shard_id"))
+
+
+@pandas_udf("array<string>")
+def legend_union(grams: pd.Series) -> list:
+    """Distinct grams of several legends, in order."""
+    return sorted(set().union(*map(list, grams)))
+
+
+@query("SELECT 0::BIGINT AS only_left, 0::BIGINT AS only_right")
+def udaf_legend_union(s, d):
+    """The union of all shards' legends by corpus, as an aggregate function and as rows."""
+    folded = checkpointed(fold(shard_units(assign_shards_count(C.events_records(s, d), 500))))
+    own = F.transform("legend", lambda e: F.array_join(e["units"], " "))
+    a = folded.groupBy("corpus").agg(legend_union(own).alias("g")).select("corpus", F.explode("g").alias("gram"))
+    b = legend(folded).select("corpus", F.array_join("units", " ").alias("gram")).distinct()
+    return equivalence(a, b)
+
+
 @query()
 def udf_rouge_l(s, d):
     s.udf.register("rouge_l", M.rouge_l)

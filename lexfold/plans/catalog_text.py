@@ -273,16 +273,16 @@ def _shards(records: DataFrame, count: int = 500) -> DataFrame:
     return S.shard_units(S.assign_shards_count(records, count))
 
 
-def _joined_sql(raw: str, count: int = 500) -> str:
+def joined_sql(raw: str, count: int = 500) -> str:
     return f"SELECT corpus || '/0/' || seq::VARCHAR AS shard_id, string_agg(t, ' ' ORDER BY rec_id) AS text FROM (SELECT corpus, rec_id, array_to_string({U.format('text')}, ' ') AS t, (row_number() OVER (PARTITION BY corpus ORDER BY rec_id) - 1) // {count} AS seq FROM ({raw})) WHERE t <> '' GROUP BY 1"
 
 
 _SOURCES = {"events": (C.events_records, EVENTS), "orders": (C.orders_records, ORDERS), "lineitem": (C.lineitem_records, LINEITEM), "part": (C.part_records, PART), "customer": (C.customer_records, CUSTOMER), "docs": (C.document_records, DOCS), "dialogue": (C.dialogue_records, DIALOGUE), "html": (C.html_records, HTML)}
 for _name, (_render, _sql) in _SOURCES.items():
-    query(_joined_sql(_sql), f"fold_roundtrip_{_name}")(lambda s, d, f=_render: unfold(fold(_shards(f(s, d)))).select("shard_id", F.array_join("units", " ").alias("text")))
+    query(joined_sql(_sql), f"fold_roundtrip_{_name}")(lambda s, d, f=_render: unfold(fold(_shards(f(s, d)))).select("shard_id", F.array_join("units", " ").alias("text")))
 
 
-@query(_joined_sql(EVENTS))
+@query(joined_sql(EVENTS))
 def unfold_equals_source(s, d):
     """Unfolding by joins instead of one expression."""
     return unfold_relational(checkpointed(fold(_shards(C.events_records(s, d)), Options(cost="unit")))).select("shard_id", F.array_join("units", " ").alias("text"))
@@ -721,6 +721,7 @@ query(None, "w4_fold_quality")(lambda s, d: W.w4_fold_quality(s, d))
 query(None, "w5_regress")(lambda s, d: W.w5_regress(s, d))
 query(None, "w6_clusters")(lambda s, d: W.w6_clusters(s, d))
 query(None, "best_lmax")(lambda s, d: W.w7_best(s, d))
+query(None, "w9_scale")(lambda s, d: W.w9_scale(s, [d]))
 query(None, "w8_outliers")(lambda s, d: W.w8_outliers(s, d))
 query(None, "local_vs_global_legend")(lambda s, d: W.w10_local_global(s, d))
 query(None, "w11_cost")(lambda s, d: W.w11_cost(s, d))
@@ -728,9 +729,13 @@ query(None, "w12_domains")(lambda s, d: W.w12_domains(s, d))
 query(None, "template_vs_fold")(lambda s, d: W.template_vs_fold(s, d))
 
 
-@query(f"SELECT corpus, count(*) AS records, sum({P.format('text')})::BIGINT AS tokens, ceil(sum({P.format('text')}) / 64000)::BIGINT AS shards_64k FROM ({EVENTS} UNION ALL {ORDERS} UNION ALL {PART} UNION ALL {CUSTOMER}) GROUP BY 1")
+_ALL = f"{EVENTS} UNION ALL {ORDERS} UNION ALL {LINEITEM} UNION ALL {PART} UNION ALL {CUSTOMER} UNION ALL {DOCS} UNION ALL {DIALOGUE}"
+
+
+@query(f"""WITH r AS (SELECT corpus, {P.format('text')} AS n, regexp_replace(text, '\\p{{N}}+', '#', 'g') AS m FROM ({_ALL})), m AS (SELECT corpus, count(*) AS templates FROM (SELECT corpus, m FROM r GROUP BY 1, 2 HAVING count(*) >= 2) GROUP BY 1)
+SELECT r.corpus, count(*) AS records, sum(n)::BIGINT AS tokens, coalesce(max(templates), 0)::BIGINT AS templates, ceil(sum(n) / 64000)::BIGINT AS shards_64k, ceil(sum(n) / 32000)::BIGINT AS shards_32k FROM r LEFT JOIN m ON r.corpus = m.corpus GROUP BY 1""")
 def w14_profile(s, d):
-    return W.w14_profile(s, d, (*C.MAIN[:6], "part", "customer")).select("corpus", "records", "tokens", "shards_64k")
+    return W.w14_profile(s, d)
 
 
 @query("SELECT 0::BIGINT AS only_left, 0::BIGINT AS only_right")

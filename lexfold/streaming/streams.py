@@ -125,6 +125,11 @@ def open_shards(records: DataFrame, count: int = 500, idle: str = "6 hours") ->
     return records.groupBy("corpus").applyInPandasWithState(run, SHARD, "ids array<long>, texts array<string>, last_ms long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def late_counts(progress: list) -> int:
-    """Rows that windows dropped behind the watermark, from a query's progress reports."""
-    return sum(int(op.numRowsDroppedByWatermark) for p in progress for op in p.stateOperators)
+def late_rows(stream: DataFrame) -> DataFrame:
+    """(late): rows that a windowed count of the stream dropped behind its watermark."""
+    spark = stream.sparkSession
+    base = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    query = tumbling(stream).writeStream.outputMode("append").option("checkpointLocation", base).format("noop").trigger(availableNow=True).start()
+    query.awaitTermination()
+    dropped = [int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"]]
+    return spark.createDataFrame([(sum(dropped),)], "late long")

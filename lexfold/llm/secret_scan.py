@@ -7,7 +7,8 @@ Every layer keeps, for each of its characters, the span of the original text tha
 what is found in a layer is reported where its encoded form stands.
 
 Escapes are decoded in the whole layer, so a key before an escape and a value behind it stay together;
-base64 runs and percent-encoded compressed bytes become layers of their own, placed at the run. As the
+base64 runs, decoded at all four places that they may begin at, and percent-encoded compressed bytes
+become layers of their own, placed at the run. As the
 patterns are ASCII, decoded bytes are read as Latin-1, which no byte prevents; runs of ASCII in UTF-16
 are read beside it. Compressed data are unpacked to the end of the input: all members and frames, in
 any mix of formats, then what is left over as it stands.
@@ -26,7 +27,6 @@ unpacked size.
 from __future__ import annotations
 
 import base64
-import binascii
 import bz2
 import html
 import lzma
@@ -311,23 +311,31 @@ def windows(data: bytes, place: tuple[int, int], out: set[Span]) -> Iterator[Lay
         yield layer(b"".join(parts))
 
 
-def base64_bytes(run: str) -> bytes | None:
+def packed_parts(data: bytes) -> Iterator[bytes]:
+    """The data from each place on where compressed data that can be unpacked begin, but the start."""
+    for m in _PACKED.finditer(data, 1):
+        if opened(Stream(in_chunks(data[m.start() :]))) is not None:
+            yield data[m.start() :]
+
+
+def base64_bytes(run: str) -> Iterator[bytes]:
+    """What a run may stand for: it may begin with characters that are not part of it, so at all four places."""
     body = run.rstrip("=").replace("-", "+").replace("_", "/")
-    if len(body) % 4 == 1:
-        return None
-    try:
-        return base64.b64decode(body + "=" * (-len(body) % 4), validate=True)
-    except binascii.Error:
-        return None
+    for k in range(4):
+        n = (len(body) - k) // 4 * 4 + (0, 0, 2, 3)[(len(body) - k) % 4]
+        if n > 0:
+            data = base64.b64decode(body[k : k + n] + "=" * (-n % 4))
+            yield data
+            yield from packed_parts(data)
 
 
 def url_bytes(run: str) -> Iterator[bytes]:
     """Compressed data that a percent-encoded run may hold, from where they begin; + also as a blank."""
     for form in {run, run.replace("+", " ")}:
         data = unquote_to_bytes(form)
-        for m in _PACKED.finditer(data):
-            if opened(Stream(in_chunks(data[m.start() :]))) is not None:
-                yield data[m.start() :]
+        if opened(Stream(in_chunks(data))) is not None:
+            yield data
+        yield from packed_parts(data)
 
 
 def decoded_spans(text: str) -> set[Span]:
@@ -357,8 +365,7 @@ def decoded_spans(text: str) -> set[Span]:
             if (run := (sha256(m[0].encode()).digest(), place)) in runs:
                 continue
             runs.add(run)
-            if data := base64_bytes(m[0]):
-                work.append(windows(data, place, out))
+            work += [windows(data, place, out) for data in base64_bytes(m[0])]
     return out
 
 

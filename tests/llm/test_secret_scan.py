@@ -134,3 +134,44 @@ def test_bytes_that_are_not_text():
             assert "access" in kinds_of(pack(text.encode() * 9), form), (form, pack)
         assert "access" in kinds_of(b"\xff " + text.encode() + b" \xe9", form)
     assert kinds_of(text.encode(), lambda b: "\\ud800" + "".join(f"\\u{x:04x}" for x in b)) == {"access"}
+
+
+def test_every_nesting_of_encodings(monkeypatch):
+    """Against nestings made at random: whatever a secret was wrapped in, it is found where it stands."""
+    import random
+
+    rng = random.Random(11)
+    b64 = lambda raw: base64.b64encode(raw).decode()
+    wraps = [
+        lambda t: "".join(f"%{b:02x}" for b in t.encode()),
+        lambda t: urllib.parse.quote(t, safe=""),
+        lambda t: "".join(f"\\u{ord(c):04x}" for c in t),
+        lambda t: "".join(f"&#x{ord(c):x};" for c in t),
+        lambda t: b64(t.encode()),
+        lambda t: base64.urlsafe_b64encode(t.encode()).decode(),
+        lambda t: "/path/" + b64(t.encode()),
+        lambda t: "ab"[: rng.randrange(3)] + b64(gzip.compress(t.encode())),
+        lambda t: b64(zlib.compress(b"\xff\x00" + t.encode())),
+        lambda t: b64(bz2.compress(b"first") + bz2.compress(t.encode())),
+        lambda t: b64(lzma.compress(t.encode())),
+        lambda t: "x" + b64(zstandard.compress(t.encode()) + zstandard.compress(b"more")),
+        lambda t: urllib.parse.quote_from_bytes(gzip.compress(t.encode())),
+        lambda t: b64(t.encode("utf-16-le")),
+    ]
+    plants = [("assign", "password=hunter2hunter2"), ("access", KEY), ("hex", "0123456789abcdef0123")]
+    for _ in range(300):
+        kind, plant = rng.choice(plants)
+        inner = f"; {plant} ;"
+        for _ in range(rng.randint(1, 4)):
+            inner = rng.choice(wraps)(inner)
+        text = f"über: {inner} end"
+        found = S.scan_all(text)[1]
+        assert any(k == kind and 6 <= a < b <= 6 + len(inner) for k, a, b in found), (kind, inner[:200])
+        assert not any(b > 6 + len(inner) or a < 6 for _, a, b in found)
+
+
+def test_runs_that_decode_to_runs():
+    assert S.scan_all("wxyz" * 4000)[1] == [] and S.scan_all("QUFB" * 3000)[1] == []
+    both = ["/path/" + base64.b64encode(b"password=hunter2hunter2").decode(), base64.b64encode(b"\xff\xfe\x00 password=hunter2hunter2 \x9c").decode()]
+    for run in both:
+        assert S.scan_all(f"see {run} here")[1] == [("assign", 4, 4 + len(run))]

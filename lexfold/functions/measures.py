@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import math
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -205,6 +207,43 @@ def rouge_l(r: pd.Series, h: pd.Series) -> pd.Series:
     return pd.Series([one(x or "", y or "") for x, y in zip(r, h, strict=True)])
 
 
+def _shared(a: list[str], b: list[str], n: int) -> tuple[int, int, int]:
+    """(runs of n units in a, in b, clipped number of shared ones)."""
+    x, y = (Counter(zip(*(u[i:] for i in range(n)), strict=False)) for u in (a, b))
+    return x.total(), y.total(), (x & y).total()
+
+
+@F.pandas_udf(DoubleType())
+def rouge_1_long(r: pd.Series, h: pd.Series) -> pd.Series:
+    """Recall of rouge_n of single units, for shards that a budget bounds."""
+
+    def one(x: str, y: str) -> float:
+        n, m, shared = _shared(x.split(), y.split(), 1)
+        return shared / n if n else float(not m)
+
+    return pd.Series([one(x or "", y or "") for x, y in zip(r, h, strict=True)])
+
+
+@F.pandas_udf(DoubleType())
+def bleu_long(r: pd.Series, h: pd.Series) -> pd.Series:
+    """As bleu with its defaults, for shards that a budget bounds."""
+
+    def one(x: str, y: str) -> float:
+        a, b = x.split(), y.split()
+        if not a or not b:
+            return float(not a and not b)
+        logs = []
+        for n in range(1, min(4, len(a), len(b)) + 1):
+            _, m, shared = _shared(a, b, n)
+            if n == 1 and not shared:
+                return 0.0
+            logs.append(math.log(shared / m if n == 1 else (shared + 1) / (m + 1)))
+        brevity = 1.0 if len(b) >= len(a) else math.exp(1 - len(a) / len(b))
+        return math.exp(sum(logs) / len(logs)) * brevity
+
+    return pd.Series([one(x or "", y or "") for x, y in zip(r, h, strict=True)])
+
+
 @F.pandas_udf(DoubleType())
 def byte_ratio(t: pd.Series) -> pd.Series:
     """1 - compressed bytes / bytes by zlib; a size that no reader can use."""
@@ -212,6 +251,16 @@ def byte_ratio(t: pd.Series) -> pd.Series:
     return pd.Series([1 - len(zlib.compress(x, 6)) / len(x) if x else 0.0 for x in raw])
 
 
+def prose_around_markers(folded: DataFrame) -> DataFrame:
+    """shard_id, corpus, n_around, n_prose: units next to a marker, and those of them that are words of letters."""
+    marks = F.transform("folded", lambda u: F.startswith(u, F.lit("<M")))
+    d = folded.select("shard_id", "corpus", "folded", marks.alias("m"))
+    by_marker = lambda i: F.coalesce(F.get("m", i - 1), F.lit(False)) | F.coalesce(F.get("m", i + 1), F.lit(False))
+    around = F.filter("folded", lambda u, i: ~F.startswith(u, F.lit("<M")) & by_marker(i))
+    d = d.select("shard_id", "corpus", around.alias("a"))
+    return d.select("shard_id", "corpus", F.size("a").alias("n_around"), F.size(F.filter("a", lambda u: F.regexp_like(u, F.lit(r"^\p{L}+[.,;:!?]?$")))).alias("n_prose"))
+
+
 # --- statistics -----------------------------------------------------------------------------------
 
 

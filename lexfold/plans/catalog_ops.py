@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Row, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, StringType
 
 from ..functions import measures as M
 from ..functions import text as T
@@ -465,7 +466,7 @@ def udtf_unfold_table(s, d):
     return UnfoldTable(folded.select("shard_id", "folded", "legend").asTable().partitionBy("shard_id"))
 
 
-@pandas_udf("array<string>")
+@pandas_udf(ArrayType(StringType()))
 def legend_union(grams: pd.Series) -> list:
     """Distinct grams of several legends, in order."""
     return sorted(set().union(*map(list, grams)))

@@ -44,12 +44,16 @@ def _pair_metrics(pairs: DataFrame, key: list[str], long: bool) -> DataFrame:
     """key, metric, value of every measure; long: whole shards."""
     lev, ham = (M.lev_sim_long, M.ham_sim_long) if long else (M.lev_sim, M.ham_sim)
     pairs = checkpointed(pairs)
-    flat = pairs.select(*key, F.posexplode(F.array(M.exact_match("ref", "hyp").cast("double"), lev("ref", "hyp"), ham("ref", "hyp"), M.rouge_l("ref", "hyp"))).alias("m", "value"))
-    flat = flat.select(*key, F.element_at(F.array(*map(F.lit, ("exact", "levenshtein", "hamming", "rouge_l"))), F.col("m") + 1).alias("metric"), "value")
+    found = {"exact": M.exact_match("ref", "hyp").cast("double"), "levenshtein": lev("ref", "hyp"), "hamming": ham("ref", "hyp"), "rouge_l": M.rouge_l("ref", "hyp"), "string_presence": M.presence("hyp", F.array_distinct(units("ref")))}
+    if long:
+        found |= {"rouge_1": M.rouge_1_long("ref", "hyp"), "bleu": M.bleu_long("ref", "hyp")}
+    flat = pairs.select(*key, *[v.alias(k) for k, v in found.items()])
+    flat = flat.select(*key, F.explode(F.map_from_arrays(F.array(*map(F.lit, found)), F.array(*found))).alias("metric", "value"))
+    if long:
+        return flat
     r1 = M.rouge_n(pairs, key).select(*key, F.lit("rouge_1").alias("metric"), F.col("recall").alias("value"))
     b = M.bleu(pairs, key).select(*key, F.lit("bleu").alias("metric"), F.col("bleu").alias("value"))
-    p = pairs.select(*key, F.lit("string_presence").alias("metric"), M.presence("hyp", units("ref")).alias("value"))
-    return flat.unionByName(r1).unionByName(b).unionByName(p)
+    return flat.unionByName(r1).unionByName(b)
 
 
 def w2_template(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, readers: tuple[Reader, ...] = READERS, cap: int | None = None) -> DataFrame:
@@ -95,12 +99,13 @@ def w3_full(spark: SparkSession, sf_dir: str, readers: tuple[Reader, ...] = READ
     return template_scores(ev.unionByName(docs), readers)
 
 
-def w4_pairs(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, l_maxs: Iterable[int] = range(3, 11), readers: tuple[Reader, ...] = READERS, count: int = 200) -> DataFrame:
-    """shard_id, corpus, l_max, reader, cr, ref, hyp of all records, in shards of count.
+def w4_pairs(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, l_maxs: Iterable[int] = range(3, 11), readers: tuple[Reader, ...] = READERS, budget: int = 8_000) -> DataFrame:
+    """shard_id, corpus, l_max, reader, cr, ref, hyp of all records, in shards of a budget of tokens.
 
-    Edit distance of whole shards grows with the square of their length, so the default is below 2,000.
+    The budget stands for a reader's output window; it also bounds the edit distance of whole shards,
+    which grows with the square of their length.
     """
-    shards = checkpointed(S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names), count)))
+    shards = checkpointed(S.shard_units(S.assign_shards(corpora(spark, sf_dir, names), budget)))
     folded = checkpointed(fold_sweep(shards, l_maxs, full=True))
     prompts = build_prompts(folded.withColumn("shard_id", F.concat_ws("@", "shard_id", F.col("l_max").cast("string"))))
     refs = shards.select("shard_id", F.array_join("units", " ").alias("ref"))
@@ -136,14 +141,18 @@ def w7_best(spark: SparkSession, sf_dir: str, **grid) -> DataFrame:
 
 
 def w8_outliers(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = MAIN, reader: Reader = READERS[1]) -> DataFrame:
-    """corpus, digit_density, mean_unit_len, confusable_share, levenshtein of a simulated reader, in shards of 300 records."""
-    shards = checkpointed(S.shard_units(S.assign_shards_count(corpora(spark, sf_dir, names), 300)))
+    """corpus, digit_density, mean_unit_len, confusable_share, prose_share, levenshtein of a simulated reader, in shards of 8,000 tokens.
+
+    prose_share: of the units beside markers, those that are words of letters.
+    """
+    shards = checkpointed(S.shard_units(S.assign_shards(corpora(spark, sf_dir, names), 8_000)))
     folded = checkpointed(fold_sweep(shards, [10], full=True))
     text = shards.groupBy("corpus").agg(F.avg(M.digit_density("text")).alias("digit_density"), F.avg(F.length("text") / F.size("units")).alias("mean_unit_len"))
     conf = M.legend_confusability(legend(folded)).join(folded.select("shard_id", "corpus"), "shard_id").groupBy("corpus").agg((F.sum("n_confusable") / F.sum("n_entries")).alias("confusable_share"))
+    prose = M.prose_around_markers(folded).groupBy("corpus").agg((F.sum("n_prose") / F.nullif(F.sum("n_around"), F.lit(0))).alias("prose_share"))
     a = read_prompts(build_prompts(folded), reader).join(shards.select("shard_id", F.array_join("units", " ").alias("ref")), "shard_id")
     lev = a.groupBy("corpus").agg(F.avg(M.lev_sim_long("ref", "answer")).alias("levenshtein"))
-    return text.join(conf, "corpus", "left").join(lev, "corpus")
+    return text.join(conf, "corpus", "left").join(prose, "corpus", "left").join(lev, "corpus")
 
 
 def w9_scale(spark: SparkSession, sf_dirs: Iterable[str], cap: int | None = None, count: int = 2000) -> DataFrame:
@@ -173,7 +182,7 @@ def w10_local_global(spark: SparkSession, sf_dir: str, names: tuple[str, ...] =
 def w11_cost(spark: SparkSession, sf_dir: str, prices: Iterable[float] = (1.0, 3.0), budget: int = 64_000, **grid) -> DataFrame:
     """corpus, l_max, price, cost_raw, cost_folded, records_raw, records_folded by window; output tokens are not reduced."""
     shards = standard_shards(spark, sf_dir, **grid)
-    d = fold_sweep(shards, (3, 5, 10, 20)).join(shards.select("shard_id", "n_recs"), "shard_id")
+    d = fold_sweep(shards, range(3, 21)).join(shards.select("shard_id", "n_recs"), "shard_id")
     d = d.groupBy("corpus", "l_max").agg(F.sum("n_tok").alias("raw"), F.sum(F.col("n_tok_folded") + F.col("n_tok_legend")).alias("short"), F.sum("n_recs").alias("n"))
     d = d.withColumn("price", F.explode(F.array(*map(F.lit, prices))))
     per = lambda c: F.floor(budget * F.col("n") / F.col(c)).cast("long")

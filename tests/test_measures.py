@@ -47,6 +47,20 @@ def test_rouge_and_bleu(spark):
     assert d.select(M.rouge_l("ref", "hyp").alias("v")).where("v = 0.75").count() == 1
 
 
+def test_measures_of_shards_equal_those_of_rows(spark):
+    rng = random.Random(4)
+    words = lambda: " ".join(rng.choice("abcdé") for _ in range(rng.randrange(9)))
+    d = spark.createDataFrame([(i, words(), words()) for i in range(120)], "k int, ref string, hyp string")
+    rows = {x.k: (x.recall, y.bleu) for x, y in zip(M.rouge_n(d, ["k"]).orderBy("k").collect(), M.bleu(d, ["k"]).orderBy("k").collect(), strict=True)}
+    for x in d.select("k", M.rouge_1_long("ref", "hyp").alias("r"), M.bleu_long("ref", "hyp").alias("b")).collect():
+        assert (x.r, x.b) == pytest.approx(rows[x.k]), x
+
+
+def test_prose_around_markers(spark):
+    d = spark.createDataFrame([("s", "c", ["so", "<M1>", "word,", "12", "<M2>", "<M1>", "x9"])], "shard_id string, corpus string, folded array<string>")
+    assert M.prose_around_markers(d).select("n_around", "n_prose").first() == (4, 2)
+
+
 def test_cluster_and_shape(spark):
     d = spark.createDataFrame([("a", 3, 0.1), ("a", 4, 0.3), ("a", 5, 0.2), ("b", 3, 0.1), ("b", 4, 0.5), ("b", 5, 0.5)], "corpus string, l_max int, cr_input double")
     r = {x.corpus: x for x in M.best_lmax(d).collect()}

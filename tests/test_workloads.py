@@ -15,7 +15,7 @@ def test_no_record_is_left_out(spark, sf):
     assert C.corpora(spark, "/root/testdata/sf0.01", ("orders",)).count() == n
     assert W.standard_shards(spark, "/root/testdata/sf0.01", ("orders",)).agg(F.sum("n_recs")).first()[0] == n
     parts = spark.read.parquet(f"{sf}/part.parquet").count()
-    got = W.w4_pairs(spark, sf, ("part",), (3,), W.READERS[:1], 60).agg(F.sum(F.size(F.regexp_extract_all("ref", F.lit("retail"), F.lit(0))))).first()[0]
+    got = W.w4_pairs(spark, sf, ("part",), (3,), W.READERS[:1], 600).agg(F.sum(F.size(F.regexp_extract_all("ref", F.lit("retail"), F.lit(0))))).first()[0]
     assert got == parts > 60
 
 
@@ -118,5 +118,5 @@ def test_noisy_reader_takes_one_template_for_another(spark):
 
 
 def test_regression_is_over_corpora_and_lengths(spark, sf):
-    got = W.w5_regress(spark, sf, names=("part", "customer", "ev_error"), l_maxs=(3, 4, 5), count=60).collect()
+    got = W.w5_regress(spark, sf, names=("part", "customer", "ev_error"), l_maxs=(3, 4, 5), budget=800).collect()
     assert {r.n for r in got} == {9} and len({r.metric for r in got}) == 7

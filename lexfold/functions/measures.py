@@ -201,6 +201,8 @@ def rouge_l(r: pd.Series, h: pd.Series) -> pd.Series:
     """Longest common subsequence of units / units of the reference."""
 
     def one(x: str, y: str) -> float:
+        if x == y:
+            return 1.0
         a, b = x.split(), y.split()
         return (1.0 if not b else 0.0) if not a else common_subsequence(a, b) / len(a)
 
@@ -218,6 +220,8 @@ def rouge_1_long(r: pd.Series, h: pd.Series) -> pd.Series:
     """Recall of rouge_n of single units, for shards that a budget bounds."""
 
     def one(x: str, y: str) -> float:
+        if x == y:
+            return 1.0
         n, m, shared = _shared(x.split(), y.split(), 1)
         return shared / n if n else float(not m)
 
@@ -229,6 +233,8 @@ def bleu_long(r: pd.Series, h: pd.Series) -> pd.Series:
     """As bleu with its defaults, for shards that a budget bounds."""
 
     def one(x: str, y: str) -> float:
+        if x == y:
+            return 1.0
         a, b = x.split(), y.split()
         if not a or not b:
             return float(not a and not b)

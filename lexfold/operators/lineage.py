@@ -10,6 +10,9 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_dir(spark: SparkSession) -> str:
     """The session's checkpoint folder; a local one is set only where the session names none."""
     named, found = spark.conf.get("spark.checkpoint.dir", None), spark.sparkContext.getCheckpointDir()
+    master = spark.sparkContext.master
+    if not (named or found) and (not master.startswith("local") or master.startswith("local-cluster")):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not found:
         spark.sparkContext.setCheckpointDir(named or f"file://{tempfile.mkdtemp(prefix='lexfold-')}")
         found = spark.sparkContext.getCheckpointDir()

@@ -205,7 +205,8 @@ def read_chunks(files: DataFrame, data: bool = True) -> DataFrame:
                 if part:
                     yield packed(part)
 
-    return files.select("path").repartition(F.col("path")).mapInArrow(run, CHUNK_ROWS)
+    # One task an archive, as AQE would put short lists of long archives into one task.
+    return files.select("path").repartition(max(1, files.count()), "path").mapInArrow(run, CHUNK_ROWS)
 
 
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -189,7 +189,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
     """
     pairs = cut(pairs)
     ends = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).groupBy("id").agg(F.count("*").alias("n"))
-    sets = cut(sets_of(docs, ends, width))
+    sets = sets_of(docs, ends, width)
     hot = sized(ends.where(F.col("n") > CHUNK))
     d = pairs
     for c in ("a", "b"):

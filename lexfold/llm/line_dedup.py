@@ -2,8 +2,8 @@
 
 A line goes if an equal line, or one within one edit (insertion, deletion or substitution of a code
 point), occurs earlier; earlier means a smaller (doc_id, line number), and
-among rows of one doc_id with different texts a smaller (hash of the text, line number). Equal lines meet by hash. For
-lines within one edit the work narrows in three exact steps:
+among rows of one doc_id with different texts a smaller (hash of the text, line number). Equal lines
+meet by hash. For lines within one edit the work narrows in three exact steps:
 
 1. Of two such lines, the shorter with s code points, the first s/2 or the last s - s/2 agree. Lines
    none of whose half keys is shared are out.
@@ -16,11 +16,12 @@ lines within one edit the work narrows in three exact steps:
 
 No step lists the pairs of a group, so thousands of near-equal lines cost thousands of rows.
 
-Cases. Lines without a word are never dropped and never a reason to drop. Lines under min_near code
-points are compared for equality only. A null text is an empty one and yields an empty text. Rows of
+Cases. Lines without a word are never dropped and never a reason to drop. The edit bound is the same
+for lines of any length. A null text is an empty one and yields an empty text. Rows of
 equal doc_id and equal text stand for one document and are treated alike; rows of one doc_id, or of
-none, with different texts are different documents. Null doc_ids come last in the order. Empty tables give empty results. Other columns of the input are kept; n_lines,
-n_exact_dropped and n_near_dropped are added, replacing input columns of these names.
+none, with different texts are different documents. Null doc_ids come last in the order. Empty tables
+give empty results. Other columns of the input are kept, whatever their names; n_lines, n_exact_dropped
+and n_near_dropped are added, replacing input columns of these names.
 """
 
 from __future__ import annotations
@@ -42,14 +43,14 @@ def _lines(docs: DataFrame) -> DataFrame:
     return d.withColumns({"h1": F.xxhash64("line"), "h2": F.hash("line")})
 
 
-def _half_keys(line: F.Column, min_near: int) -> F.Column:
+def _half_keys(line: F.Column) -> F.Column:
     """Four keys: first and last half for itself as the shorter or equal line, and as the longer one."""
     m = F.length(line)
     keys = []
     for s in (m, m - 1):
         head = F.floor(s / 2).cast("int")
         keys += [F.xxhash64(F.lit("head"), s, F.left(line, head)), F.xxhash64(F.lit("tail"), s, F.right(line, s - head))]
-    return F.when(m >= min_near, F.array(*keys))
+    return F.array(*keys)
 
 
 def _shared(rows: DataFrame, key: str) -> DataFrame:
@@ -89,7 +90,7 @@ def near_lines(distinct: DataFrame, texts: DataFrame) -> DataFrame:
 
     distinct: first (doc_id, text_key, line_no) and half keys of each distinct line; texts: those columns and line.
     """
-    keyed = distinct.where("halves is not null").select("first", F.explode("halves").alias("key"))
+    keyed = distinct.select("first", F.explode("halves").alias("key"))
     hot = sized(_shared(keyed, "key").select("first").distinct().select("first.*"))
     lines = cut(texts.join(hot, list(PLACE)).select(F.struct(*PLACE).alias("first"), "line").distinct())
     v = cut(_variants(_shared(_blocks(lines), "around")))
@@ -102,9 +103,9 @@ def near_lines(distinct: DataFrame, texts: DataFrame) -> DataFrame:
     return pairs.where(F.levenshtein("line", "other_line", 1) >= 0).select("first.*").distinct()
 
 
-def dropped_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
+def dropped_lines(docs: DataFrame) -> DataFrame:
     """(doc_id, text_key, exact, near): line numbers that go, of every document that loses any."""
-    occ = cut(_lines(docs).select(*PLACE, "h1", "h2", _half_keys(F.col("line"), min_near).alias("halves")))
+    occ = cut(_lines(docs).select(*PLACE, "h1", "h2", _half_keys(F.col("line")).alias("halves")))
     groups = occ.groupBy("h1", "h2").agg(F.min(F.struct(*PLACE)).alias("first"), F.count("*").alias("n"), F.first("halves").alias("halves"))
     near = near_lines(groups, _lines(docs).select(*PLACE, "line")).withColumn("near", F.lit(True))
     marked = groups.select("h1", "h2", "n", "first", "first.*").join(near, list(PLACE), "left")
@@ -114,27 +115,36 @@ def dropped_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
     return gone.groupBy("doc_id", "text_key").agg(of(False).alias("exact"), of(True).alias("near"))
 
 
-def dedup_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
+ADDED = ("n_lines", "n_exact_dropped", "n_near_dropped")
+
+
+def dedup_lines(docs: DataFrame) -> DataFrame:
     """docs with the dropped lines taken out of text, and counts of lines."""
-    gone = dropped_lines(docs.select("doc_id", "text"), min_near).toDF("_gone_id", "_gone_key", "_exact", "_near")
-    docs = docs.drop("n_lines", "n_exact_dropped", "n_near_dropped")
-    own = (F.coalesce("doc_id", F.lit(2**63 - 1)) == F.col("_gone_id")) & (F.xxhash64(F.coalesce("text", F.lit(""))) == F.col("_gone_key"))
-    d = docs.join(gone, own, "left")
+    gone = dropped_lines(docs.select("doc_id", "text")).toDF("gone_id", "gone_key", "exact", "near")
+    others = [c for c in docs.columns if c != "text" and c not in ADDED]
+    raw = F.coalesce("text", F.lit(""))
+    # The input's other columns travel as one, out of the way of names used here.
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in others]).alias("own"), F.coalesce("doc_id", F.lit(2**63 - 1)).alias("this_id"), F.xxhash64(raw).alias("this_key"), raw.alias("raw"))
+    d = own.join(gone, (F.col("this_id") == F.col("gone_id")) & (F.col("this_key") == F.col("gone_key")), "left")
     none = F.array().cast("array<int>")
     size = lambda c: F.size(F.coalesce(c, none)).cast("long")
-    d = d.withColumn("_lines", F.split(F.coalesce("text", F.lit("")), "\n"))
-    rest = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), F.concat("_exact", "_near"))
-    kept = F.array_join(F.transform(F.sort_array(rest), lambda i: F.get("_lines", i)), "\n")
-    d = d.withColumns({"text": F.when(F.col("_gone_id").isNull(), F.coalesce("text", F.lit(""))).otherwise(kept), "n_lines": F.size("_lines").cast("long"), "n_exact_dropped": size("_exact"), "n_near_dropped": size("_near")})
-    return d.drop("_lines", "_exact", "_near", "_gone_id", "_gone_key")
-
-
-def without_repeated_lines(docs: DataFrame, min_near: int = 20) -> DataFrame:
-    """docs without repeated lines; documents left without a word go. n_chars, if there, is counted anew."""
-    d = dedup_lines(docs, min_near).where(F.regexp_like("text", F.lit(f"[^{BLANKS}]")))
-    if "n_chars" in docs.columns:
-        d = d.withColumn("n_chars", F.length("text").cast("long"))
-    return d.select(*docs.columns)
+    d = d.withColumn("lines", F.split("raw", "\n"))
+    rest = F.array_except(F.sequence(F.lit(0), F.size("lines") - 1), F.concat("exact", "near"))
+    kept = F.array_join(F.transform(F.sort_array(rest), lambda i: F.get("lines", i)), "\n")
+    text = F.when(F.col("gone_id").isNull(), F.col("raw")).otherwise(kept).alias("text")
+    return d.select(*[text if c == "text" else F.col(f"own.`{c}`") for c in docs.columns if c not in ADDED], F.size("lines").cast("long").alias("n_lines"), size("exact").alias("n_exact_dropped"), size("near").alias("n_near_dropped"))
+
+
+def without_repeated_lines(docs: DataFrame) -> DataFrame:
+    """docs without repeated lines; documents left without a word go. n_chars, if there, is counted anew.
+
+    Columns named as the added counts are the input's own.
+    """
+    others = [c for c in docs.columns if c not in ("text", "n_chars")]
+    d = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in others]).alias("own"))
+    d = dedup_lines(d).where(F.regexp_like("text", F.lit(f"[^{BLANKS}]")))
+    new = {"text": F.col("text"), "n_chars": F.length("text").cast(docs.schema["n_chars"].dataType if "n_chars" in docs.columns else "long").alias("n_chars")}
+    return d.select(*[new.get(c, F.col(f"own.`{c}`")) for c in docs.columns])
 
 
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -18,7 +18,8 @@ MOST_PIECES pieces at once is searched in several passes over the texts.
 
 Cases. Null and empty texts, and items without words, match nothing. Null ids are kept as ids of their
 own rows. Repeated documents and items are searched and reported each. Items that say the same are all
-reported. Empty tables give empty results; other columns are ignored (filtering keeps them).
+reported. Empty tables give empty results; other columns are ignored (filtering keeps them, and judges
+each row by its own text).
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, run_hashes, sized, slices, table, word_hashes
+from .common import cut, parts, run_hashes, table, word_hashes
 
 PART, BLOCK, RUN = 64, 2, 5
 PIECE_PARTS, MOST_PIECES = 1_024, 64
@@ -195,13 +196,11 @@ def leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.4, share:
         sent = spark.sparkContext.broadcast(pieces)
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                doc_ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-                for lo, hi in slices([len(t or "") for t in texts]):
-                    rows = list(_search(doc_ids[lo:hi], texts[lo:hi], sent.value, threshold, share))
-                    columns = list(zip(*rows, strict=True)) if rows else [[]] * 5
-                    kinds = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64())
-                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["doc_id", "item_id", "score", "question_share", "answer_share"])
+            for part in parts(batches):
+                rows = list(_search(part.column(0).to_pylist(), part.column(1).to_pylist(), sent.value, threshold, share))
+                columns = list(zip(*rows, strict=True)) if rows else [[]] * 5
+                kinds = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["doc_id", "item_id", "score", "question_share", "answer_share"])
 
         one = docs.select("doc_id", "text").mapInArrow(run, schema)
         found = one if found is None else found.union(one)
@@ -232,9 +231,19 @@ def _search(doc_ids: list, texts: list, pieces: list[Items], threshold: float, s
 
 
 def without_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.4, share: float = 0.5) -> DataFrame:
-    """docs but those that hold a test item; rows with a null doc_id stay only if no null one leaks."""
-    bad = leaks(docs, benchmark, threshold, share).select(F.col("doc_id").alias("bad")).distinct()
-    return docs.join(sized(bad), F.col("doc_id").eqNullSafe(F.col("bad")), "left_anti")
+    """The rows of docs whose text holds no test item; each row has its own verdict, whatever its doc_id."""
+    at, schema = docs.columns.index("text"), docs.schema
+    for pieces in build(benchmark):
+        sent = docs.sparkSession.sparkContext.broadcast(pieces)
+
+        def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            for part in parts(batches, at):
+                clean = np.ones(part.num_rows, bool)
+                clean[[row[0] for row in _search(list(range(part.num_rows)), part.column(at).to_pylist(), sent.value, threshold, share)]] = False
+                yield part.filter(pa.array(clean))
+
+        docs = docs.mapInArrow(run, schema)
+    return docs
 
 
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

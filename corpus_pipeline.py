@@ -2,6 +2,13 @@
 
 Each stage works on all that the one before kept; what it decides takes effect. Between stages the
 documents are written as Parquet to the shared folder and read again.
+
+Cases. Each row is judged by its own text, so a null or repeated doc_id takes no other row along: quality
+rules and decontamination judge rows; lines are placed by doc_id and text; of near duplicates the least
+doc_id stays, rows with a null doc_id all stay, and so do rows that repeat a staying one in doc_id and
+text. A null or empty text fails the quality rules. Without trusted labels only the base rules decide,
+without test items nothing leaks. Empty tables give an empty result. Further columns of documents are
+kept up to the last stage, whatever their names.
 """
 
 from __future__ import annotations

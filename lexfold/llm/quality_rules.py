@@ -53,18 +53,18 @@ def covered_by_repeats(windows: str, spots: str, width: int = WINDOW) -> F.Colum
     return F.aggregate(starts, zero, step, lambda acc: acc["n"])
 
 
-def with_counts(docs: DataFrame) -> DataFrame:
-    """All columns of docs but text, the base columns, and `hashes` and `pairs`: unigrams and bigrams in order.
+def with_counts(docs: DataFrame, own: F.Column) -> DataFrame:
+    """own, the base columns, and `hashes` and `pairs`: unigrams and bigrams in order.
 
-    Windows of five words are hashed by joining runs of two, three and five words; only a text with a
-    repeated window pays for sorting them.
+    own holds what is kept of the input as one column, out of the way of names used here. Windows of five
+    words are hashed by joining runs of two, three and five words; only a text with a repeated window pays
+    for sorting them.
     """
-    kept = [c for c in docs.columns if c != "text"]
     raw = F.coalesce(F.col("text"), F.lit(""))
     lines = F.filter(F.split(raw, "\n"), lambda x: F.regexp_like(x, F.lit(f"[^{BLANKS}]")))
-    d = docs.select(*kept, F.regexp_count(raw, F.lit(SYMBOLS)).cast("long").alias("n_symbols"), lines.alias("lines"), words_of(raw).alias("words"))
+    d = docs.select(own.alias("own"), F.regexp_count(raw, F.lit(SYMBOLS)).cast("long").alias("n_symbols"), lines.alias("lines"), words_of(raw).alias("words"))
     d = d.select(
-        *kept,
+        "own",
         "n_symbols",
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
         F.length(F.array_join("words", "")).cast("long").alias("word_chars"),
@@ -83,7 +83,7 @@ def with_counts(docs: DataFrame) -> DataFrame:
 
 def base_counts(docs: DataFrame) -> DataFrame:
     """doc_id and the base columns of every row of docs (doc_id, text)."""
-    return with_counts(docs.select("doc_id", "text")).select("doc_id", *BASE)
+    return with_counts(docs, F.struct("doc_id")).select("own.doc_id", *BASE)
 
 
 def to_buckets(one: F.Column, two: F.Column, buckets: int) -> F.Column:
@@ -92,13 +92,12 @@ def to_buckets(one: F.Column, two: F.Column, buckets: int) -> F.Column:
 
 
 def raw_buckets(docs: DataFrame, buckets: int) -> DataFrame:
-    """One row for each unigram and bigram of docs: all columns but text, and `bucket`."""
-    kept = [c for c in docs.columns if c != "text"]
-    d = docs.select(*kept, words_of(F.col("text")).alias("words"))
-    d = d.select(*kept, F.explode(F.arrays_zip(F.col("words").alias("a"), later("words", 1).alias("b"))).alias("z"))
+    """One row for each unigram and bigram of docs (text, in_target): in_target and bucket."""
+    d = docs.select("in_target", words_of(F.col("text")).alias("words"))
+    d = d.select("in_target", F.explode(F.arrays_zip(F.col("words").alias("a"), later("words", 1).alias("b"))).alias("z"))
     one = F.xxhash64("z.a")
     two = F.when(F.col("z.b").isNotNull(), F.xxhash64(one, F.xxhash64("z.b")))
-    return d.select(*kept, to_buckets(one, two, buckets).alias("bucket")).where("bucket is not null")
+    return d.select("in_target", to_buckets(one, two, buckets).alias("bucket")).where("bucket is not null")
 
 
 def ratio_table(docs: DataFrame, trusted: DataFrame, buckets: int = 1 << 16, smooth: float = 1.0) -> DataFrame:
@@ -116,22 +115,31 @@ def ratio_table(docs: DataFrame, trusted: DataFrame, buckets: int = 1 << 16, smo
     return d.select("bucket", F.when(F.col("all_target") > 0, F.log(p("target")) - F.log(p("raw"))).otherwise(0.0).alias("weight"))
 
 
-def quality_rules(docs: DataFrame, trusted: DataFrame, threshold: float = -0.2, buckets: int = 1 << 16, smooth: float = 1.0) -> DataFrame:
-    """Base counts, llr and the verdict `kept` of every row of docs (doc_id, text)."""
+def _judged(docs: DataFrame, own: F.Column, trusted: DataFrame, threshold: float, buckets: int, smooth: float) -> DataFrame:
+    """own, the base columns, llr and kept of every row of docs."""
     weights = ratio_table(docs, trusted, buckets, smooth)
-    kept = [c for c in docs.columns if c not in ("text", *BASE, "llr", "kept", "row")]
-    d = with_counts(docs.select(*kept, "text")).withColumn("row", F.monotonically_increasing_id())
-    d = d.select("row", *kept, *BASE, F.explode_outer(F.arrays_zip("hashes", "pairs")).alias("z"))
-    d = d.select("row", *kept, *BASE, to_buckets(F.col("z.hashes"), F.col("z.pairs"), buckets).alias("bucket"))
-    d = d.join(F.broadcast(weights), "bucket", "left").groupBy("row").agg(*[F.first(c).alias(c) for c in (*kept, *BASE)], F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total"))
+    d = with_counts(docs, own).withColumn("row", F.monotonically_increasing_id())
+    d = d.select("row", "own", *BASE, F.explode_outer(F.arrays_zip("hashes", "pairs")).alias("z"))
+    d = d.select("row", "own", *BASE, to_buckets(F.col("z.hashes"), F.col("z.pairs"), buckets).alias("bucket"))
+    # 2 * buckets weights at most, whatever the corpus.
+    d = d.join(F.broadcast(weights), "bucket", "left").groupBy("row").agg(*[F.first(c).alias(c) for c in ("own", *BASE)], F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total"))
     d = d.withColumn("llr", F.when(F.col("n_words") > 0, F.col("total") / (2 * F.col("n_words") - 1)).otherwise(0.0))
-    return d.withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= threshold)).drop("row", "total")
+    return d.select("own", *BASE, "llr", (~F.col("base_failed") & (F.col("llr") >= threshold)).alias("kept"))
+
+
+def quality_rules(docs: DataFrame, trusted: DataFrame, threshold: float = -0.2, buckets: int = 1 << 16, smooth: float = 1.0) -> DataFrame:
+    """Base counts, llr and the verdict `kept` of every row of docs (doc_id, text)."""
+    names = [c for c in docs.columns if c not in ("text", *BASE, "llr", "kept")]
+    d = _judged(docs, F.struct(*[F.col(f"`{c}`") for c in names]), trusted, threshold, buckets, smooth)
+    return d.select("own.*", *BASE, "llr", "kept")
 
 
-def without_rejected(docs: DataFrame, trusted: DataFrame, **options) -> DataFrame:
-    """The rows of docs whose doc_id has no rejected row."""
-    bad = quality_rules(docs.select("doc_id", "text"), trusted, **options).where(~F.col("kept")).select(F.col("doc_id").alias("bad")).distinct()
-    return docs.join(sized(cut(bad)), F.col("doc_id").eqNullSafe(F.col("bad")), "left_anti")
+def without_rejected(docs: DataFrame, trusted: DataFrame, threshold: float = -0.2, buckets: int = 1 << 16, smooth: float = 1.0) -> DataFrame:
+    """The rows of docs that are kept. A verdict is one on a doc_id and a text, so it takes no other row along."""
+    key = F.struct(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("key"))
+    bad = _judged(docs.select("doc_id", "text"), key, trusted, threshold, buckets, smooth).where(~F.col("kept")).select(F.col("own").alias("bad")).distinct()
+    own = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("own"), key.alias("this"))
+    return own.join(sized(cut(bad)), F.col("this") == F.col("bad"), "left_anti").select("own.*")
 
 
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -44,3 +44,51 @@ def test_stages_return_the_columns_of_documents(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").limit(20)
     for _, stage in corpus_pipeline.STAGES[:-1]:
         assert stage(spark, docs, sf).columns == docs.columns
+
+
+def odd_tables(spark, sf, folder):
+    """A folder of tables with null and repeated doc_ids, odd texts and columns of clashing names; (doc_id, text) in order."""
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").orderBy("doc_id").collect()]
+    rows = [(None if i % 4 == 1 else rows[i - 1][0] if i % 10 == 7 else d, t) for i, (d, t) in enumerate(rows)]
+    rows += [(None, "too short"), (None, None), (rows[0][0], ""), rows[0], rows[5], (None, rows[8][1]), (10**6, " \n\n ")]
+    extra = "bad boolean, words string, hashes int, kept string, own string, lines int, raw string, node long, id long, key long, clean int, text_key int"
+    spark.createDataFrame([(d, t, True, "w", 1, "k", "o", 2, "r", 3, 4, 5, 6, 7) for d, t in rows], f"doc_id long, text string, {extra}").repartition(3).write.parquet(f"{folder}/documents.parquet")
+    for name in ("labels", "benchmark"):
+        spark.read.parquet(f"{sf}/{name}.parquet").write.parquet(f"{folder}/{name}.parquet")
+    return rows
+
+
+def test_null_and_repeated_ids_take_no_other_row_along(spark, sf, tmp_path):
+    rows = odd_tables(spark, sf, tmp_path)
+    trusted = {r.doc_id for r in spark.read.parquet(f"{sf}/labels.parquet").where("quality = 1").collect()}
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    pairs = lambda d: sorted(((r.doc_id, r.text) for r in d.collect()), key=str)
+    good = kept_by_rules(dict(enumerate(t for _, t in rows)), {i for i, (d, _) in enumerate(rows) if d in trusted})
+    after = corpus_pipeline.quality(spark, docs, str(tmp_path))
+    assert after.columns == docs.columns and pairs(after) == sorted(((rows[i][0], t) for i, t in good.items()), key=str)
+    assert any(d is None for d, _ in pairs(after))
+    leaked = {i for i, _ in test_decontamination.brute([(i, t) for i, (_, t) in enumerate(rows)], items)}
+    clean = corpus_pipeline.decontaminated(spark, docs, str(tmp_path))
+    assert clean.columns == docs.columns and pairs(clean) == sorted((r for i, r in enumerate(rows) if i not in leaked), key=str)
+    groups = test_ngram_join.brute([(i, t) for i, (_, t) in enumerate(rows)], 5, 80)
+    one = corpus_pipeline.near_duplicates(spark, docs, str(tmp_path))
+    assert one.columns == docs.columns
+    members = {}
+    for i, (_, c) in groups.items():
+        members.setdefault(c, []).append(rows[i])
+    stays = pairs(one)
+    for own in members.values():
+        named = [r for r in own if r[0] is not None]
+        least = min((d for d, _ in named), default=None)
+        want = {r for r in own if r[0] is None} | ({r for r in named if r[0] == least} if len({r for r in named if r[0] == least}) == 1 or len(own) == 1 else set())
+        assert want <= set(stays)
+        assert not {r for r in named if r[0] != least} & set(stays)
+    assert corpus_pipeline.lines(spark, docs, str(tmp_path)).columns == docs.columns
+    assert corpus_pipeline.run(spark, str(tmp_path)).columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+
+
+def test_empty_tables(spark, sf, tmp_path):
+    for name in ("documents", "labels", "benchmark"):
+        spark.read.parquet(f"{sf}/{name}.parquet").limit(0).write.parquet(f"{tmp_path}/{name}.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0

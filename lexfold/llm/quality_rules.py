@@ -119,12 +119,16 @@ def _judged(docs: DataFrame, own: F.Column, trusted: DataFrame, threshold: float
     """own, the base columns, llr and kept of every row of docs."""
     weights = ratio_table(docs, trusted, buckets, smooth)
     d = with_counts(docs, own).withColumn("row", F.monotonically_increasing_id())
-    d = d.select("row", "own", *BASE, F.explode_outer(F.arrays_zip("hashes", "pairs")).alias("z"))
-    d = d.select("row", "own", *BASE, to_buckets(F.col("z.hashes"), F.col("z.pairs"), buckets).alias("bucket"))
+    # Apart, numbers stay in a hash aggregate; a struct would make it sort and spill.
+    fields = d.schema["own"].dataType.names
+    names = [f"own_{i}" for i in range(len(fields))]
+    d = d.select("row", *[F.col("own")[f].alias(n) for f, n in zip(fields, names, strict=True)], *BASE, F.explode_outer(F.arrays_zip("hashes", "pairs")).alias("z"))
+    d = d.select("row", *names, *BASE, to_buckets(F.col("z.hashes"), F.col("z.pairs"), buckets).alias("bucket"))
     # 2 * buckets weights at most, whatever the corpus.
-    d = d.join(F.broadcast(weights), "bucket", "left").groupBy("row").agg(*[F.first(c).alias(c) for c in ("own", *BASE)], F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total"))
+    d = d.join(F.broadcast(weights), "bucket", "left").groupBy("row").agg(*[F.first(c).alias(c) for c in (*names, *BASE)], F.coalesce(F.sum("weight"), F.lit(0.0)).alias("total"))
     d = d.withColumn("llr", F.when(F.col("n_words") > 0, F.col("total") / (2 * F.col("n_words") - 1)).otherwise(0.0))
-    return d.select("own", *BASE, "llr", (~F.col("base_failed") & (F.col("llr") >= threshold)).alias("kept"))
+    own = F.struct(*[F.col(n).alias(f) for f, n in zip(fields, names, strict=True)]).alias("own")
+    return d.select(own, *BASE, "llr", (~F.col("base_failed") & (F.col("llr") >= threshold)).alias("kept"))
 
 
 def quality_rules(docs: DataFrame, trusted: DataFrame, threshold: float = -0.2, buckets: int = 1 << 16, smooth: float = 1.0) -> DataFrame:

@@ -21,7 +21,7 @@ def odd(tmp_path_factory):
     return str(folder)
 
 
-@pytest.mark.parametrize("name", ["shard_sliding", "stream_sliding"])
+@pytest.mark.parametrize("name", ["shard_sliding", "stream_sliding", "win_range_frame"])
 def test_borders_fall_as_in_sql(spark, odd, name):
     db = duckdb.connect()
     db.sql(f"create view events as select * from '{odd}/events.parquet'")

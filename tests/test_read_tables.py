@@ -4,6 +4,6 @@ import pytest
 from lexfold.plans import catalog
 
 
-@pytest.mark.parametrize("name", ["break_even_table"])
+@pytest.mark.parametrize("name", ["break_even_table", "join_theta_break_even"])
 def test_reads_documents(spark, sf, name):
     assert any("documents" in f for f in catalog.QUERIES[name](spark, sf).inputFiles())

@@ -71,3 +71,7 @@ def test_template_sizes_join_no_records(spark):
     r = workloads.template_sizes(d).first()
     # masks: `at # go` thrice (one text has the sign itself), `x` twice; markers cost 4
     assert (r.n_tok, r.n_tok_folded, r.n_tok_legend) == (3 + 3 + 3 + 3 + 1 + 1, 2 * (4 + 1) + 3 + 3 + 2 * 4, (4 + 3) + (4 + 1))
+
+
+def test_exact_reader_counts_no_tokens_of_prompts(spark, sf):
+    assert "regexp_count" not in plan(workloads.aligned_exact(spark, sf, ("customer", "lineitem")))

@@ -75,3 +75,21 @@ def test_template_sizes_join_no_records(spark):
 
 def test_exact_reader_counts_no_tokens_of_prompts(spark, sf):
     assert "regexp_count" not in plan(workloads.aligned_exact(spark, sf, ("customer", "lineitem")))
+
+
+def test_one_legend_takes_texts(spark):
+    """The baseline segments texts itself, and every shard's saving is that of the entries it uses."""
+    from lexfold.operators.fold import fold_global
+
+    rows = [("s1", "c", "a b c d e f g h i"), ("s2", "c", "x a b c d e f g h i a b c d e f g h i"), ("s3", "c", "y z"), ("s4", "c", ""), ("t1", "d", "q")]
+    got = {r.shard_id: r for r in fold_global(spark.createDataFrame(rows, "shard_id string, corpus string, text string")).collect()}
+    # one entry of nine units under a marker of four tokens (`<`, `M`, `1`, `>`)
+    assert {k: (r.n_tok, r.n_tok_folded, r.n_tok_legend) for k, r in got.items()} == {"s1": (9, 4, 13), "s2": (19, 9, 13), "s3": (2, 2, 13), "s4": (0, 0, 13), "t1": (1, 1, 0)}
+
+
+def test_codes_of_runs_are_closed_up():
+    s = Shard("a b c a b d a b c e f".split())
+    for n in (2, 3):
+        starts, codes = s.level(n, 2)
+        assert sorted(set(codes.tolist())) == list(range(len(set(codes.tolist()))))
+        assert len({(c, tuple(s.units[i : i + n])) for i, c in zip(starts.tolist(), codes.tolist(), strict=True)}) == len(set(codes.tolist()))

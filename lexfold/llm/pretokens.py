@@ -1,19 +1,19 @@
 """Encoding of whole texts through a cache of their parts.
 
 A byte-level tokenizer cuts a text by a pattern and encodes each piece alone, so equal pieces have
-equal ids. Texts are cut at single blanks first, each blank going with what follows; Arrow makes these
-units distinct, so that Python looks up each one once a slice, and only unknown ones are cut by the
-pattern and encoded. Where a blank follows another white space character, a cut before it need not be
-one of the pattern's, so such texts are cut by the pattern as a whole.
+equal ids. For the pattern that public tokenizers share (RUNS), the cuts follow from the class of each
+character (letter, number, white space, other), so they are found for all texts of a slice at once, on
+their bytes. Arrow makes the pieces distinct without copying a text, Python looks up each one once a
+slice, and only unknown ones are encoded. Any other pattern cuts each text on its own.
 
-New units are cut by the pattern together, as every one begins with a blank and so ends where the next
-one begins; only if a cut is not there, each alone. What a worker keeps is bounded in bytes (MOST_BYTES): beyond that units used only once go, and where
+What a worker keeps is bounded in bytes (MOST_BYTES): beyond that pieces used only once go, and where
 that is not enough the cache starts anew.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import lru_cache, partial
 from itertools import chain
 
 import numpy as np
@@ -21,23 +21,95 @@ import pyarrow as pa
 import pyarrow.compute as pc
 import regex
 
-Encode = Callable[[list[str]], tuple[np.ndarray, np.ndarray]]
-#: Bytes that the units, pieces and ids kept by a worker may take, and what one takes beside its characters.
+Encode = Callable[[pa.StringArray], tuple[np.ndarray, np.ndarray]]
+Split = Callable[[str], list[tuple[int, int]]]
+#: Bytes that the pieces and ids kept by a worker may take, and what one takes beside its characters.
 MOST_BYTES, EACH = 80 << 20, 250
-#: The characters that the pattern's white space class holds.
-WHITE = "".join(map(chr, (*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
+#: Fixed value: the pattern whose cuts `run_starts` finds.
+RUNS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+OTHER, LETTER, NUMBER, WHITE = range(4)
+#: Classes of code points from here on, where texts hardly have any, are read off only if one occurs.
+USUAL = 0x34000
+
+
+def class_table(split: Split, size: int) -> np.ndarray:
+    """The class of every code point below `size`, read off the cuts of a splitter that follows RUNS."""
+    every = "".join("!" if c == 0x20 or 0xD800 <= c < 0xE000 else chr(c) for c in range(size))
+    out = np.full(size, OTHER, np.uint8)
+    for lo, hi in split(every):
+        between = split(f"a{every[lo]}1")
+        if between[0] == (0, 2):
+            out[lo:hi] = LETTER
+        elif between[1] == (1, 3):
+            out[lo:hi] = NUMBER
+        elif split(f"!{every[lo]}")[0] != (0, 2):
+            out[lo:hi] = WHITE
+    out[0x20] = WHITE
+    return out
+
+
+def bytes_of(texts: pa.StringArray) -> tuple[np.ndarray, np.ndarray]:
+    """(bytes of texts one after the other, where those of each begin; one more entry at the end), without nulls."""
+    _, begins, data = texts.buffers()
+    begins = np.frombuffer(begins, np.int32)[texts.offset : texts.offset + len(texts) + 1]
+    return np.frombuffer(data or b"", np.uint8)[begins[0] : begins[-1]], begins - begins[0]
+
+
+def _byte_classes(data: np.ndarray, table_to: Callable[[int], np.ndarray]) -> np.ndarray:
+    """The class of the character that each byte of UTF-8 is part of."""
+    table = table_to(USUAL)
+    kinds = table[:256][data]
+    heads = np.flatnonzero(data >= 0xC0)
+    first = data[heads]
+    for size, least, most in ((2, 0xC0, 0xDF), (3, 0xE0, 0xEF), (4, 0xF0, 0xFF)):
+        at = heads[(first >= least) & (first <= most)]
+        if len(at):
+            point = (data[at] & (0x7F >> size)).astype(np.int32)
+            for k in range(1, size):
+                point = point << 6 | data[at + k] & 0x3F
+            kind = (table if point.max() < USUAL else table_to(0x110000))[point]
+            for k in range(size):
+                kinds[at + k] = kind
+    return kinds
+
+
+def run_starts(data: np.ndarray, begins: np.ndarray, table_to: Callable[[int], np.ndarray]) -> np.ndarray:
+    """Where the pieces of RUNS begin in the bytes of texts; text k runs from begins[k] to begins[k + 1].
+
+    table_to: gives the classes of the code points below a number.
+    A run of one class is a piece. White space before another run gives its last character away: to
+    that run if it is a blank, else as a piece of its own. An apostrophe that stands alone takes the
+    endings of the pattern from the letters after it.
+    """
+    n = len(data)
+    kinds, starts, first = _byte_classes(data, table_to), np.zeros(n + 3, bool), np.zeros(n + 1, bool)
+    first[begins] = True
+    starts[1:n] = kinds[1:] != kinds[:-1]
+    after = np.flatnonzero(starts[:n] & ~first[:n])
+    after = after[kinds[after - 1] == WHITE]
+    starts[: n + 1] |= first
+    blank = data[after - 1] == 0x20
+    last = after - 1
+    while len(inside := np.flatnonzero(data[last] & 0xC0 == 0x80)):
+        last[inside] -= 1
+    starts[last] = True
+    starts[after[blank]] = False
+    quotes = np.flatnonzero(data == 0x27)
+    quotes = quotes[starts[quotes] & ~first[quotes + 1]]
+    short = quotes[np.isin(data[quotes + 1], list(b"stmd"))]
+    starts[short + 1], starts[short + 2] = False, True
+    quotes = quotes[~first[quotes + 2]]
+    one, two = data[quotes + 1], data[quotes + 2]
+    long = quotes[((one == ord("r")) | (one == ord("v"))) & (two == ord("e")) | (one == ord("l")) & (two == ord("l"))]
+    starts[long + 1], starts[long + 3] = False, True
+    return np.flatnonzero(starts[:n])
 
 
 class _Places(dict):
-    """Key to place in a list that several such maps share; unknown keys get the next place and wait there."""
-
-    def __init__(self, waiting: list[str], count: list[int]):
-        self.waiting, self.count = waiting, count
+    """Key to place; unknown keys get the next place."""
 
     def __missing__(self, key: str) -> int:
-        self[key] = place = self.count[0]
-        self.count[0] = place + 1
-        self.waiting.append(key)
+        self[key] = place = len(self)
         return place
 
 
@@ -60,98 +132,66 @@ class _Ids:
 
 
 class CachedEncoder:
-    """encode_pieces: (ids, how many each) of a list of pattern pieces; texts that hold a special string go to encode_whole."""
+    """encode_pieces: (ids, how many each) of pattern pieces; texts that hold a special string go to encode_whole.
+
+    split: spans of the pieces of a text, where another engine than `regex` cuts by the pattern; its
+    classes of characters hold, as releases of Unicode differ.
+    """
 
-    def __init__(self, pattern: str, encode_pieces: Encode, special: tuple[str, ...] = (), encode_whole: Encode | None = None, most: int = MOST_BYTES):
-        self.cut = regex.compile(pattern).findall
+    def __init__(self, pattern: str, encode_pieces: Encode, special: tuple[str, ...] = (), encode_whole: Callable[[list[str]], tuple[np.ndarray, np.ndarray]] | None = None, most: int = MOST_BYTES, split: Split | None = None):
+        cut = regex.compile(pattern)
+        self.cut, self.by_runs = cut.findall, pattern == RUNS
+        self.table_to = lru_cache(partial(class_table, split or (lambda x: [m.span() for m in cut.finditer(x)])))
         self.encode_pieces, self.special, self.encode_whole, self.most = encode_pieces, special, encode_whole, most
         self._clear()
 
     def _clear(self) -> None:
-        #: Units after a blank and whole pieces, with their ids; `kept` is an upper estimate of their bytes.
-        self.new_units: list[str] = []
-        self.new_pieces: list[str] = []
-        self.units, self.pieces = _Places(self.new_units, [0]), _Places(self.new_pieces, [0])
-        self.unit_ids, self.piece_ids = _Ids(), _Ids()
+        #: Pieces with their ids; `kept` is an upper estimate of their bytes.
+        self.places, self.ids = _Places(), _Ids()
         self.uses = np.zeros(0, np.int64)
         self.kept = 0
 
     def _shrink(self) -> None:
-        """Keep the units that have been used more than once since the last time."""
+        """Keep the pieces that have been used more than once since the last time."""
         often = np.flatnonzero(self.uses > 1)
         new = np.full(len(self.uses), -1)
         new[often] = np.arange(len(often))
-        units = {k: p for k, v in self.units.items() if (p := int(new[v])) >= 0}
-        flat, begins = self.unit_ids.of(often)
+        pieces = [k for k, p in zip(self.places, new.tolist(), strict=True) if p >= 0]
+        flat, begins = self.ids.of(often)
         self._clear()
-        kept = EACH * len(units) + sum(map(len, units)) + 4 * len(flat)
+        kept = EACH * len(pieces) + sum(map(len, pieces)) + 4 * len(flat)
         if kept <= self.most // 2:
             self.kept = kept
-            self.units.update(units)
-            self.units.count[0] = len(units)
-            self.unit_ids.add(flat, np.diff(begins))
-            self.uses = np.zeros(len(units), np.int64)
-
-    def _pieces_of(self, units: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """(places of pieces, how many a unit) of units that follow a blank."""
-        pieces = self.cut(" " + " ".join(units))
-        ends = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces)))
-        wanted = np.cumsum(np.fromiter(map(len, units), np.int64, len(units)) + 1)
-        at = np.searchsorted(ends, wanted)
-        if at[-1] < len(ends) and (ends[at] == wanted).all():
-            n = np.diff(at, prepend=-1)
-        else:
-            parts = [self.cut(" " + u) for u in units]
-            pieces, n = list(chain.from_iterable(parts)), np.fromiter(map(len, parts), np.int64, len(parts))
-        return np.fromiter(map(self.pieces.__getitem__, pieces), np.int64, len(pieces)), n
-
-    def _learn_pieces(self) -> None:
-        if self.new_pieces:
-            ids, sizes = self.encode_pieces(self.new_pieces)
-            self.piece_ids.add(ids, sizes)
-            self.kept += EACH * len(sizes) + sum(map(len, self.new_pieces)) + 4 * len(ids)
-            self.new_pieces.clear()
-
-    def _learn_units(self) -> None:
-        if self.new_units:
-            at, n = self._pieces_of(self.new_units)
-            self._learn_pieces()
-            ids, begins = self.piece_ids.of(at)
-            sizes = np.diff(begins[np.concatenate(([0], np.cumsum(n)))])
-            self.unit_ids.add(ids, sizes)
-            self.kept += EACH * len(sizes) + sum(map(len, self.new_units)) + 4 * len(ids)
-            self.new_units.clear()
-
-    def _by_blanks(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(ids, how many a text) of texts that may be cut at each blank."""
-        parts = pc.split_pattern(texts, " ")
-        sizes = parts.value_lengths().to_numpy().astype(np.int64)
-        words = parts.flatten()
-        first = np.cumsum(sizes) - sizes
-        heads, rest = words.take(pa.array(first)).to_pylist(), np.ones(len(words), bool)
-        rest[first] = False
-        coded = words.filter(pa.array(rest)).dictionary_encode()
-        own = np.fromiter(map(self.units.__getitem__, coded.dictionary.to_pylist()), np.int64, len(coded.dictionary))
-        at = own[coded.indices.to_numpy()]
-        cut = list(map(self.cut, heads))
-        head_at = np.fromiter(map(self.pieces.__getitem__, chain.from_iterable(cut)), np.int64)
-        self._learn_units()
-        self._learn_pieces()
-        used = np.bincount(at, minlength=self.units.count[0])
-        used[: len(self.uses)] += self.uses
-        self.uses = used
-        ids, begins = self.unit_ids.of(at)
-        head_ids, head_begins = self.piece_ids.of(head_at)
-        of_head = head_begins[np.concatenate(([0], np.cumsum(list(map(len, cut)), dtype=np.int64)))]
-        of_rest = begins[np.concatenate(([0], np.cumsum(sizes - 1)))]
-        return _merged(head_ids, of_head, ids, of_rest)
-
-    def _by_pattern(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        cut = list(map(self.cut, texts.to_pylist()))
-        at = np.fromiter(map(self.pieces.__getitem__, chain.from_iterable(cut)), np.int64)
-        self._learn_pieces()
-        ids, begins = self.piece_ids.of(at)
-        return ids, np.diff(begins[np.concatenate(([0], np.cumsum(list(map(len, cut)), dtype=np.int64)))])
+            self.places.update(zip(pieces, range(len(pieces)), strict=True))
+            self.ids.add(flat, np.diff(begins))
+            self.uses = np.zeros(len(pieces), np.int64)
+
+    def _pieces(self, texts: pa.StringArray) -> tuple[pa.StringArray, np.ndarray]:
+        """(pieces one after the other, how many before each text; one more entry at the end)."""
+        if not self.by_runs:
+            cut = list(map(self.cut, texts.to_pylist()))
+            return pa.array(chain.from_iterable(cut), pa.string()), np.concatenate(([0], np.cumsum(list(map(len, cut)), dtype=np.int64)))
+        data, begins = bytes_of(texts)
+        starts = run_starts(data, begins, self.table_to)
+        ends = np.append(starts, len(data)).astype(np.int32)
+        return pa.StringArray.from_buffers(len(starts), pa.py_buffer(ends), pa.py_buffer(data)), np.searchsorted(starts, begins)
+
+    def _encode(self, texts: pa.StringArray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, how many a text)."""
+        pieces, before = self._pieces(texts)
+        coded = pieces.dictionary_encode()
+        known = len(self.places)
+        at = np.fromiter(map(self.places.__getitem__, coded.dictionary.to_numpy(zero_copy_only=False).tolist()), np.int64, len(coded.dictionary))
+        new = coded.dictionary.filter(pa.array(at >= known))
+        if len(new):
+            flat, sizes = self.encode_pieces(new)
+            self.ids.add(flat, sizes)
+            self.kept += EACH * len(sizes) + pc.sum(pc.binary_length(new)).as_py() + 4 * len(flat)
+            self.uses = np.concatenate((self.uses, np.zeros(len(new), np.int64)))
+        used = coded.indices.to_numpy()
+        self.uses[at] += np.bincount(used, minlength=len(at))
+        ids, begins = self.ids.of(at[used])
+        return ids, np.diff(begins[before])
 
     def encode(self, texts: pa.Array | list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """(all ids, where each text's ids begin; one more entry at the end). Null is as empty."""
@@ -161,11 +201,10 @@ class CachedEncoder:
         apart = np.zeros(len(texts), bool)
         for x in self.special:
             apart |= pc.match_substring(texts, x).to_numpy(zero_copy_only=False)
-        risky = pc.match_substring_regex(texts, f"[{WHITE}] ").to_numpy(zero_copy_only=False) & ~apart
         n, order, found = np.zeros(len(texts), np.int64), [], []
-        for which, way in ((~risky & ~apart, self._by_blanks), (risky, self._by_pattern), (apart, lambda x: self.encode_whole(x.to_pylist()))):
+        for which, way in ((~apart, self._encode), (apart, lambda x: self.encode_whole(x.to_pylist()))):
             if which.any():
-                ids, n[which] = way(texts.filter(pa.array(which)))
+                ids, n[which] = way(texts if which.all() else texts.filter(pa.array(which)))
                 found.append(ids), order.append(np.flatnonzero(which))
         ids = np.concatenate(found) if found else np.zeros(0, np.uint32)
         begins = np.concatenate(([0], np.cumsum(n)))
@@ -175,12 +214,3 @@ class CachedEncoder:
             place[order] = np.cumsum(n[order]) - n[order]
             ids = ids[np.repeat(place - begins[:-1], n) + np.arange(begins[-1])]
         return ids, begins
-
-
-def _merged(a: np.ndarray, a_begins: np.ndarray, b: np.ndarray, b_begins: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(values, how many each) where entry k holds a's entry k and then b's."""
-    n, m = np.diff(a_begins), np.diff(b_begins)
-    out = np.zeros(len(a) + len(b), np.uint32)
-    out[np.repeat(b_begins[:-1], n) + np.arange(len(a))] = a
-    out[np.repeat(a_begins[1:], m) + np.arange(len(b))] = b
-    return out, n + m

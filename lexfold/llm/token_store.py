@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 from .bpe_codec import byte_letters
 from .common import SLICE_BYTES, cut, fresh_dir, parts, table
 from .files import create, new_name, open_at
-from .pretokens import CachedEncoder
+from .pretokens import CachedEncoder, bytes_of
 
 MAGIC = b"IDPLANE1"
 CHUNK_IDS = 1 << 16
@@ -172,19 +172,20 @@ def _encoder(path: str, pattern: str) -> CachedEncoder:
     special = tuple(x.content for x in t.get_added_tokens_decoder().values())
     if (mark := _alone(letters, vocabulary)) is None:
         return CachedEncoder(pattern, whole, special, whole)
-    mark_id, mark_byte, by_byte = vocabulary[mark], bytes([letters.index(mark)]), dict(enumerate(letters))
+    mark_id, mark_byte, by_byte = vocabulary[mark], letters.index(mark), np.array(list(map(ord, letters)), "<u2")
 
-    def of_pieces(pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def of_pieces(pieces: pa.StringArray) -> tuple[np.ndarray, np.ndarray]:
         """The model's ids of many pieces at a call."""
+        data, begins = bytes_of(pieces)
+        joined = by_byte[np.insert(data, begins[1:], mark_byte)].tobytes().decode("utf-16-le")
+        ends = (begins + np.arange(len(begins)))[[*range(0, len(pieces), AT_ONCE), len(pieces)]].tolist()
         out: list[int] = []
-        raw = [p.encode() for p in pieces]
-        for lo in range(0, len(raw), AT_ONCE):
-            joined = mark_byte.join([*raw[lo : lo + AT_ONCE], b""])
-            out += [x.id for x in model.tokenize(joined.decode("latin-1").translate(by_byte))]
+        for lo, hi in zip(ends[:-1], ends[1:], strict=True):
+            out += [x.id for x in model.tokenize(joined[lo:hi])]
         ids = np.array(out, np.uint32)
         return ids[ids != mark_id], np.diff(np.flatnonzero(ids == mark_id), prepend=-1) - 1
 
-    return CachedEncoder(pattern, of_pieces, special, whole)
+    return CachedEncoder(pattern, of_pieces, special, whole, split=lambda x: [at for _, at in t.pre_tokenizer.pre_tokenize_str(x)])
 
 
 def write_store(docs: DataFrame, folder: str, path: str, pattern: str, end_id: int = 0, kind: str = "byte") -> DataFrame:

@@ -1,11 +1,14 @@
+import random
 import zlib
 from hashlib import sha256
 
 import numpy as np
 import public_tokenizers as P
+import pyarrow as pa
 import pytest
 import tiktoken
 from lexfold.llm import bpe_codec as C
+from lexfold.llm import pretokens as T
 from lexfold.llm import token_store as S
 from lexfold.llm.common import fresh_dir
 
@@ -57,6 +60,44 @@ def test_cache_that_shrinks(spark, sf, most):
             assert [ids[a:b].tolist() for a, b in zip(begins, begins[1:], strict=False)] == [own.encode_ordinary(t) for t in all_texts[lo : lo + 7]]
 
 
+def test_cuts_equal_the_pattern(spark, sf):
+    rng = random.Random(6)
+    some = ["".join(rng.choices("stmdrevl'' \n\t aZ09.,!\u3000\x85\xa0ßé½中😀\u0301\x1c\0\u0663\U00034000", k=rng.choice([0, 1, 2, 3, 5, 9, 30]))) for _ in range(20_000)]
+    own = T.CachedEncoder(P.PATTERN, None)
+    assert own.by_runs
+    for part in (some, [t or "" for t in texts(spark, sf)], [], ["", ""]):
+        pieces, before = own._pieces(pa.array(part, pa.string()))
+        got = pieces.to_pylist()
+        assert [got[a:b] for a, b in zip(before, before[1:], strict=False)] == [own.cut(t) for t in part]
+
+
+def test_only_pieces_are_kept_and_each_is_encoded_once(spark, sf):
+    all_texts, asked = [t or "" for t in texts(spark, sf)], []
+
+    def encode(pieces):
+        asked.extend(map(str, pieces))
+        return np.zeros(len(pieces), np.uint32), np.ones(len(pieces), np.int64)
+
+    own = T.CachedEncoder(P.PATTERN, encode)
+    for _ in range(2):
+        for lo in range(0, len(all_texts), 50):
+            own.encode(all_texts[lo : lo + 50])
+    distinct = {p for t in all_texts for p in own.cut(t)}
+    assert len(asked) == len(distinct)
+    assert own.kept == sum(T.EACH + len(p.encode()) + 4 for p in distinct)
+
+
+def test_characters_are_classed_as_the_library_has_them():
+    from tokenizers import Tokenizer
+
+    name = P.path("byte_bpe_50k.json")
+    points = [*range(1, 0xD800), *range(0xE000, 0x33400), *range(0x33400, 0x110000, 997)]
+    odd = [f"a{chr(c)}1 {chr(c)}!{chr(c)}" for c in points[::7] + [0x558, 0x88F, 0x1C89, 0x208F, 0xA7CE, 0x107BB]]
+    ids, begins = S._encoder(name, P.PATTERN).encode(odd)
+    right = Tokenizer.from_file(name).encode_batch_fast(odd, add_special_tokens=False)
+    assert [ids[a:b].tolist() for a, b in zip(begins, begins[1:], strict=False)] == [x.ids for x in right]
+
+
 def test_tokenizers_of_other_kinds(spark, sf):
     from tokenizers import Tokenizer
 

@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_texts, components, cut, mix, parts, released, run_hashes, sized, slices, table, word_hashes
+from .common import byte_texts, components, cut, mix, parts, released, run_hashes, sized, slices, swept, table, word_hashes
 
 #: A block's tile; R-tree leaf and inner node sizes.
 TILE, LEAF = 2048, 32
@@ -188,7 +188,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
     is sent once a chunk, the other one's once a pair, so no set and no key is in the way of all others.
     """
     pairs = cut(pairs)
-    ends = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).groupBy("id").agg(F.count("*").alias("n"))
+    ends = cut(pairs.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n")))
     sets = sets_of(docs, ends, width)
     hot = sized(ends.where(F.col("n") > CHUNK))
     d = pairs
@@ -356,14 +356,14 @@ def _grouped(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, Data
     classes = cut(made.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n").agg(F.min("node").alias("id"), F.min("doc_id").alias("least"), F.count_distinct("node").alias("copies")))
     nodes = made.drop("doc_id").withColumnRenamed("node", "doc_id")
     ids = classes.select("id", "copies")
-    first = cut(verified(docs, leader_candidates(nodes, sized(ids.withColumnRenamed("id", "doc_id")), percent), width, percent))
+    first = swept(verified(docs, leader_candidates(nodes, sized(ids.withColumnRenamed("id", "doc_id")), percent), width, percent))
     labels = components(first).select("id", F.col("component").alias("label"))
-    labelled = sized(cut(ids.select("id").join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))))
+    labelled = sized(swept(ids.select("id").join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))))
     members = nodes.withColumnRenamed("doc_id", "id").join(labelled, "id")
-    second = cut(verified(docs, tree_candidates(members, percent), width, percent))
-    links = first.select("a", "b").union(second.select("a", "b")).distinct()
+    second = swept(verified(docs, tree_candidates(members, percent), width, percent))
+    links = first.select("a", "b").union(second.select("a", "b"))
     grouped = classes.join(components(links), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    return made, cut(grouped), docs
+    return made, swept(grouped), docs
 
 
 def cell_links(cell: pa.Table, percent: int) -> pa.Table:

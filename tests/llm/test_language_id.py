@@ -67,3 +67,20 @@ def test_cases(spark):
     assert got[1] == got[2] == got[3] == "und" and got[None] == "es"
     assert {r.lang_pred for r in L.identify(docs, None).collect()} == {"und"}
     assert L.identify(docs.limit(0), t).count() == 0
+
+
+def test_bounded_tables_leave_nothing_out(spark):
+    """Contexts beyond the tables' bound still count: code lengths are those of the whole tree."""
+    rng = np.random.default_rng(5)
+    words = ["ab", "abra", "ça", "dog", "perro", "zz9", "el", "the"]
+    rows = [(i, " ".join(rng.choice(words, 12)), "abc"[i % 3]) for i in range(90)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    learn = {n: [r.text.encode() for r in df.where(~L.held_out()).where("lang = '%s'" % n).collect()] for n in "abc"}
+    whole = L.learned(df)
+    texts = [b"", b"abra cadabra", "el ça dog\xff".encode(), b"zz9 zz8 the\x00", b"qq"]
+    want = [[tree_bits(learn[n], t, L.ORDER) for n in "abc"] for t in texts]
+    assert np.allclose(whole.code_lengths(texts), want, rtol=1e-5)
+    for rows_kept in (1, 2, 10, 40):
+        small = L.learned(df, most_cells=whole.size * 3 * rows_kept)
+        assert len(small.lengths) == rows_kept * small.size < len(whole.lengths)
+        assert np.allclose(small.code_lengths(texts), want, rtol=1e-5)
